@@ -6,7 +6,7 @@ offset in the rendered dialogue and whether the loss mask covers it, so a conver
 gathered in one row; `render` joins the segments of conversations known to be short.
 
 A turn reads `<|start|>assistant\\n...<|end|>\\n` or `<|start|>user name=role\\n...<|end|>\\n`; the mask is the
-text and end mark of the assistant's own turns.
+text and end mark of the assistant's own turns, and empty elsewhere.
 
 Edge cases: null text is empty; a null role is the participant `unknown`; turns with the same number are ordered
 by role and text, null turns come last; null conv_id is a conversation of its own; other columns are ignored.
@@ -44,7 +44,7 @@ def perspectives(turns: DataFrame, run: int = RUN) -> DataFrame:
     at = F.col("__base") + F.col("__in")
     return out.select(
         "conv_id", "perspective", "turn", "rendered", "is_target", at.alias("char_start"),
-        F.when(F.col("is_target"), at + F.col("__head")).alias("mask_start"), F.when(F.col("is_target"), at + F.col("__len") - 1).alias("mask_end"),
+        F.when(F.col("is_target"), at + F.col("__head")).otherwise(at).alias("mask_start"), F.when(F.col("is_target"), at + F.col("__len") - 1).otherwise(at).alias("mask_end"),
     )
 
 
@@ -55,7 +55,7 @@ def render(turns: DataFrame, max_turns: int = 4096) -> DataFrame:
     seen = seen.join(small, F.col("conv_id").eqNullSafe(F.col("__c")) & (F.col("perspective") == F.col("__p")))
     parts = F.array_sort(F.collect_list(F.struct("char_start", "rendered", "mask_start", "mask_end")))
     whole = seen.groupBy("conv_id", "perspective").agg(parts.alias("p"))
-    masks = F.transform(F.filter("p", lambda x: x["mask_start"].isNotNull()), lambda x: F.struct(x["mask_start"].alias("start"), x["mask_end"].alias("end")))
+    masks = F.transform(F.filter("p", lambda x: x["mask_start"] < x["mask_end"]), lambda x: F.struct(x["mask_start"].alias("start"), x["mask_end"].alias("end")))
     return whole.select("conv_id", "perspective", F.array_join(F.transform("p", lambda x: x["rendered"]), "").alias("text"), masks.alias("masks"))
 
 
@@ -72,5 +72,5 @@ WITH t AS (SELECT conv_id, turn, coalesce(role, 'unknown') AS role, coalesce(tex
 ), s AS (SELECT *, head || text || '<|end|>' || chr(10) AS rendered FROM r
 ), o AS (SELECT *, coalesce(sum(length(rendered)) OVER (PARTITION BY conv_id, perspective ORDER BY turn NULLS LAST, role, text ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS char_start FROM s)
 SELECT conv_id, perspective, turn, rendered, is_target, char_start,
-  CASE WHEN is_target THEN char_start + length(head) END::BIGINT AS mask_start, CASE WHEN is_target THEN char_start + length(rendered) - 1 END::BIGINT AS mask_end FROM o
+  CASE WHEN is_target THEN char_start + length(head) ELSE char_start END::BIGINT AS mask_start, CASE WHEN is_target THEN char_start + length(rendered) - 1 ELSE char_start END::BIGINT AS mask_end FROM o
 """

@@ -72,7 +72,7 @@ def candidates(docs: DataFrame, rules=RULES) -> DataFrame:
     if len(trigrams) > 62:
         raise ValueError("over 62 trigrams; give the rules in parts")
     # The lists of one document meet as bits of one number: an AND is a mask test, an OR a disjunction.
-    met = postings(docs, trigrams).groupBy("doc_id").agg(F.bit_or(F.shiftleft(F.lit(1).cast("long"), F.col("trigram"))).alias("bits"))
+    met = postings(docs, trigrams).groupBy("doc_id").agg(F.bit_or(F.expr("shiftleft(1L, trigram)")).alias("bits"))
     tests = []
     for i, query in queries.items():
         if query:
@@ -120,9 +120,13 @@ def _text(spans: Column, rules) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.get(kinds, s["number"]), s["start"].cast("string"), s["stop"].cast("string"))), ",")
 
 
+def _count(number: int) -> Column:
+    return F.size(F.filter("spans", lambda s: s["number"] == number)).cast("long")
+
+
 def op9_secrets(spark, sf_dir: str) -> DataFrame:
     found = scan(spark.read.parquet(f"{sf_dir}/documents.parquet"))
-    counts = [F.size(F.filter("spans", lambda s, i=i: s["number"] == i)).cast("long").alias(f"n_{r.kind}") for i, r in enumerate(RULES) if r.base]
+    counts = [_count(i).alias(f"n_{r.kind}") for i, r in enumerate(RULES) if r.base]
     last = max(i for i, r in enumerate(RULES) if r.base)
     base = F.filter("spans", lambda s: s["number"] <= last)
     return found.select("doc_id", *counts, F.sha2(_text(base, RULES).cast("binary"), 256).alias("base_sha256"), _text(F.col("spans"), RULES).alias("spans"))
