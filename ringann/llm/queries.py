@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from ringann.llm import chat, decontaminate, fingerprints, lines, mixing, secrets
+from ringann.llm import chat, decontaminate, fingerprints, jaccard, lines, mixing, secrets
 
 QUERIES = {
+    "op1_jaccard_join": jaccard.op1_jaccard_join,
     "op2_mixing": mixing.op2_mixing,
     "op6_chat_rotation": chat.op6_chat_rotation,
     "op8_fingerprints": fingerprints.op8_fingerprints,
@@ -13,6 +14,7 @@ QUERIES = {
     "op10_decontaminate": decontaminate.op10_decontaminate,
 }
 ORACLES = {
+    "op1_jaccard_join": jaccard.OP1_SQL,
     "op2_mixing": mixing.OP2_SQL,
     "op6_chat_rotation": chat.OP6_SQL,
     "op8_fingerprints": fingerprints.OP8_SQL,
