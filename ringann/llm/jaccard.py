@@ -8,9 +8,10 @@ signature. The t spare parts let a set with at most t empty parts leave those ou
 makes a candidate; a set with more empty parts sends them too, which keeps the join exact.
 
 Equal sets form one class first. In a bucket of equal signatures all classes are compared with one pivot, not
-with each other (round 1). Classes of a bucket that are then still in different components are compared with
-further pivots, round by round, only across components, and at last pair by pair for what is left. Comparison is exact, on the texts, which travel compressed; a text is sent to a bucket's pivot
-once. No link between different sets is lost, and no group is gathered.
+with each other. In buckets that then still hold several components, classes drop out that share too few shingles
+with other components to have a partner there; after a second pivot, what is left is compared in cells of two
+blocks, across components only. Comparison is exact, on the texts, which travel compressed. No link between
+different components is lost, no group is gathered, and pairs are never listed.
 
 Edge cases: null, empty or blank text has an empty set and no links; fewer than `width` words make one shingle of
 the whole sequence; rows sharing a doc_id are separate rows of one node, linked if their sets link; a null doc_id
@@ -19,6 +20,8 @@ gets a null component; columns other than doc_id and text are ignored.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -28,7 +31,8 @@ from ringann.llm.kernel import BYTE_CODES, LOWER, NOT_SPACE, Rolling, mix, text_
 from ringann.llm.shared import components, stage
 
 WIDTH, NUM, DEN = 4, 85, 100
-ROUNDS = 3
+ROUNDS = 2
+CELL = 512  # nodes in a block of the last comparison
 C1, C2, C3 = np.uint64(0xA24BAED4963EE407), np.uint64(0x9FB21C651E98DF25), np.uint64(0xC2B2AE3D27D4EB4F)
 
 
@@ -177,46 +181,126 @@ def jaccard_components(docs: DataFrame, width: int = WIDTH, num: int = NUM, den:
     classes = stage(own.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("rep")))
     bucket = Window.partitionBy("sig")
     met = signature_rows(rows.where("doc_id IS NOT NULL"), width, num, den).withColumns({"lo": F.min("f1").over(bucket), "hi": F.max("f1").over(bucket)}).where("lo < hi")
-    nodes = classes.select("f1", F.col("rep").alias("node"))
+    nodes = classes.select("f1", F.col("rep").alias("node"), F.col("n_shingles").alias("size"))
     # From here on rows are few: only signatures that two different sets share.
-    met = stage(met.select("sig", "f1").join(nodes, "f1").select("sig", "node").distinct())
+    met = stage(met.select("sig", "f1").join(nodes, "f1").select("sig", "node", "size").distinct())
     wanted = met.select(F.col("node").alias("doc_id")).distinct()
     packed = stage(packed_texts(rows).join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
     links, tried, comp = None, None, None
-    for r in range(rounds + 1):
-        open_ = met if comp is None else _open_buckets(met, comp)
-        if comp is None:
-            open_ = open_.withColumn("comp", F.col("node"))
-        if r < rounds:
-            lead = F.min(F.struct(F.xxhash64("node", F.lit(r)).alias("h"), "node", "comp")).over(bucket)
-            pairs = open_.withColumn("p", lead).where(F.col("comp") != F.col("p.comp")).select("node", F.col("p.node").alias("pivot"))
-        else:
-            other = open_.select(F.col("sig"), F.col("node").alias("pivot"), F.col("comp").alias("c2"))
-            pairs = open_.join(other, "sig").where("comp < c2").select("node", "pivot")
+    for r in range(rounds):
+        open_ = met.withColumn("comp", F.col("node")) if comp is None else _open_buckets(met, comp)
+        if r:
+            met = open_ = stage(_prune(_prune(open_, packed, width, num, den), packed, width, num, den))
+        lead = F.min(F.struct((F.xxhash64("node", F.lit(r)) if r else F.col("node")).alias("h"), F.col("node").alias("id"), "comp")).over(bucket)
+        pairs = open_.withColumn("p", lead).where(F.col("comp") != F.col("p.comp")).select("node", F.col("p.id").alias("pivot"))
         pairs = pairs.select(F.greatest("node", "pivot").alias("a"), F.least("node", "pivot").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = stage(pairs)
-        if pairs.isEmpty():
-            if r == rounds:
-                break
-            continue
         found = stage(verify(pairs, packed, width, num, den))
-        tried = pairs if tried is None else tried.union(pairs)
-        if not found.isEmpty() or comp is None:
-            links = found if links is None else links.union(found)
-            comp = components(links)
-    linked = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left") if comp is not None else classes.withColumn("comp", F.lit(None).cast("long"))
+        tried, links = pairs, found if links is None else links.union(found)
+        comp = components(links)
+    last = stage(_compare_cells(_open_buckets(met, comp), packed, width, num, den))
+    if not last.isEmpty():
+        comp = components(links.union(last))
+    linked = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
     linked = linked.select("f1", "f2", "n_shingles", F.coalesce("comp", "rep").alias("component_id"))
     out = own.join(linked, ["f1", "f2", "n_shingles"], "left")
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNull(), None).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"))
 
 
 def _open_buckets(met: DataFrame, comp: DataFrame) -> DataFrame:
-    """(sig, node, comp) of buckets that still hold more than one component."""
-    named = met.join(comp, "node", "left").select("sig", "node", F.coalesce("comp", "node").alias("comp"))
+    """(sig, node, size, comp) of buckets that still hold more than one component."""
+    named = met.select("sig", "node", "size").join(comp, "node", "left").select("sig", "node", "size", F.coalesce("comp", "node").alias("comp"))
+    return _several(named)
+
+
+def _several(rows: DataFrame) -> DataFrame:
+    w = Window.partitionBy("sig")
+    return rows.withColumns({"lo": F.min("comp").over(w), "hi": F.max("comp").over(w)}).where("lo < hi").drop("lo", "hi")
+
+
+def _prune(open_: DataFrame, packed: DataFrame, width: int, num: int, den: int) -> DataFrame:
+    """Rows of open buckets without nodes that provably have no partner in another component.
+
+    A partner shares at least num / (num + den) of both sizes' sum, and every shared shingle occurs in another
+    component. The partner's size is at least the bucket's smallest and num / den of the node's own.
+    """
+    open_ = stage(open_)
+    nodes = open_.select("node", "comp").distinct()
+    texts = nodes.join(packed.withColumnRenamed("doc_id", "node"), "node").select("node", "comp", "z", "n")
+
+    def run(batches):
+        codec = pa.Codec("zstd")
+        for batch in batches:
+            zs, ns = batch.column("z"), batch.column("n").to_pylist()
+            for i in range(0, batch.num_rows, 32):
+                j = min(i + 32, batch.num_rows)
+                raw = [codec.decompress(zs[k].as_py(), ns[k], asbytes=True) if ns[k] else b"" for k in range(i, j)]
+                sets = shingle_sets(np.concatenate([[0], np.cumsum([len(x) for x in raw])]), np.frombuffer(b"".join(raw), np.uint8), width)
+                sizes = [len(x) for x in sets]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(batch.column(c).to_numpy()[i:j], sizes)) for c in ("node", "comp")] + [pa.array(np.concatenate(sets).view(np.int64))], names=["node", "comp", "gram"])
+
+    grams = texts.mapInArrow(run, "node long, comp long, gram long")
+    w = Window.partitionBy("gram")
+    shared = grams.withColumns({"lo": F.min("comp").over(w), "hi": F.max("comp").over(w)}).where("lo < hi").groupBy("node").agg(F.count("*").alias("m"))
+    least = F.min("size").over(Window.partitionBy("sig"))
+    kept = open_.join(shared, "node").withColumn("least", F.greatest(least, F.ceil(F.col("size") * num / den)))
+    return _several(kept.where(F.col("m") * (num + den) >= num * (F.col("size") + F.col("least"))).select("sig", "node", "size", "comp"))
+
+
+def _compare_cells(open_: DataFrame, packed: DataFrame, width: int, num: int, den: int, block: int = CELL) -> DataFrame:
+    """Links (a, b) between different components inside open buckets, found without listing pairs.
+
+    Buckets with the same members are compared once. A bucket's nodes are dealt to blocks of about `block`
+    nodes; a cell is a pair of blocks, so that a task holds two blocks of sets whatever the bucket's size, and
+    returns links only.
+    """
     w = Window.partitionBy("sig")
-    return named.withColumns({"lo": F.min("comp").over(w), "hi": F.max("comp").over(w)}).where("lo < hi").drop("lo", "hi")
+    h = F.xxhash64("node")
+    marked = stage(open_.withColumns({"c": F.count("*").over(w), "x": F.expr("bit_xor(xxhash64(node))").over(w), "y": F.max(h).over(w)}))
+    first = marked.groupBy("c", "x", "y").agg(F.min("sig").alias("sig")).select("sig")
+    nb = F.ceil(F.col("c") / block).cast("int")
+    rows = marked.join(first, "sig", "left_semi").withColumn("nb", nb).withColumn("k", F.pmod(F.xxhash64("node", F.lit(7)), F.col("nb")).cast("int"))
+    rows = rows.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
+    rows = rows.select("sig", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j"), "k", "node", "comp")
+    rows = rows.join(packed.select(F.col("doc_id").alias("node"), "z", "n"), "node")
+
+    def compare(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codec = pa.Codec("zstd")
+        ids, comps, sides, sets = [], [], [], []
+        for batch in batches:
+            zs, ns = batch.column("z"), batch.column("n").to_pylist()
+            raw = [codec.decompress(zs[q].as_py(), ns[q], asbytes=True) if ns[q] else b"" for q in range(batch.num_rows)]
+            sets += shingle_sets(np.concatenate([[0], np.cumsum([len(x) for x in raw])]).astype(np.int64), np.frombuffer(b"".join(raw), np.uint8), width)
+            ids.append(batch.column("node").to_numpy())
+            comps.append(batch.column("comp").to_numpy())
+            sides.append(batch.column("k").to_numpy())
+        ids, comps, sides = np.concatenate(ids), np.concatenate(comps), np.concatenate(sides)
+        sizes = np.array([len(x) for x in sets])
+        flat = np.concatenate(sets)
+        owner = np.repeat(np.arange(len(sets)), sizes)
+        _, place, seen = np.unique(flat, return_inverse=True, return_counts=True)
+        keep = seen[place] > 1
+        owner, place = owner[keep], np.unique(place[keep], return_inverse=True)[1]
+        same = np.zeros((len(sets), len(sets)), np.float32)
+        order = np.argsort(place, kind="stable")
+        owner, place = owner[order], place[order]
+        top = int(place[-1]) + 1 if len(place) else 0
+        for lo in range(0, top, 4096):
+            a, b = np.searchsorted(place, [lo, lo + 4096])
+            m = np.zeros((len(sets), 4096), np.float32)
+            m[owner[a:b], place[a:b] - lo] = 1
+            same += m @ m.T
+        both = same.astype(np.int64)
+        good = (den * both >= num * (sizes[:, None] + sizes[None, :] - both)) & (comps[:, None] < comps[None, :])
+        if key[1].as_py() != key[2].as_py():
+            good &= sides[:, None] != sides[None, :]
+        x, y = np.nonzero(good)
+        yield pa.RecordBatch.from_arrays([pa.array(ids[x], pa.int64()), pa.array(ids[y], pa.int64())], names=["a", "b"])
+
+    found = rows.groupBy("sig", "i", "j").applyInArrow(compare, "a long, b long")
+    return found.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
 
 def op1_jaccard_join(spark, sf_dir: str) -> DataFrame:
