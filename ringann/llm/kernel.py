@@ -6,6 +6,9 @@ it; a span's hash comes from one running sum, so no Python object exists per wor
 
 from __future__ import annotations
 
+import zlib
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -109,3 +112,47 @@ def words(data: np.ndarray, off: np.ndarray, table: np.ndarray) -> tuple[np.ndar
 def row_of(first: np.ndarray) -> np.ndarray:
     """Row number of each item, from every row's first item index."""
     return np.repeat(np.arange(len(first) - 1), np.diff(first))
+
+
+BLOCK_BYTES = 1 << 14
+
+
+def bit_places(h: np.ndarray, bits: int) -> np.ndarray:
+    """Two bit positions of each hash, in a bitmap of `bits` bits."""
+    m = np.uint64(bits - 1)
+    return np.stack([h & m, (h >> np.uint64(37)) * np.uint64(0x9E3779B1) & m]).astype(np.int64)
+
+
+def set_bits(bitmap: np.ndarray, places: np.ndarray) -> None:
+    np.bitwise_or.at(bitmap, places >> 3, (1 << (places & 7)).astype(np.uint8))
+
+
+def has_bits(bitmap: np.ndarray, places: np.ndarray) -> np.ndarray:
+    return ((bitmap[places >> 3] >> (places & 7)) & 1).astype(bool).all(axis=0)
+
+
+def merged_bitmap(df, hashes, bits: int) -> np.ndarray:
+    """One bitmap of the hashes that `hashes(batches)` yields over df: bits/8 bytes on the driver, at any input size."""
+
+    def fill(batches):
+        bitmap = np.zeros(bits // 8, np.uint8)
+        for h in hashes(batches):
+            set_bits(bitmap, bit_places(h, bits).ravel())
+        parts = bitmap.reshape(-1, BLOCK_BYTES)
+        used = np.flatnonzero(parts.any(axis=1))
+        for lo in range(0, len(used), 64):
+            ids = used[lo : lo + 64]
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array([zlib.compress(parts[i].tobytes(), 6) for i in ids], pa.binary())], names=["block", "z"])
+
+    def merge(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out = np.zeros(BLOCK_BYTES, np.uint8)
+        for batch in batches:
+            for z in batch.column("z"):
+                out |= np.frombuffer(zlib.decompress(z.as_py()), np.uint8)
+        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([zlib.compress(out.tobytes())], pa.binary())], names=["block", "z"])
+
+    schema = "block int, z binary"
+    bitmap = np.zeros(bits // 8, np.uint8)
+    for block, z in df.mapInArrow(fill, schema).groupBy("block").applyInArrow(merge, schema).collect():
+        bitmap[block * BLOCK_BYTES : (block + 1) * BLOCK_BYTES] = np.frombuffer(zlib.decompress(bytes(z)), np.uint8)
+    return bitmap

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from ringann.llm import chat, decontaminate, fingerprints, jaccard, language, lines, lm, mixing, secrets
+from ringann.llm import chat, decontaminate, fingerprints, jaccard, language, lines, lm, mixing, secrets, suffix
 
 QUERIES = {
     "op1_jaccard_join": jaccard.op1_jaccard_join,
     "op2_mixing": mixing.op2_mixing,
     "op3_language_id": language.op3_language_id,
     "op4_lm_score": lm.op4_lm_score,
+    "op5_suffix_dedup": suffix.op5_suffix_dedup,
     "op6_chat_rotation": chat.op6_chat_rotation,
     "op8_fingerprints": fingerprints.op8_fingerprints,
     "op9_secrets": secrets.op9_secrets,
