@@ -6,7 +6,7 @@ equal passages have equal anchors but for their rims. Every repeated string hold
 bytes, whose next REACH bytes repeat; anchors whose REACH bytes are unique end the search for all that no repeat
 touches.
 
-A candidate anchor's suffix is the sequence of the next DEPTH anchors' symbols (hash of REACH bytes and gap).
+A candidate anchor's suffix is a sequence of DEPTH following anchors' symbols (hash of REACH bytes and gap).
 Distinct suffixes are dealt to shards by their first symbol, so that all that can agree meet. Each shard builds a
 difference-cover suffix array: sort sampled triples, recurse on their names, merge the remaining suffixes; then it
 compares adjacent prefixes, which gives each anchor's longest agreement with any other. Agreements decide
@@ -118,19 +118,25 @@ def anchors(body: np.ndarray) -> tuple[np.ndarray, Rolling]:
     return found[found + REACH <= len(body)], roll
 
 
-def _symbols(found: np.ndarray, roll: Rolling) -> tuple[np.ndarray, np.ndarray]:
-    """(hash of REACH bytes, the same with the gap to the anchor before) of each anchor."""
-    h = roll.spans(found, found + REACH)
-    gap = np.diff(found, prepend=0).astype(np.uint64)
-    return h, mix(h + gap * C1) | np.uint64(1)
+def _steps(found: np.ndarray, picked: np.ndarray) -> np.ndarray:
+    """Anchor numbers of each picked anchor's suffix, len(found) where there is none.
 
+    The next two anchors tell where a short agreement ends; three from LENGTH - REACH bytes on tell whether
+    all windows up to the next anchor repeat. In between, REACH bytes of neighbours overlap.
+    """
+    far = np.searchsorted(found, found[picked] + (LENGTH - REACH))
+    far = np.maximum(far, picked + 3)
+    at = np.stack([picked, picked + 1, picked + 2, far, far + 1, far + 2], axis=1)
+    return np.minimum(at, len(found))
 
-def _contexts(found, h, sym, picked):
-    """Symbol rows of the picked anchors: own hash first, then the following anchors' symbols; and a 64-bit key."""
-    at = picked[:, None] + np.arange(DEPTH)
-    ok = at < len(found)
-    rows = np.where(ok, sym[np.minimum(at, len(found) - 1)], np.uint64(0))
-    rows[:, 0] = h[picked] | np.uint64(1)
+
+def _contexts(found: np.ndarray, roll: Rolling, picked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Symbol rows of the picked anchors, and a 64-bit key: hashes of REACH bytes, each with its gap to the one before."""
+    h = np.append(roll.spans(found, found + REACH), np.uint64(0))
+    at = _steps(found, picked)
+    place = np.append(found, 0)[at]
+    gap = np.diff(place, axis=1, prepend=place[:, :1]).astype(np.uint64)
+    rows = np.where(at < len(found), mix(h[at] + gap * C1) | np.uint64(1), np.uint64(0))
     key = np.zeros(len(picked), np.uint64)
     for c in range(DEPTH):
         key = mix(key * C1 + rows[:, c])
@@ -192,8 +198,7 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             picks = batch.column("picks")
             for i, body in _texts(batch):
                 found, roll = anchors(body)
-                h, sym = _symbols(found, roll)
-                rows, key = _contexts(found, h, sym, np.searchsorted(found, np.array(picks[i].as_py())))
+                rows, key = _contexts(found, roll, np.searchsorted(found, np.array(picks[i].as_py())))
                 k = len(key)
                 yield pa.RecordBatch.from_arrays([_signed(key), pa.array([r.tobytes() for r in rows], pa.binary()), _signed(rows[:, 0]), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pa.array(picks[i].as_py(), pa.int32())], names=["key", "row", "h", "d", "t", "pos"])
 
@@ -223,12 +228,12 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         pos = np.array([x["pos"] for x in told])
         same, full = np.array([x["same"] for x in told]), np.array([x["full"] for x in told])
         at = np.searchsorted(found, pos)
-        last = np.minimum(at + np.maximum(same, 1) - 1, len(found) - 1)
-        sure = np.zeros(len(found), np.int64)
-        sure[at] = np.where(same > 0, found[last] + REACH, 0)  # end of what surely repeats from this anchor
-        most = np.zeros(len(found), np.int64)
-        beyond = at + same
-        most[at] = np.where(full | (beyond >= len(found)), len(body) + 1, found[np.minimum(beyond, len(found) - 1)] + REACH)
+        steps, line = _steps(found, at), np.arange(len(at))
+        sure = np.zeros(len(found), np.int64)  # end of what surely repeats from an anchor
+        sure[at] = np.where(same > 0, found[np.minimum(steps[line, np.maximum(same, 1) - 1], len(found) - 1)] + REACH, 0)
+        most = np.zeros(len(found), np.int64)  # what repeats from an anchor ends before
+        differs = steps[line, np.minimum(same, DEPTH - 1)]
+        most[at] = np.where(full | (differs >= len(found)), len(body) + 1, found[np.minimum(differs, len(found) - 1)] + REACH)
         s = np.arange(n)
         before = np.searchsorted(found, s, "right") - 1
         yes = (before >= 0) & (sure[np.maximum(before, 0)] >= s + length)
