@@ -174,9 +174,10 @@ class MinHash(Family):
     def codes(self, x):
         out = np.zeros((len(x), self.m), np.int32)
         for i, s in enumerate(x):
-            h = np.asarray(s, np.int64).astype(np.uint64)[:, None] * self.mix
-            h ^= h >> np.uint64(32)
-            h *= np.uint64(0x9E3779B97F4A7C15)
+            h = np.asarray(s, np.int64).astype(np.uint64)[:, None] + self.mix
+            for a, b in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+                h = (h ^ (h >> np.uint64(a))) * np.uint64(b)
+            h ^= h >> np.uint64(31)
             if len(h):
                 out[i] = (h.min(axis=0) >> np.uint64(33)).astype(np.int32)
         return out
