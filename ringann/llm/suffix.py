@@ -33,7 +33,7 @@ from ringann.llm.shared import stage
 LENGTH = 400
 W, GRAM, DEPTH = 64, 8, 6
 REACH = LENGTH - 2 * W  # bytes after an anchor that a repeat surely holds
-BITS = 1 << 26  # of the bitmap of open windows
+BITS = 1 << 28  # of the bitmap of open windows
 C1 = np.uint64(0xA24BAED4963EE407)
 
 
