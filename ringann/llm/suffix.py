@@ -10,7 +10,10 @@ A candidate anchor's suffix is a sequence of DEPTH following anchors' symbols (h
 Distinct suffixes are dealt to shards by their first symbol, so that all that can agree meet. Each shard builds a
 difference-cover suffix array: sort sampled triples, recurse on their names, merge the remaining suffixes; then it
 compares adjacent prefixes, which gives each anchor's longest agreement with any other. Agreements decide
-whole stretches at once. Windows at the rims of stretches, which anchors leave open, are compared by 96-bit hash.
+whole stretches at once. Windows at the rims of stretches, which anchors leave open, are compared in blocks of BLOCK
+starts that lie alike before their anchor: one row holds a 96-bit hash of the bytes that all windows of the block
+share, and the bytes around them, from which each window's own bytes are compared as they are. A stretch that
+repeats is listed against the rims by one of its occurrences. Of equal texts only one takes part in all this.
 
 Edge cases: null text is empty; texts shorter than `length` stay; rows equal in doc_id and text are one document
 given several times; a null doc_id is an id of its own; matches inside one document count; columns other than
@@ -33,7 +36,9 @@ from ringann.llm.shared import stage
 LENGTH = 400
 W, GRAM, DEPTH = 64, 8, 6
 REACH = LENGTH - 2 * W  # bytes after an anchor that a repeat surely holds
-BITS = 1 << 28  # of the bitmap of open windows
+SALTS = 64  # parts of a group of equal texts
+BLOCK = 16  # windows compared by one row
+BITS = 1 << 28  # of the bitmap of open blocks
 C1 = np.uint64(0xA24BAED4963EE407)
 
 
@@ -75,8 +80,8 @@ def suffix_array(s: np.ndarray) -> np.ndarray:
     return out
 
 
-def agreements(rows: np.ndarray) -> np.ndarray:
-    """For distinct symbol rows (0 fills short ones at the end): longest prefix shared with any other row."""
+def agreements(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For distinct symbol rows (0 fills short ones at the end): longest prefix shared with any other row, and with the row sorted before."""
     n, depth = rows.shape
     flat = np.unique(rows, return_inverse=True)[1].reshape(rows.shape) + 2
     text = np.concatenate([flat, np.ones((n, 1), np.int64)], axis=1)
@@ -89,10 +94,10 @@ def agreements(rows: np.ndarray) -> np.ndarray:
     order = order[order >= 0]
     a, b = rows[order[:-1]], rows[order[1:]]
     near = np.cumprod((a == b) & (a != 0), axis=1).sum(axis=1)
-    out = np.zeros(n, np.int64)
+    out, before = np.zeros(n, np.int64), np.zeros(n, np.int64)
+    before[order[1:]] = near
     out[order[:-1]] = near
-    out[order[1:]] = np.maximum(out[order[1:]], near)
-    return out
+    return np.maximum(out, before), before
 
 
 def _sliding(x: np.ndarray, w: int, op) -> np.ndarray:
@@ -143,6 +148,30 @@ def _contexts(found: np.ndarray, roll: Rolling, picked: np.ndarray) -> tuple[np.
     return rows, key
 
 
+def _blocks(found: np.ndarray, s: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(last start of its block, places before that) of each window start; equal windows have equal places.
+
+    The first anchor W - 1 bytes or more behind a start is set by the window's bytes alone, so blocks are laid from it.
+    """
+    back = found[np.searchsorted(found, s + W - 1)] - (W - 1) - s
+    return s + back % BLOCK, back % BLOCK
+
+
+def _cores(roll: Rolling, top: np.ndarray, n_bytes: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hash of the bytes that the windows of a block share, and of these with all bytes around them."""
+    core = roll.spans(top, top + (LENGTH - BLOCK + 1))
+    hull = roll.spans(np.maximum(top - (BLOCK - 1), 0), np.minimum(top + LENGTH, n_bytes))
+    return core, mix(core + hull * C1)
+
+
+def _edges(body: np.ndarray, top: np.ndarray) -> np.ndarray:
+    """The BLOCK - 1 bytes on either side of each core, 0 outside the text."""
+    padded = np.concatenate([np.zeros(BLOCK, np.uint8), body, np.zeros(BLOCK, np.uint8)])
+    line = np.arange(BLOCK - 1)
+    left = padded[BLOCK + top[:, None] - (BLOCK - 1) + line]
+    return np.concatenate([left, padded[BLOCK + top[:, None] + (LENGTH - BLOCK + 1) + line]], axis=1)
+
+
 def _texts(batch):
     codec = pa.Codec("zstd")
     z, n = batch.column("z"), batch.column("n").to_pylist()
@@ -159,7 +188,7 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     if length != LENGTH:
         raise ValueError("length is fixed with the anchors' reach")
     docs = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("d"), F.xxhash64("text").alias("t"), "text", F.col("doc_id").isNull().alias("nil"))
+    docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("d"), F.xxhash64("text").alias("t"), F.xxhash64(F.lit(1), "text").alias("u"), "text", F.col("doc_id").isNull().alias("nil"))
 
     def sample(batches):
         for rows, off, data in text_chunks(batches):
@@ -169,13 +198,13 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
                 out.append((i, found, roll.spans(found, found + REACH)))
             if out:
                 owner = np.repeat([o[0] for o in out], [len(o[1]) for o in out])
-                d, t = (rows.column(c).to_numpy()[owner] for c in ("d", "t"))
-                yield pa.RecordBatch.from_arrays([_signed(np.concatenate([o[2] for o in out])), pa.array(d), pa.array(t), pa.array(np.concatenate([o[1] for o in out]), pa.int32())], names=["h", "d", "t", "pos"])
+                d, t, u = (rows.column(c).to_numpy()[owner] for c in ("d", "t", "u"))
+                yield pa.RecordBatch.from_arrays([_signed(np.concatenate([o[2] for o in out])), pa.array(d), pa.array(t), pa.array(u), pa.array(np.concatenate([o[1] for o in out]), pa.int32())], names=["h", "d", "t", "u", "pos"])
 
     def whole(batches):
         for rows, off, data in text_chunks(batches):
             raw = data.tobytes()
-            yield pa.RecordBatch.from_arrays([rows.column("d"), rows.column("t"), rows.column("nil"), pa.array(np.diff(off)), pa.array([hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(off[:-1], off[1:])], pa.string())], names=["d", "t", "nil", "n_bytes", "sha"])
+            yield pa.RecordBatch.from_arrays([rows.column("d"), rows.column("t"), rows.column("u"), rows.column("nil"), pa.array(np.diff(off)), pa.array([hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(off[:-1], off[1:])], pa.string())], names=["d", "t", "u", "nil", "n_bytes", "sha"])
 
     def pack(batches):
         codec = pa.Codec("zstd", compression_level=3)
@@ -187,9 +216,9 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             yield pa.RecordBatch.from_arrays([rows.column("d").filter(m), rows.column("t").filter(m), pa.array(z, pa.binary()), pa.array(np.diff(off)[keep])], names=["d", "t", "z", "n"])
 
     w = Window.partitionBy("h")
-    place = F.struct("d", "t", "pos")
-    seen = docs.mapInArrow(sample, "h long, d long, t long, pos int").withColumns({"lo": F.min(place).over(w), "hi": F.max(place).over(w)})
-    cands = seen.where("lo <> hi").select("d", "t", "pos").groupBy("d", "t").agg(F.sort_array(F.collect_set("pos")).alias("picks"))
+    place = F.struct("t", "u", "pos")
+    seen = docs.mapInArrow(sample, "h long, d long, t long, u long, pos int").withColumns({"lo": F.min(place).over(w), "hi": F.max(place).over(w)})
+    cands = seen.where("lo <> hi").groupBy("t", "u").agg(F.min("d").alias("d"), F.sort_array(F.collect_set("pos")).alias("picks")).drop("u")
     packed = docs.mapInArrow(pack, "d long, t long, z binary, n long")
     work = stage(packed.join(cands, ["d", "t"]).dropDuplicates(["d", "t"]))
 
@@ -210,19 +239,24 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             rows.append(np.frombuffer(b"".join(x.as_py() for x in batch.column("row")), np.uint64).reshape(-1, DEPTH))
         rows, many = np.concatenate(rows), np.concatenate(many)
         size = (rows != 0).sum(axis=1)
-        found = np.where(many, size, agreements(rows))
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(found, pa.int32()), pa.array(found >= size)], names=["key", "same", "full"])
+        found, before = agreements(rows)
+        found = np.where(many, size, found)
+        # A suffix that agrees no further with any other than with the one sorted before it says nothing new.
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(found, pa.int32()), pa.array(found >= size), pa.array(before < found)], names=["key", "same", "full", "lists"])
 
     suffixes = work.select("d", "t", "z", "n", "picks").mapInArrow(contexts, "key long, row binary, h long, d long, t long, pos int")
     # Equal suffixes are one row before they reach a shard; a passage in very many documents is one suffix there.
-    distinct = suffixes.groupBy("key").agg(F.count("*").alias("c"), F.first("row").alias("row"), F.first("h").alias("h"))
+    distinct = suffixes.groupBy("key").agg(F.count("*").alias("c"), F.first("row").alias("row"), F.first("h").alias("h"), F.min(F.struct("d", "t", "pos")).alias("one"))
     shards = max(16, 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    ranked = distinct.withColumn("shard", F.pmod(F.xxhash64("h"), F.lit(shards))).groupBy("shard").applyInArrow(sort, "key long, same int, full boolean")
-    told = suffixes.select("key", "d", "t", "pos").join(ranked, "key").groupBy("d", "t").agg(F.sort_array(F.collect_list(F.struct("pos", "same", "full"))).alias("told"))
+    distinct = stage(distinct)
+    ranked = distinct.select("key", "c", "row", F.pmod(F.xxhash64("h"), F.lit(shards)).alias("shard")).groupBy("shard").applyInArrow(sort, "key long, same int, full boolean, lists boolean")
+    ranked = ranked.join(distinct.select("key", "one"), "key")
+    lists = F.col("lists") & (F.struct("d", "t", "pos") == F.col("one"))
+    told = suffixes.select("key", "d", "t", "pos").join(ranked, "key").groupBy("d", "t").agg(F.sort_array(F.collect_list(F.struct("pos", "same", "full", lists.alias("lists")))).alias("told"))
     judged = stage(work.drop("picks").join(told, ["d", "t"]))
 
     def decide(body, told):
-        """(windows known to repeat as a mask of starts, starts to be compared, Rolling)."""
+        """(windows known to repeat, those to be compared, those to be listed for these: masks of starts, anchors, Rolling)."""
         found, roll = anchors(body)
         n = len(body) - length + 1
         pos = np.array([x["pos"] for x in told])
@@ -237,42 +271,79 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         s = np.arange(n)
         before = np.searchsorted(found, s, "right") - 1
         yes = (before >= 0) & (sure[np.maximum(before, 0)] >= s + length)
+        lists = np.zeros(len(found), bool)
+        lists[at] = np.array([x["lists"] for x in told])
         inner = np.searchsorted(found, s + W - 1)
         maybe = (inner < len(found)) & (most[np.minimum(inner, len(found) - 1)] > s + length - 1)
-        return yes, np.flatnonzero(maybe & ~yes), roll
+        return yes, maybe & ~yes, yes & lists[np.maximum(before, 0)], found, roll
 
     def open_hashes(batches):
         for batch in batches:
             for i, body in _texts(batch):
-                _, s, roll = decide(body, batch.column("told")[i].as_py())
-                yield roll.spans(s, s + length)
+                _, ask, _, found, roll = decide(body, batch.column("told")[i].as_py())
+                top = np.unique(_blocks(found, np.flatnonzero(ask))[0])
+                yield roll.spans(top, top + (length - BLOCK + 1))
 
     known = docs.sparkSession.sparkContext.broadcast(merged_bitmap(judged, open_hashes, BITS))
 
-    def open_windows(batches):
+    def open_blocks(batches):
         bitmap = known.value
         for batch in batches:
             for i, body in _texts(batch):
-                yes, s, roll = decide(body, batch.column("told")[i].as_py())
-                sure = np.flatnonzero(yes)
-                s = np.concatenate([s, sure[has_bits(bitmap, bit_places(roll.spans(sure, sure + length), BITS))]])
-                if len(s):
-                    second = Rolling(BYTE_CODES[body], BASE2).spans(s, s + length)
-                    yield pa.RecordBatch.from_arrays([_signed(roll.spans(s, s + length)), pa.array((second >> np.uint64(33)).astype(np.int32)), pa.array(np.full(len(s), batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(len(s), batch.column("t")[i].as_py()), pa.int64()), pa.array(s, pa.int32())], names=["h", "g", "d", "t", "s"])
-
-    # Of the windows inside sure stretches only those are listed that may equal an open window, by a bitmap of fixed size.
-    w2, spot = Window.partitionBy("h", "g"), F.struct("d", "t", "s")
-    open_ = judged.mapInArrow(open_windows, "h long, g int, d long, t long, s int").withColumns({"lo": F.min(spot).over(w2), "hi": F.max(spot).over(w2)}).where("lo <> hi")
-    more = open_.groupBy("d", "t").agg(F.collect_list("s").alias("more"))
+                _, ask, listed, found, roll = decide(body, batch.column("told")[i].as_py())
+                s = np.flatnonzero(ask | listed)
+                if not len(s):
+                    continue
+                top, place = _blocks(found, s)
+                first = np.flatnonzero(np.diff(top, prepend=-1))
+                bit = 1 << place
+                asked = np.bitwise_or.reduceat(np.where(ask[s], bit, 0), first)
+                held = np.bitwise_or.reduceat(bit, first)
+                top = top[first]
+                core, key = _cores(roll, top, len(body))
+                use = asked > 0
+                use[~use] = has_bits(bitmap, bit_places(core[~use], BITS))
+                top, core, key, asked, held = (v[use] for v in (top, core, key, asked, held))
+                if not len(top):
+                    continue
+                # Equal blocks of one text are one row, which says what windows it has twice.
+                _, one, group = np.unique(key, return_index=True, return_inverse=True)
+                masks = np.zeros((3, len(one)), np.int64)  # asked, held, held twice
+                np.bitwise_or.at(masks[0], group, asked)
+                np.bitwise_or.at(masks[1], group, held)
+                for j in range(BLOCK):
+                    masks[2] |= (np.bincount(group, (held >> j) & 1, len(one)) > 1).astype(np.int64) << j
+                k = len(one)
+                second = Rolling(BYTE_CODES[body], BASE2).spans(top[one], top[one] + (length - BLOCK + 1))
+                edges = pa.array([e.tobytes() for e in _edges(body, top[one])], pa.binary())
+                yield pa.RecordBatch.from_arrays([_signed(core[one]), pa.array((second >> np.uint64(33)).astype(np.int32)), edges, *(pa.array(m, pa.int32()) for m in masks), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pa.array(top[one], pa.int32())], names=["h", "g", "edge", "asked", "held", "twice", "d", "t", "top"])
+
+    # Of the blocks inside sure stretches only those are listed that may equal an open one, by a bitmap of fixed size.
+    spot = F.struct("d", "t", "top")
+
+    def met(*keys: str):
+        w = Window.partitionBy("h", "g", *keys)
+        return {"lo": F.min(spot).over(w), "hi": F.max(spot).over(w), "again": F.max("twice").over(w)}
+
+    rows = judged.mapInArrow(open_blocks, "h long, g int, edge binary, asked int, held int, twice int, d long, t long, top int")
+    rows = rows.withColumns(met()).where("lo <> hi or again <> 0").drop("lo", "hi", "again")
+    rows = rows.withColumn("i", F.explode(F.expr(f"filter(sequence(0, {BLOCK - 1}), i -> (shiftright(held, i) & 1) = 1)")))
+    rows = rows.select("h", "g", "d", "t", "top", "i", F.expr(f"substring(edge, {BLOCK} - i, {BLOCK - 1})").alias("edge"), F.expr("(shiftright(asked, i) & 1) = 1").alias("asked"), F.expr("shiftright(twice, i) & 1").alias("twice"))
+    rows = rows.withColumns(met("i", "edge")).where("asked and (lo <> hi or again = 1)")
+    more = rows.groupBy("d", "t").agg(F.collect_list(F.struct("top", "i")).alias("more"))
 
     def cut(batches):
         for batch in batches:
             out = []
             for i, body in _texts(batch):
-                yes, _, _ = decide(body, batch.column("told")[i].as_py())
+                yes, ask, _, found, roll = decide(body, batch.column("told")[i].as_py())
                 extra = batch.column("more")[i].as_py()
                 if extra:
-                    yes[np.array(extra)] = True
+                    s = np.flatnonzero(ask)
+                    top, place = _blocks(found, s)
+                    hits = np.array([(e["top"], e["i"]) for e in extra])
+                    hit = mix(_cores(roll, hits[:, 0], len(body))[1] + hits[:, 1].astype(np.uint64))
+                    yes[s[np.isin(mix(_cores(roll, top, len(body))[1] + place.astype(np.uint64)), hit)]] = True
                 delta = np.zeros(len(body) + 1, np.int64)
                 hit = np.flatnonzero(yes)
                 delta[hit] += 1
@@ -284,8 +355,13 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("d"), batch.column("t"), pa.array([o[0] for o in out], pa.int64()), pa.array([o[2] for o in out], pa.string()), pa.array([o[1] for o in out], pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())])))], names=["d", "t", "n_removed", "kept", "spans"])
 
     cuts = judged.join(more, ["d", "t"], "left").mapInArrow(cut, "d long, t long, n_removed long, kept string, spans array<struct<start:long,stop:long>>").where("n_removed > 0")
-    base = docs.mapInArrow(whole, "d long, t long, nil boolean, n_bytes long, sha string")
-    out = base.join(cuts, ["d", "t"], "left")
+    base = docs.mapInArrow(whole, "d long, t long, u long, nil boolean, n_bytes long, sha string")
+    # A text that other documents hold too goes as a whole; its documents are dealt out by a salt.
+    copied = docs.where(F.octet_length("text") >= length).groupBy("t", "u").agg(F.min("d").alias("lo"), F.max("d").alias("hi")).where("lo <> hi")
+    copied = copied.select("t", "u", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.lit(True).alias("copied"))
+    out = base.join(cuts, ["d", "t"], "left").withColumn("salt", F.pmod(F.xxhash64("d"), F.lit(SALTS)).cast("int")).join(copied, ["t", "u", "salt"], "left")
+    span = F.struct(F.lit(0).cast("long").alias("start"), F.col("n_bytes").alias("stop"))
+    out = out.withColumns({"n_removed": F.when(F.col("copied"), F.col("n_bytes")).otherwise(F.col("n_removed")), "spans": F.when(F.col("copied"), F.array(span)).otherwise(F.col("spans")), "kept": F.when(F.col("copied"), F.lit(hashlib.sha256(b"").hexdigest())).otherwise(F.col("kept"))})
     return out.select(
         F.when(~F.col("nil"), F.col("d")).alias("doc_id"), "n_bytes", F.coalesce("n_removed", F.lit(0)).cast("long").alias("n_removed"),
         F.coalesce(F.size("spans"), F.lit(0)).cast("long").alias("n_spans"), F.coalesce("kept", "sha").alias("kept_sha256"), F.coalesce("spans", F.array().cast("array<struct<start:long,stop:long>>")).alias("spans"),
