@@ -179,6 +179,20 @@ def _texts(batch):
         yield i, np.frombuffer(codec.decompress(z[i].as_py(), n[i], asbytes=True), np.uint8)
 
 
+def _lists(column) -> list[list[np.ndarray]]:
+    """Rows of a column of lists of structs: for each row one array per field."""
+    off, fields = column.offsets.to_numpy(), [f.to_numpy(zero_copy_only=False) for f in column.values.flatten()]
+    return [[f[a:b] for f in fields] for a, b in zip(off[:-1], off[1:])]
+
+
+def _packed(rows: np.ndarray):
+    """Equally long rows as a binary column."""
+    raw = np.ascontiguousarray(rows)
+    wide = raw.nbytes // max(1, len(raw))
+    off = np.arange(len(raw) + 1, dtype=np.int32) * np.int32(wide)
+    return pa.Array.from_buffers(pa.binary(), len(raw), [None, pa.py_buffer(off), pa.py_buffer(raw)])
+
+
 def _signed(x):
     return pa.array(np.ascontiguousarray(x).view(np.int64))
 
@@ -195,11 +209,12 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             out = []
             for i in np.flatnonzero(np.diff(off) >= length):
                 found, roll = anchors(data[off[i] : off[i + 1]])
-                out.append((i, found, roll.spans(found, found + REACH)))
+                h, one, times = np.unique(roll.spans(found, found + REACH), return_index=True, return_counts=True)
+                out.append((i, found[one], h, times > 1))
             if out:
                 owner = np.repeat([o[0] for o in out], [len(o[1]) for o in out])
                 d, t, u = (rows.column(c).to_numpy()[owner] for c in ("d", "t", "u"))
-                yield pa.RecordBatch.from_arrays([_signed(np.concatenate([o[2] for o in out])), pa.array(d), pa.array(t), pa.array(u), pa.array(np.concatenate([o[1] for o in out]), pa.int32())], names=["h", "d", "t", "u", "pos"])
+                yield pa.RecordBatch.from_arrays([_signed(np.concatenate([o[2] for o in out])), pa.array(d), pa.array(t), pa.array(u), pa.array(np.concatenate([o[1] for o in out]), pa.int32()), pa.array(np.concatenate([o[3] for o in out]))], names=["h", "d", "t", "u", "pos", "many"])
 
     def whole(batches):
         for rows, off, data in text_chunks(batches):
@@ -217,19 +232,21 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     w = Window.partitionBy("h")
     place = F.struct("t", "u", "pos")
-    seen = docs.mapInArrow(sample, "h long, d long, t long, u long, pos int").withColumns({"lo": F.min(place).over(w), "hi": F.max(place).over(w)})
-    cands = seen.where("lo <> hi").groupBy("t", "u").agg(F.min("d").alias("d"), F.sort_array(F.collect_set("pos")).alias("picks")).drop("u")
+    seen = docs.mapInArrow(sample, "h long, d long, t long, u long, pos int, many boolean").withColumns({"lo": F.min(place).over(w), "hi": F.max(place).over(w), "again": F.max("many").over(w)})
+    cands = seen.where("lo <> hi or again").groupBy("t", "u").agg(F.min("d").alias("d"), F.sort_array(F.collect_set("pos")).alias("picks")).drop("u")
     packed = docs.mapInArrow(pack, "d long, t long, z binary, n long")
     work = stage(packed.join(cands, ["d", "t"]).dropDuplicates(["d", "t"]))
 
     def contexts(batches):
         for batch in batches:
-            picks = batch.column("picks")
+            off, picks = batch.column("picks").offsets.to_numpy(), batch.column("picks").values.to_numpy()
             for i, body in _texts(batch):
                 found, roll = anchors(body)
-                rows, key = _contexts(found, roll, np.searchsorted(found, np.array(picks[i].as_py())))
+                h = roll.spans(found, found + REACH)
+                at = np.flatnonzero(np.isin(h, h[np.searchsorted(found, picks[off[i] : off[i + 1]])]))
+                rows, key = _contexts(found, roll, at)
                 k = len(key)
-                yield pa.RecordBatch.from_arrays([_signed(key), pa.array([r.tobytes() for r in rows], pa.binary()), _signed(rows[:, 0]), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pa.array(picks[i].as_py(), pa.int32())], names=["key", "row", "h", "d", "t", "pos"])
+                yield pa.RecordBatch.from_arrays([_signed(key), _packed(rows), _signed(rows[:, 0]), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pa.array(found[at], pa.int32())], names=["key", "row", "h", "d", "t", "pos"])
 
     def sort(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, rows, many = [], [], []
@@ -259,8 +276,7 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         """(windows known to repeat, those to be compared, those to be listed for these: masks of starts, anchors, Rolling)."""
         found, roll = anchors(body)
         n = len(body) - length + 1
-        pos = np.array([x["pos"] for x in told])
-        same, full = np.array([x["same"] for x in told]), np.array([x["full"] for x in told])
+        pos, same, full, new = told
         at = np.searchsorted(found, pos)
         steps, line = _steps(found, at), np.arange(len(at))
         sure = np.zeros(len(found), np.int64)  # end of what surely repeats from an anchor
@@ -269,18 +285,22 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         differs = steps[line, np.minimum(same, DEPTH - 1)]
         most[at] = np.where(full | (differs >= len(found)), len(body) + 1, found[np.minimum(differs, len(found) - 1)] + REACH)
         s = np.arange(n)
-        before = np.searchsorted(found, s, "right") - 1
-        yes = (before >= 0) & (sure[np.maximum(before, 0)] >= s + length)
-        lists = np.zeros(len(found), bool)
-        lists[at] = np.array([x["lists"] for x in told])
-        inner = np.searchsorted(found, s + W - 1)
-        maybe = (inner < len(found)) & (most[np.minimum(inner, len(found) - 1)] > s + length - 1)
-        return yes, maybe & ~yes, yes & lists[np.maximum(before, 0)], found, roll
+        lists = np.zeros(len(found) + 1, bool)
+        lists[1 + at] = new
+        # Anchors up to each place; entry 0 of `sure` and `lists`, and the last of `most`, stand for no anchor.
+        upto = np.zeros(len(body), np.int32)
+        upto[found] = 1
+        upto = np.cumsum(upto, dtype=np.int32)
+        before, inner = upto[:n], upto[W - 2 : W - 2 + n]
+        yes = np.append(0, sure)[before] >= s + length
+        maybe = np.append(most, 0)[inner] >= s + length
+        return yes, maybe & ~yes, yes & lists[before], found, roll
 
     def open_hashes(batches):
         for batch in batches:
+            told = _lists(batch.column("told"))
             for i, body in _texts(batch):
-                _, ask, _, found, roll = decide(body, batch.column("told")[i].as_py())
+                _, ask, _, found, roll = decide(body, told[i])
                 top = np.unique(_blocks(found, np.flatnonzero(ask))[0])
                 yield roll.spans(top, top + (length - BLOCK + 1))
 
@@ -289,8 +309,9 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     def open_blocks(batches):
         bitmap = known.value
         for batch in batches:
+            told = _lists(batch.column("told"))
             for i, body in _texts(batch):
-                _, ask, listed, found, roll = decide(body, batch.column("told")[i].as_py())
+                _, ask, listed, found, roll = decide(body, told[i])
                 s = np.flatnonzero(ask | listed)
                 if not len(s):
                     continue
@@ -315,7 +336,7 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
                     masks[2] |= (np.bincount(group, (held >> j) & 1, len(one)) > 1).astype(np.int64) << j
                 k = len(one)
                 second = Rolling(BYTE_CODES[body], BASE2).spans(top[one], top[one] + (length - BLOCK + 1))
-                edges = pa.array([e.tobytes() for e in _edges(body, top[one])], pa.binary())
+                edges = _packed(_edges(body, top[one]))
                 yield pa.RecordBatch.from_arrays([_signed(core[one]), pa.array((second >> np.uint64(33)).astype(np.int32)), edges, *(pa.array(m, pa.int32()) for m in masks), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pa.array(top[one], pa.int32())], names=["h", "g", "edge", "asked", "held", "twice", "d", "t", "top"])
 
     # Of the blocks inside sure stretches only those are listed that may equal an open one, by a bitmap of fixed size.
@@ -334,9 +355,10 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     def cut(batches):
         for batch in batches:
+            told = _lists(batch.column("told"))
             out = []
             for i, body in _texts(batch):
-                yes, ask, _, found, roll = decide(body, batch.column("told")[i].as_py())
+                yes, ask, _, found, roll = decide(body, told[i])
                 extra = batch.column("more")[i].as_py()
                 if extra:
                     s = np.flatnonzero(ask)
