@@ -134,6 +134,30 @@ def test_repeats(docs):
     assert sorted((str(r["doc_id"]), r["n_bytes"], r["n_removed"], r["kept_sha256"]) for r in got) == sorted(want)
 
 
+def test_repeats_at_rims(spark):
+    g = np.random.default_rng(9)
+    base, texts = prose(600), []
+    for n in range(60):
+        lo, size = int(g.integers(0, 2000)), int(g.integers(380, 1500))
+        cut = list(base[lo : lo + size])
+        for at in g.integers(0, len(cut), n % 4):
+            cut[at] = "#"
+        texts.append(prose(int(g.integers(0, 20))) + "".join(cut) + ("ab " * 300 if n % 20 == 0 else ""))
+    seen: dict = {}
+    for t in texts:
+        for s in range(len(t) - 399):
+            seen[t[s : s + 400]] = seen.get(t[s : s + 400], 0) + 1
+    want = {}
+    for n, t in enumerate(texts):
+        gone = np.zeros(len(t), bool)
+        for s in range(len(t) - 399):
+            if seen[t[s : s + 400]] > 1:
+                gone[s : s + 400] = True
+        want[n] = (int(gone.sum()), hashlib.sha256("".join(c for c, g in zip(t, gone) if not g).encode()).hexdigest())
+    got = suffix.repeats(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert {r["doc_id"]: (r["n_removed"], r["kept_sha256"]) for r in got} == want
+
+
 def test_fingerprints(spark):
     from pyspark.sql import functions as F
 
