@@ -45,8 +45,8 @@ def affected(bound: np.ndarray, first: int) -> list[int]:
     return [i for i in ((first - d) % m for d in range(m - 1, -1, -1)) if (first - i) % m <= reach[i]]
 
 
-def search(shard: rotation.Shard, q: np.ndarray, alt_codes: np.ndarray, scores: np.ndarray, k: int, n_probes: int, max_gap: int = MAX_GAP, skip: bool = True, ties: bool = False) -> tuple[dict[int, int], int]:
-    """({row: longest prefix with the query or a probe}, rotations searched again). skip=False searches every rotation of every probe."""
+def search_rows(shard: rotation.Shard, q: np.ndarray, alt_codes: np.ndarray, scores: np.ndarray, k: int, n_probes: int, max_gap: int = MAX_GAP, skip: bool = True, ties: bool = False) -> tuple[np.ndarray, np.ndarray, int]:
+    """(rows, longest prefixes with the query or a probe, rotations searched again). skip=False searches every rotation of every probe."""
     heap: list = []
     base = rotation.bounds(shard, q)
     rotation.push_heads(shard, heap, base, range(shard.m), q, 0)
@@ -72,4 +72,10 @@ def search(shard: rotation.Shard, q: np.ndarray, alt_codes: np.ndarray, scores:
             )
             before = i
         rotation.push_heads(shard, heap, found, rots, p, number)
-    return rotation._merge(shard, heap, min(k, shard.n), ties, {}), again
+    return *rotation._merge(shard, heap, min(k, shard.n), ties), again
+
+
+def search(shard: rotation.Shard, q: np.ndarray, alt_codes: np.ndarray, scores: np.ndarray, k: int, n_probes: int, max_gap: int = MAX_GAP, skip: bool = True, ties: bool = False) -> tuple[dict[int, int], int]:
+    """search_rows as ({row: longest prefix}, rotations searched again)."""
+    rows, lens, again = search_rows(shard, q, alt_codes, scores, k, n_probes, max_gap, skip, ties)
+    return dict(zip(rows.tolist(), lens.tolist())), again

@@ -22,9 +22,17 @@ class Shard:
             order, link = build(codes)
         self.order, self.link = order, link
         self.steps = 0
+        self.seen = np.zeros(self.n, bool)  # all false between searches
 
     def rotated(self, row: int, rot: int) -> np.ndarray:
-        return np.roll(self.codes[row], -rot)
+        row = self.codes[row]
+        return np.concatenate([row[rot:], row[:rot]])
+
+    def shares(self, rank: int, rot: int, q: np.ndarray, length: int) -> bool:
+        """Whether the string at this rank of a rotation has the first `length` symbols of q."""
+        row = self.codes[self.order[rot, rank]]
+        head = min(length, self.m - rot)
+        return bool((row[rot : rot + head] == q[:head]).all() and (row[: length - head] == q[head:length]).all())
 
 
 def build(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -86,22 +94,53 @@ def bounds(shard: Shard, q: np.ndarray, narrowed: bool = True) -> np.ndarray:
     return out
 
 
-def _merge(shard: Shard, heap: list, k: int, ties: bool, found: dict) -> dict:
-    """Pops the longest prefix first (a list has one entry at a time, so strings are never compared); `ties` goes on through all entries as long as the k-th."""
-    need = None
+def _plateau(shard: Shard, rank: int, rot: int, step: int, q: np.ndarray, length: int) -> int:
+    """First rank from `rank` on, in direction step, that shares less than `length` with q: prefixes only get shorter away from q."""
+    room = shard.n - 1 - rank if step > 0 else rank
+    if not length:
+        return rank + step * (room + 1)
+    good, reach = 0, 1
+    while reach <= room and shard.shares(rank + step * reach, rot, q, length):
+        good, reach = reach, reach * 2
+    bad = min(reach, room + 1)
+    while bad - good > 1:
+        mid = (good + bad) // 2
+        if shard.shares(rank + step * mid, rot, q, length):
+            good = mid
+        else:
+            bad = mid
+    return rank + step * bad
+
+
+def _merge(shard: Shard, heap: list, k: int, ties: bool) -> tuple[np.ndarray, np.ndarray]:
+    """(rows, run lengths), the longest prefix first; `ties` goes on through all entries as long as the k-th.
+
+    Each step takes all neighbours of one list that share the same prefix length, so that plateaus of equal
+    lengths cost a few comparisons. A list has one entry at a time, so strings are never compared in the heap.
+    """
+    rows, lens, count, need = [], [], 0, None
     while heap:
         neg, probe, rot, step, rank, q = heapq.heappop(heap)
-        if len(found) >= k and (not ties or -neg < need):
+        length = -neg
+        if count >= k and (not ties or length < need):
             break
-        row = int(shard.order[rot, rank])
-        if row not in found:
-            found[row] = -neg
-            if len(found) == k:
-                need = -neg
-        rank += step
-        if 0 <= rank < shard.n:
-            heapq.heappush(heap, (-_lcp(shard.rotated(shard.order[rot, rank], rot), q), probe, rot, step, rank, q))
-    return found
+        end = _plateau(shard, rank, rot, step, q, length)
+        part = shard.order[rot, rank:end] if step > 0 else shard.order[rot, end + 1 : rank + 1][::-1]
+        new = part[~shard.seen[part]]
+        if not ties:
+            new = new[: k - count]
+        if len(new):
+            shard.seen[new] = True
+            rows.append(new)
+            lens.append(np.full(len(new), length, np.int32))
+            count += len(new)
+            if need is None and count >= k:
+                need = length
+        if 0 <= end < shard.n:
+            heapq.heappush(heap, (-_lcp(shard.rotated(shard.order[rot, end], rot), q), probe, rot, step, end, q))
+    found = np.concatenate(rows) if rows else np.zeros(0, np.int32)
+    shard.seen[found] = False
+    return found, np.concatenate(lens) if lens else np.zeros(0, np.int32)
 
 
 def push_heads(shard: Shard, heap: list, bound: np.ndarray, rotations, q: np.ndarray, probe: int) -> None:
@@ -114,12 +153,24 @@ def push_heads(shard: Shard, heap: list, bound: np.ndarray, rotations, q: np.nda
             heapq.heappush(heap, (-int(up_len), probe, int(i), 1, int(up), rq))
 
 
-def k_search(shard: Shard, q: np.ndarray, k: int, ties: bool = False, narrowed: bool = True) -> dict[int, int]:
-    """{row: run length} of k objects with the longest runs; with ties, all that tie with the k-th as well."""
+def k_search_rows(shard: Shard, q: np.ndarray, k: int, ties: bool = False, narrowed: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    """(rows, run lengths) of k objects with the longest runs; with ties, all that tie with the k-th as well."""
     heap: list = []
     b = bounds(shard, q, narrowed)
     push_heads(shard, heap, b, range(shard.m), q, 0)
-    return _merge(shard, heap, min(k, shard.n), ties, {})
+    return _merge(shard, heap, min(k, shard.n), ties)
+
+
+def k_search(shard: Shard, q: np.ndarray, k: int, ties: bool = False, narrowed: bool = True) -> dict[int, int]:
+    """k_search_rows as {row: run length}."""
+    rows, lens = k_search_rows(shard, q, k, ties, narrowed)
+    return dict(zip(rows.tolist(), lens.tolist()))
+
+
+def cut_rows(rows: np.ndarray, lens: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(rows, run lengths) by (run length descending, id), k at most."""
+    by = np.lexsort((ids[rows], -lens))[:k]
+    return rows[by], lens[by]
 
 
 def cut_ties(found: dict[int, int], ids: np.ndarray, k: int) -> list[tuple[int, int]]:

@@ -114,14 +114,13 @@ def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int,
                     cols: list[list] = [[], [], [], []]
                     for j in range(len(qids)):
                         if alts is None:
-                            found = rotation.k_search(s, codes[j], want, ties == "id")
+                            rows, lens = rotation.k_search_rows(s, codes[j], want, ties == "id")
                         else:
-                            found, _ = probe.search(s, codes[j], alts[0][j], alts[1][j], want, n_probes, max_gap, ties=ties == "id")
-                        best = rotation.cut_ties(found, s.ids, want)
-                        rows = np.array([r for r, _ in best], np.int64)
+                            rows, lens, _ = probe.search_rows(s, codes[j], alts[0][j], alts[1][j], want, n_probes, max_gap, ties=ties == "id")
+                        rows, lens = rotation.cut_rows(rows, lens, s.ids, want)
                         cols[0].append(np.full(len(rows), qids[j]))
                         cols[1].append(s.ids[rows])
-                        cols[2].append(np.array([v for _, v in best], np.int32))
+                        cols[2].append(lens)
                         cols[3].append(distances(metric, vecs[rows], qvec[j]))
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["qid", "obj_id", "run_len", "dist"])
 

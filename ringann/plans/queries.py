@@ -156,10 +156,11 @@ def rotation_orders(spark, d):
 
 def documents_dups(spark, d):
     """Exact copies among documents through the ring index: nearest other document at distance 0."""
-    data = workloads.hashed_documents(read_table(spark, d, "documents"), 128)
+    docs = read_table(spark, d, "documents")
+    data = workloads.hashed_documents(docs, 128)
     fam = families.RandomProjection(128, 16, 1.0, seed=3)
-    queries = data.where(F.pmod("obj_id", F.lit(20)) == 0).withColumnRenamed("obj_id", "qid")
-    return _round(search.ring_search(search.build_index(data, fam, 5000), fam, queries, 100, 10, exclude_self=True).drop("run_len"))
+    queries = workloads.hashed_documents(docs.where(F.pmod("doc_id", F.lit(20)) == 0), 128).withColumnRenamed("obj_id", "qid")
+    return _round(search.ring_search(search.build_index(data, fam, 5000, rows=docs.count()), fam, queries, 100, 10, exclude_self=True).drop("run_len"))
 
 
 def contamination(spark, d):

@@ -19,17 +19,25 @@ def hashed_documents(docs: DataFrame, d: int, ident: str = "doc_id", text: str =
 
     def run(batches):
         import zlib
+        from collections import Counter
 
+        known: dict[str, int] = {}
         for b in batches:
             rows, ids = [], []
             for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 t = (t or "").lower()
                 x = np.zeros(d)
-                grams, counts = np.unique([t[j : j + 3] for j in range(len(t) - 2)] or [""], return_counts=True)
-                if grams[0] == "" and len(grams) == 1:
+                counts = Counter(map(t.__getitem__, map(slice, range(len(t) - 2), range(3, len(t) + 1))))
+                if not counts:
                     continue
-                h = np.array([zlib.crc32(g.encode()) for g in grams], np.int64)
-                np.add.at(x, h % d, np.where(h // d % 2 == 0, 1.0, -1.0) * counts)
+                for g in counts.keys() - known.keys():
+                    if len(known) >= 1_000_000:
+                        known.clear()
+                        known.update((x, zlib.crc32(x.encode())) for x in counts)
+                        break
+                    known[g] = zlib.crc32(g.encode())
+                h = np.fromiter(map(known.__getitem__, counts), np.int64, len(counts))
+                np.add.at(x, h % d, np.where(h // d % 2 == 0, 1.0, -1.0) * np.fromiter(counts.values(), np.int64, len(counts)))
                 size = np.sqrt((x * x).sum())
                 if size > 0:
                     rows.append(x / size), ids.append(i)
