@@ -17,10 +17,13 @@ def recall(result: DataFrame, truth: DataFrame, k: int, denominator: str = "k")
     return n.join(hit, "qid", "left").select("qid", F.coalesce(F.col("hits") / F.col("n"), F.lit(0.0)).alias("recall"))
 
 
-def overall_ratio(result: DataFrame, truth: DataFrame) -> DataFrame:
-    """(qid, ratio, n_zero): mean of distance over exact distance by rank; 0/0 is 1, other x/0 are left out and counted."""
+def overall_ratio(result: DataFrame, truth: DataFrame, zero: float = 1e-7) -> DataFrame:
+    """(qid, ratio, n_zero): mean of distance over exact distance by rank; 0/0 is 1, other x/0 are left out and counted.
+
+    Distances up to `zero` count as 0: angles of equal vectors come out as rounding noise of up to some 1e-8.
+    """
     both = result.select("qid", "rnk", "dist").join(truth.select("qid", "rnk", F.col("dist").alias("best")), ["qid", "rnk"])
-    value = F.when(F.col("best") > 0, F.col("dist") / F.col("best")).when(F.col("dist") == 0, 1.0)
+    value = F.when(F.col("best") > zero, F.col("dist") / F.col("best")).when(F.col("dist") <= zero, 1.0)
     return both.groupBy("qid").agg(F.avg(value).alias("ratio"), F.sum(F.when(value.isNull(), 1).otherwise(0)).alias("n_zero"))
 
 

@@ -43,17 +43,18 @@ def time_recall(spark, data, queries, d: int, metric: str = "euclidean", k: int
     """Every method over its grid, at one k: the time-recall and time-ratio curves."""
     truth = search.exact_knn(data, queries, k, metric).persist()
     rows = ring_rows(spark, data, queries, truth, d, metric, ms, lams, None, k, width, path)
+    n = data.count()  # rivals' index sizes: their entries packed, an id of 8 bytes with codes of 4 or projections of 8
     make = lambda m: families.RandomProjection(d, m, width, 1) if metric == "euclidean" else families.CrossPolytope(d, m, 1, "hadamard")
     for kk, tables in concat:
         fam = make(kk * tables)
-        rows.append(measured(spark, "static_concat", {"K": kk, "L": tables}, baselines.static_concat(data, fam, queries, kk, tables, k), truth, k))
-        rows.append(measured(spark, "multiprobe_static", {"K": kk, "L": tables, "probes": 4}, baselines.multiprobe_static(data, fam, queries, kk, tables, k, 4), truth, k))
+        rows.append(measured(spark, "static_concat", {"K": kk, "L": tables}, baselines.static_concat(data, fam, queries, kk, tables, k), truth, k, n * tables * (8 + 4 * kk)))
+        rows.append(measured(spark, "multiprobe_static", {"K": kk, "L": tables, "probes": 4}, baselines.multiprobe_static(data, fam, queries, kk, tables, k, 4), truth, k, n * tables * (8 + 4 * kk)))
     for m in ms:
         for t in thresholds:
-            rows.append(measured(spark, "collision_count", {"m": m, "l": t}, baselines.collision_count(data, make(m), queries, t, k), truth, k))
+            rows.append(measured(spark, "collision_count", {"m": m, "l": t}, baselines.collision_count(data, make(m), queries, t, k), truth, k, n * m * 12))
     if metric == "euclidean":
-        rows.append(measured(spark, "projected_incremental", {"d": 6, "budget": 100}, baselines.projected_incremental(data, queries, d, 6, 100, k), truth, k))
-        rows.append(measured(spark, "query_aware_count", {"m": 16, "l": 10}, baselines.query_aware_count(data, queries, d, 16, width / 2, 10, k), truth, k))
+        rows.append(measured(spark, "projected_incremental", {"d": 6, "budget": 100}, baselines.projected_incremental(data, queries, d, 6, 100, k), truth, k, n * 8 * 7))
+        rows.append(measured(spark, "query_aware_count", {"m": 16, "l": 10}, baselines.query_aware_count(data, queries, d, 16, width / 2, 10, k), truth, k, n * 16 * 16))
     return spark.createDataFrame(rows, ROW)
 
 

@@ -157,3 +157,24 @@ def test_stream_equals_batch(spark, tmp_path):
     stream.writeStream.format("memory").queryName("profiles").outputMode("complete").trigger(availableNow=True).start().awaitTermination()
     want = {tuple(map(str, r)) for r in streams.event_profiles(src).collect()}
     assert {tuple(map(str, r)) for r in spark.table("profiles").collect()} == want
+
+
+def test_plateaus_of_equal_strings():
+    from ringann.operators import rotation
+
+    codes = np.repeat(np.array([[1, 2, 3], [1, 2, 4], [9, 9, 9]], np.int32), 300, axis=0)
+    s = rotation.Shard(np.arange(900), codes)
+    rows, lens = rotation.k_search_rows(s, np.array([1, 2, 3], np.int32), 5, ties=True)
+    assert sorted(rows) == list(range(300)) and set(lens) == {3} and not s.seen.any()
+    assert len(rotation.k_search(s, np.array([1, 2, 3], np.int32), 5)) == 5
+    rows, lens = rotation.k_search_rows(s, np.array([1, 2, 3], np.int32), 301, ties=True)
+    assert len(rows) == 600 and sorted(set(lens)) == [2, 3]
+
+
+def test_ratio_of_angles_that_are_rounding_noise(spark):
+    from ringann.functions import measures
+
+    truth = spark.createDataFrame([(1, 1, 2e-8), (1, 2, 0.5)], "qid long, rnk int, dist double")
+    found = spark.createDataFrame([(1, 1, 0.0), (1, 2, 1.0)], "qid long, rnk int, dist double")
+    row = measures.overall_ratio(found, truth).first()
+    assert row["ratio"] == 1.5 and row["n_zero"] == 0
