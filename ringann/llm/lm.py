@@ -7,8 +7,8 @@ against the answers. A count gathered from the corpus thus crosses the network o
 driver holds the vocabulary.
 
 Mixture weights, one triple for each bucket of log2 context frequency, are learned by expectation-maximisation
-on deleted counts: tokens of the training documents in every EM_BLOCKS-th block (in all, if blocks are few) are predicted
-from the totals of all blocks without their own. Their estimates reach the driver as a histogram of bounded size.
+on deleted counts: tokens of all training documents are predicted from the totals of all blocks without their own.
+Their estimates reach the driver as a histogram of bounded size.
 
 Edge cases: null text is empty and has one token, the end; unseen contexts use bucket 0; without training tokens
 the model is uniform; repeated rows count each; a null doc_id hashes as the empty text.
@@ -29,7 +29,6 @@ from ringann.llm.language import fold
 from ringann.llm.shared import stage
 
 FOLDS, HELD = 5, 1
-EM_BLOCKS = 5  # weights are learned on every fifth block, of all blocks' counts but its own
 BLOCK_BYTES = 6 << 20
 CONTEXTS, STEP, FLOOR = 40, 4, 40  # context buckets; histogram steps per factor of 2; lowest log2 kept apart
 END, START = np.uint64(0x1F83D9ABFB41BD6B), np.uint64(0x5BE0CD19137E2179)
@@ -194,8 +193,7 @@ def score(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
         code, n = np.unique(((_bucket(np.maximum(ctx, 0)) * q + step(p2)) * q + step(p1))[pick], return_counts=True)
         yield pa.RecordBatch.from_arrays([pa.array(code, pa.int64()), pa.array(n, pa.int64())], names=["code", "n"])
 
-    em_block = F.pmod(F.col("block"), F.lit(EM_BLOCKS)) == 0 if blocks >= 4 * EM_BLOCKS else F.lit(True)
-    cells = rows.union(empty).where(em_block).groupBy("block").applyInArrow(histogram, "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).collect()
+    cells = rows.union(empty).groupBy("block").applyInArrow(histogram, "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).collect()
     weights = learn([(r[0], r[1]) for r in cells], uniform)
 
     def judge(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

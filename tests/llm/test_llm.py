@@ -110,6 +110,15 @@ def test_lm_counts_and_gain(spark):
     assert sum(r["score"] for r in out) > sum(r["base_score"] for r in out)
 
 
+def test_lm_weights_come_from_all_training_tokens(spark, monkeypatch):
+    seen, learn = [], lm.learn
+    monkeypatch.setattr(lm, "learn", lambda cells, uniform: seen.append(sum(n for _, n in cells)) or learn(cells, uniform))
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    for block_bytes in (10_000, lm.BLOCK_BYTES):
+        got = lm.score(docs, block_bytes).collect()
+        assert seen.pop() == got[0]["train_tokens"] == sum(r["n_tokens"] for r in got if not r["held_out"])
+
+
 def test_suffix_array():
     for _ in range(500):
         s = rng.integers(1, 4, rng.integers(1, 40))
