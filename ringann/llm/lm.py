@@ -7,8 +7,8 @@ against the answers. A count gathered from the corpus thus crosses the network o
 driver holds the vocabulary.
 
 Mixture weights, one triple for each bucket of log2 context frequency, are learned by expectation-maximisation
-on deleted counts: tokens of all training documents are predicted from the totals of all blocks without their own.
-Their estimates reach the driver as a histogram of bounded size.
+on deleted counts: tokens of all training documents are predicted from the totals without their own document, so that
+weights do not depend on blocks. Their estimates reach the driver as a histogram of bounded size.
 
 Edge cases: null text is empty and has one token, the end; unseen contexts use bucket 0; without training tokens
 the model is uniform; repeated rows count each; a null doc_id hashes as the empty text.
@@ -131,15 +131,30 @@ def _counts(rows: DataFrame, shards: int) -> DataFrame:
     return asked.groupBy("shard", "kind").applyInArrow(answer, "block int, kind int, shard int, n long, z binary")
 
 
+def _in_document(doc: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """How often each token's key, by its number `at`, occurs in the token's document; documents lie in order."""
+    at, by = at.astype(np.int32), np.argsort(at.astype(np.int32), kind="stable").astype(np.int32)
+    new = np.ones(len(at) + 1, bool)
+    new[1:-1] = (np.diff(at[by]) != 0) | (np.diff(doc[by]) != 0)
+    size = np.diff(np.flatnonzero(new)).astype(np.int32)
+    n = np.empty(len(at), np.int32)
+    n[by] = np.repeat(size, size)
+    return n
+
+
 def _estimates(b: Block, totals, n_all: int, own: bool):
-    """(context counts, bigram and unigram estimates) of every token, without the block's own counts if `own`."""
+    """(context counts, bigram and unigram estimates, token counts) of every token, without the counts of its own
+    document if `own`, which holds for training documents only."""
     t1, t2 = totals[1].astype(np.float64), totals[2].astype(np.float64)
+    ctx, c2, c1, n = t1[b.context], t2[b.at2], t1[b.at1], n_all
     if own:
-        t1, t2 = t1 - b.own1, t2 - b.own2
-        n_all = n_all - int(b.train.sum())
-    ctx = t1[b.context]
-    p2 = np.divide(t2[b.at2], ctx, out=np.zeros(len(ctx)), where=ctx > 0)
-    return ctx, np.minimum(p2, 1.0), t1[b.at1] / max(n_all, 1), t1[b.at1]
+        mine = _in_document(b.doc, b.at1)
+        before = np.empty_like(mine)
+        before[1:], before[b.first[:-1]] = mine[:-1], 1
+        ctx, c2, c1 = ctx - before, c2 - _in_document(b.doc, b.at2), c1 - mine
+        n = n_all - np.diff(b.first)[b.doc]
+    p2 = np.divide(c2, ctx, out=np.zeros(len(ctx)), where=ctx > 0)
+    return ctx, np.minimum(p2, 1.0), c1 / np.maximum(n, 1), c1
 
 
 def _bucket(ctx: np.ndarray) -> np.ndarray:

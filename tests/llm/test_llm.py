@@ -119,6 +119,34 @@ def test_lm_weights_come_from_all_training_tokens(spark, monkeypatch):
         assert seen.pop() == got[0]["train_tokens"] == sum(r["n_tokens"] for r in got if not r["held_out"])
 
 
+def test_lm_weights_of_one_block_leave_out_the_own_document(spark, monkeypatch):
+    sf, seen, learn = "/root/testdata/sf0.01", [], lm.learn
+    monkeypatch.setattr(lm, "learn", lambda cells, uniform: seen.append((sorted(cells), learn(cells, uniform))) or seen[-1][1])
+    got = {r["doc_id"]: r for r in lm.op4_lm_score(spark, sf).collect()}
+    many = {r["doc_id"]: r for r in lm.score(spark.read.parquet(f"{sf}/documents.parquet"), 100_000).collect()}
+    assert seen[0][0] == seen[1][0]
+    assert all(r["score"] == pytest.approx(many[i]["score"]) for i, r in got.items())
+    uni, pair, before, texts = {}, {}, {}, []
+    for i, t in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect():
+        if zlib.crc32(str(i).encode()) % 5 != 1:
+            tokens = [*toks(t), None]
+            texts.append(list(zip([0, *tokens[:-1]], tokens)))
+            for a, w in texts[-1]:
+                uni[w], pair[a, w], before[a] = uni.get(w, 0) + 1, pair.get((a, w), 0) + 1, before.get(a, 0) + 1
+    n, q, want = sum(uni.values()), lm.FLOOR * lm.STEP + 1, {}
+    step = lambda p: min(int(-np.log2(p) * lm.STEP), q - 2) if p > 0 else q - 1
+    for text in texts:
+        own, own2, own0 = {}, {}, {}
+        for a, w in text:
+            own[w], own2[a, w], own0[a] = own.get(w, 0) + 1, own2.get((a, w), 0) + 1, own0.get(a, 0) + 1
+        for a, w in text:
+            ctx = before[a] - own0[a]
+            p2 = (pair[a, w] - own2[a, w]) / ctx if ctx else 0.0
+            code = (min(int(np.log2(ctx + 1)), lm.CONTEXTS - 1) * q + step(p2)) * q + step((uni[w] - own[w]) / (n - len(text)))
+            want[code] = want.get(code, 0) + 1
+    assert seen[0][0] == sorted(want.items())
+
+
 def test_suffix_array():
     for _ in range(500):
         s = rng.integers(1, 4, rng.integers(1, 40))
