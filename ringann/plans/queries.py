@@ -13,6 +13,7 @@ from ringann.sources.tables import read_table
 from ringann.streaming import streams
 
 D, M, W, LAM, K, EVERY = 64, 8, 2.0, 50, 10, 25
+DOC_BATCH = 1000  # documents asked at once
 RP = families.RandomProjection(D, M, W, seed=7)
 HP = families.Hyperplane(D, M, seed=7)
 CP = families.CrossPolytope(D, M, seed=7, rotation="hadamard", cp_dim=8)
@@ -154,13 +155,19 @@ def rotation_orders(spark, d):
     return search.rotation_table(_coded(spark, d)[0], M)
 
 
-def documents_dups(spark, d):
-    """Exact copies among documents through the ring index: nearest other document at distance 0."""
+def _documents_near(spark, d, docs_asked):
+    """Ring search of the documents `docs_asked` among all others."""
     docs = read_table(spark, d, "documents")
     data = workloads.hashed_documents(docs, 128)
     fam = families.RandomProjection(128, 16, 1.0, seed=3)
-    queries = workloads.hashed_documents(docs.where(F.pmod("doc_id", F.lit(20)) == 0), 128).withColumnRenamed("obj_id", "qid")
-    return _round(search.ring_search(search.build_index(data, fam, 5000, rows=docs.count()), fam, queries, 100, 10, exclude_self=True).drop("run_len"))
+    queries = workloads.hashed_documents(docs_asked, 128).withColumnRenamed("obj_id", "qid")
+    index = search.build_index(data, fam, 5000, rows=docs.count()).persist()
+    return _round(search.ring_search(index, fam, queries, 100, 10, exclude_self=True, query_batch=DOC_BATCH).drop("run_len"))
+
+
+def documents_dups(spark, d):
+    """Exact copies among documents through the ring index: for every document the nearest others, copies at distance 0."""
+    return _documents_near(spark, d, read_table(spark, d, "documents"))
 
 
 def contamination(spark, d):
@@ -172,8 +179,9 @@ def contamination(spark, d):
 
 def label_vote(spark, d):
     """Quality of unlabelled documents by the majority of their labelled neighbours."""
-    found = documents_dups(spark, d)
-    labels = read_table(spark, d, "labels").select(F.col("doc_id").alias("obj_id"), "quality")
+    labels = read_table(spark, d, "labels").where("quality IS NOT NULL").select(F.col("doc_id").alias("obj_id"), "quality")
+    unlabelled = read_table(spark, d, "documents").join(labels, F.col("doc_id") == F.col("obj_id"), "left_anti")
+    found = _documents_near(spark, d, unlabelled)
     votes = found.join(labels, "obj_id").groupBy("qid").agg(F.avg("quality").alias("share"), F.count("*").alias("votes"))
     return _round(votes.withColumn("quality", (F.col("share") >= 0.5).cast("int")))
 

@@ -178,3 +178,16 @@ def test_ratio_of_angles_that_are_rounding_noise(spark):
     found = spark.createDataFrame([(1, 1, 0.0), (1, 2, 1.0)], "qid long, rnk int, dist double")
     row = measures.overall_ratio(found, truth).first()
     assert row["ratio"] == 1.5 and row["n_zero"] == 0
+
+
+def test_document_queries_ask_all_documents(spark):
+    from ringann.plans import queries
+    from ringann.sources import workloads
+
+    sf = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    asked = {r[0] for r in workloads.hashed_documents(docs, 128).select("obj_id").collect()}
+    assert {r["qid"] for r in queries.documents_dups(spark, sf).collect()} == asked
+    labelled = {r[0] for r in labels.where("quality IS NOT NULL").select("doc_id").collect()}
+    voted = {r["qid"] for r in queries.label_vote(spark, sf).collect()}
+    assert voted <= asked - labelled and len(voted) > 0.9 * len(asked - labelled)
