@@ -94,7 +94,7 @@ def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int,
 
     ties='id' collects all that tie with the last candidate and orders them by id, so that results do not depend
     on shards; 'any' stops early. verify='global' cuts candidates to lam + k - 1 over all shards before ranking by
-    distance, 'shard' ranks all shards' candidates. exclude_self leaves out the object whose id is the query's.
+    distance, 'shard' ranks all shards' candidates, of which each shard sends its k nearest. exclude_self leaves out the object whose id is the query's.
     """
     metric = metric or family.metric
     want = lam + k - 1 + exclude_self
@@ -118,10 +118,14 @@ def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int,
                         else:
                             rows, lens, _ = probe.search_rows(s, codes[j], alts[0][j], alts[1][j], want, n_probes, max_gap, ties=ties == "id")
                         rows, lens = rotation.cut_rows(rows, lens, s.ids, want)
+                        dist = distances(metric, vecs[rows], qvec[j])
+                        if verify == "shard":
+                            near = np.lexsort((s.ids[rows], dist))[: k + exclude_self]
+                            rows, lens, dist = rows[near], lens[near], dist[near]
                         cols[0].append(np.full(len(rows), qids[j]))
                         cols[1].append(s.ids[rows])
                         cols[2].append(lens)
-                        cols[3].append(distances(metric, vecs[rows], qvec[j]))
+                        cols[3].append(dist)
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["qid", "obj_id", "run_len", "dist"])
 
         part = index.mapInArrow(visit, "qid long, obj_id long, run_len int, dist double")

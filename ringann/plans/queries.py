@@ -14,6 +14,7 @@ from ringann.streaming import streams
 
 D, M, W, LAM, K, EVERY = 64, 8, 2.0, 50, 10, 25
 DOC_BATCH = 1000  # documents asked at once
+DOC_SHARD = 5000
 RP = families.RandomProjection(D, M, W, seed=7)
 HP = families.Hyperplane(D, M, seed=7)
 CP = families.CrossPolytope(D, M, seed=7, rotation="hadamard", cp_dim=8)
@@ -155,14 +156,23 @@ def rotation_orders(spark, d):
     return search.rotation_table(_coded(spark, d)[0], M)
 
 
+def _documents_index(docs, family):
+    """(index, number of documents, candidates asked of each shard as a function of their part).
+
+    Shards are bounded and nearly even, so a part of a shard as candidates keeps recall at any number of documents.
+    """
+    n = docs.count()
+    size = n / max(1, -(-n // DOC_SHARD))
+    index = search.build_index(workloads.hashed_documents(docs, 128), family, DOC_SHARD, rows=n).persist()
+    return index, lambda part: max(100, round(part * size))
+
+
 def _documents_near(spark, d, docs_asked):
     """Ring search of the documents `docs_asked` among all others."""
-    docs = read_table(spark, d, "documents")
-    data = workloads.hashed_documents(docs, 128)
-    fam = families.RandomProjection(128, 16, 1.0, seed=3)
+    fam = families.RandomProjection(128, 64, 1.0, seed=3)
     queries = workloads.hashed_documents(docs_asked, 128).withColumnRenamed("obj_id", "qid")
-    index = search.build_index(data, fam, 5000, rows=docs.count()).persist()
-    return _round(search.ring_search(index, fam, queries, 100, 10, exclude_self=True, query_batch=DOC_BATCH).drop("run_len"))
+    index, lam = _documents_index(read_table(spark, d, "documents"), fam)
+    return _round(search.ring_search(index, fam, queries, lam(0.3), 10, verify="shard", exclude_self=True, query_batch=DOC_BATCH).drop("run_len"))
 
 
 def documents_dups(spark, d):
@@ -171,10 +181,10 @@ def documents_dups(spark, d):
 
 
 def contamination(spark, d):
-    data = workloads.hashed_documents(read_table(spark, d, "documents"), 128)
     items = workloads.hashed_documents(read_table(spark, d, "benchmark"), 128, "item_id").withColumnRenamed("obj_id", "qid")
     fam = families.CrossPolytope(128, 16, seed=3, rotation="hadamard")
-    return _round(search.ring_search(search.build_index(data, fam, 5000), fam, items, 100, 5).drop("run_len"))
+    index, lam = _documents_index(read_table(spark, d, "documents"), fam)
+    return _round(search.ring_search(index, fam, items, lam(0.5), 5, verify="shard", query_batch=DOC_BATCH).drop("run_len"))
 
 
 def label_vote(spark, d):

@@ -191,3 +191,18 @@ def test_document_queries_ask_all_documents(spark):
     labelled = {r[0] for r in labels.where("quality IS NOT NULL").select("doc_id").collect()}
     voted = {r["qid"] for r in queries.label_vote(spark, sf).collect()}
     assert voted <= asked - labelled and len(voted) > 0.9 * len(asked - labelled)
+
+
+def test_recall_of_document_queries(spark):
+    from ringann.functions import measures
+    from ringann.plans import queries
+    from ringann.sources import workloads
+
+    sf = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    data = workloads.hashed_documents(docs, 128).persist()
+    items = workloads.hashed_documents(spark.read.parquet(f"{sf}/benchmark.parquet"), 128, "item_id")
+    cases = ((queries.documents_dups, data, 10, "euclidean", True), (queries.contamination, items, 5, "angular", False))
+    for query, asked, k, metric, exclude_self in cases:
+        truth = search.exact_knn(data, asked.withColumnRenamed("obj_id", "qid"), k, metric, exclude_self)
+        assert measures.recall(query(spark, sf), truth, k).agg(F.avg("recall")).first()[0] >= 0.9
