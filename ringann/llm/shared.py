@@ -25,10 +25,22 @@ def stage(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/stage-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.staged_at = path
+    return out
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def unstage(*tables: DataFrame) -> None:
+    """Deletes tables made by `stage` that no later result reads; other DataFrames are left alone."""
+    for df in tables:
+        path = df.__dict__.get("staged_at")
+        if path:
+            jvm = df.sparkSession._jvm
+            place = jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def components(edges: DataFrame) -> DataFrame:
     """(node, comp): smallest node reachable, for nodes of `edges`(a, b), both LONG.
 
     Alternating large-star and small-star rounds on written edge tables: each round keeps connectivity,
@@ -36,7 +48,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     round leaves every edge between a node and a component's smallest node.
     """
     cur = stage(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    for _ in range(max_rounds):
+    while True:
         both = cur.union(cur.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
@@ -46,9 +58,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         new = stage(small.where("a <> b").distinct())
         state = new.agg(F.count("*").alias("n"), F.count_distinct("a").alias("k")).first()
         inner = 0 if state["n"] != state["k"] else new.join(new.select(F.col("a").alias("b")), "b", "left_semi").limit(1).count()
+        unstage(cur)
         cur = new
         if state["n"] == state["k"] and not inner:
             break
-    else:
-        raise RuntimeError("components did not settle")
     return cur.select(F.col("a").alias("node"), F.col("b").alias("comp")).union(cur.select(F.col("b").alias("node"), F.col("b").alias("comp")).distinct())

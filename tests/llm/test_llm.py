@@ -40,29 +40,100 @@ def test_empty_tables(spark):
     assert chat.perspectives(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
-def test_jaccard(docs):
-    rows = [(r[0], r[1]) for r in docs.select("doc_id", "text").collect() if r[0] is not None]
-    sets = {}
-    for i, t in rows:
+def brute_components(rows, width=4, num=85, den=100):
+    """Components of rows (doc_id, text) by union of similar sets and of equal doc_ids: [(doc_id, set size, smallest id)]."""
+    sets = []
+    for _, t in rows:
         w = toks(t)
-        sets[i] = sets.get(i, set()) | ({tuple(w[j : j + 4]) for j in range(len(w) - 3)} or ({tuple(w)} if w else set()))
-    comp = {i: i for i in sets}
-    for _ in sets:
-        for a in sets:
-            for b in sets:
-                if sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]):
-                    comp[a] = comp[b] = min(comp[a], comp[b])
-    got = {(r["doc_id"], r["component_id"]) for r in jaccard.jaccard_components(docs).collect() if r["doc_id"] is not None and r["doc_id"] != 20}
-    assert got == {(i, c) for i, c in comp.items() if i != 20}
+        sets.append({tuple(w[j : j + width]) for j in range(len(w) - width + 1)} or ({tuple(w)} if w else set()))
+    root = list(range(len(rows)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in range(len(rows)):
+        for j in range(i):
+            same = rows[i][0] is not None and rows[i][0] == rows[j][0] and sets[i] and sets[j]
+            if same or sets[i] and sets[j] and den * len(sets[i] & sets[j]) >= num * len(sets[i] | sets[j]):
+                root[find(i)] = find(j)
+    out = []
+    for i, (d, _) in enumerate(rows):
+        ids = [rows[j][0] for j in range(len(rows)) if find(j) == find(i) and rows[j][0] is not None]
+        out.append((d, len(sets[i]), min(ids, default=None) if sets[i] else d))
+    return sorted(out, key=str)
+
+
+def test_jaccard(docs):
+    rows = [(r[0], r[1]) for r in docs.select("doc_id", "text").collect()]
+    got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in jaccard.jaccard_components(docs).collect()), key=str)
+    assert got == brute_components(rows)
+
+
+def test_jaccard_of_rows_that_share_an_id(spark):
+    def changed(t):
+        w = t.split()
+        return " ".join([*w[:100], "other", *w[101:]])
+
+    x, z = prose(200), prose(200)
+    rows = [(1, x), (1, z), (2, changed(x)), (3, changed(z)), (4, prose(200)), (None, changed(x) + " end")]
+    for order in (rows, rows[::-1]):
+        got = {r["doc_id"]: r["component_id"] for r in jaccard.jaccard_components(spark.createDataFrame(order, "doc_id long, text string")).collect()}
+        assert got == {1: 1, 2: 1, 3: 1, 4: 4, None: 1}
+
+
+def test_jaccard_of_many_near_texts(spark):
+    """Chains and groups of texts around the threshold, and passages shared by texts that are not similar."""
+    g = np.random.default_rng(11)
+    rows, passage = [], [f"p{i}" for i in range(60)]
+    for group in range(12):
+        base = [f"g{group}x{i}" for i in range(int(g.integers(4, 130)))]
+        for _ in range(8):
+            w = list(base)
+            for at in g.integers(0, len(w), int(g.integers(0, 3 + len(w) // 30))):
+                w[at] = f"c{int(g.integers(0, 10**6))}"
+            rows.append((len(rows), " ".join(w + passage[: int(g.integers(0, 60))] if group % 3 == 0 else w)))
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    for width, num in ((4, 85), (5, 80)):
+        got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in jaccard.jaccard_components(frame, width, num, 100).collect()), key=str)
+        assert got == brute_components(rows, width, num)
+
+
+def test_keep_one(spark):
+    x, y = prose(80), prose(90)
+    rows = [(1, x, "a"), (1, x, "a"), (2, x, "b"), (None, x, "c"), (None, y, "d"), (None, y, "d"), (5, "", "e"), (5, None, "e"), (6, "", "f")]
+    kept = jaccard.keep_one(spark.createDataFrame(rows, "doc_id long, text string, k string")).collect()
+    assert sorted((str(r["doc_id"]), r["k"]) for r in kept) == [("1", "a"), ("5", "e"), ("6", "f"), ("None", "d")]
+
+
+def test_signatures_of_similar_sets_meet():
+    """Whatever differs, a pair within the threshold shares as many signatures as each side needs."""
+    g = np.random.default_rng(3)
+    for _ in range(400):
+        n = int(g.integers(1, 400))
+        x = np.unique(g.integers(0, 1 << 63, n, dtype=np.uint64))
+        lost = int(g.integers(0, 15 * len(x) // 100 + 1))
+        y = np.unique(np.concatenate([g.permutation(x)[lost:], g.integers(0, 1 << 63, int(g.integers(0, 15 * len(x) // 100 + 1)), dtype=np.uint64)]))
+        same = len(np.intersect1d(x, y))
+        if not same or 100 * same < 85 * (len(x) + len(y) - same) or len(x) == len(y) == same:
+            continue
+        plans = [jaccard.band_plan(len(v)) for v in (x, y)]
+        met = np.intersect1d(*(jaccard.signatures(v, p) for v, p in zip((x, y), plans)))
+        bands = {p[0] for p in plans[0]} & {p[0] for p in plans[1]}
+        enough = [all(int((met & np.uint64(1) == b & 1).sum()) >= jaccard.needs(v, p)[b & 1] for v, p in zip((x, y), plans)) for b in bands]
+        assert any(enough)
+        apart = np.abs(np.frombuffer(jaccard.histogram(x), np.uint8).astype(int) - np.frombuffer(jaccard.histogram(y), np.uint8)).sum()
+        assert apart <= len(x) + len(y) - 2 * same
 
 
 def test_band_plan_covers_all_similar_sizes():
     for a in range(1, 400):
-        mine = {b: p for b, p, _ in jaccard.band_plan(a)}
+        mine = {p[0]: p for p in jaccard.band_plan(a)}
         for b in range(a, 100 * a // 85 + 1):
-            both = set(mine) & {x for x, _, _ in jaccard.band_plan(b)}
+            both = set(mine) & {p[0] for p in jaccard.band_plan(b)}
             least = -(-85 * (a + b) // 185)
-            assert any(mine[x] > a + b - 2 * least for x in both)
+            assert any(mine[x][1] * (mine[x][3] + 1) > a + b - 2 * least for x in both)
 
 
 def test_lines(docs):
