@@ -18,10 +18,11 @@ NUM, DEN, WIDTH = 80, 100, 5  # near duplicates: five words, similarity 0.8 or m
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents in a learned language: neither without letters nor mostly noise."""
+    """Keeps documents in a learned language: neither without letters nor mostly noise. A null lang becomes the inferred one."""
     model = language.fit(docs.select("text", "lang"))
     judged = language.predict(docs.select(COLUMNS), model, [c for c in COLUMNS if c != "doc_id"])
-    return judged.where((F.col("lang_pred") != "und") & (F.col("noise") <= MAX_NOISE)).select(COLUMNS)
+    kept = judged.where((F.col("lang_pred") != "und") & (F.col("noise") <= MAX_NOISE))
+    return kept.withColumn("lang", F.coalesce("lang", "lang_pred")).select(COLUMNS)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,9 +33,8 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each component stays."""
-    found = jaccard.jaccard_components(docs, WIDTH, NUM, DEN).where("component_id <> doc_id").select(F.col("doc_id").alias("__gone"))
-    return docs.join(found, F.col("doc_id") == F.col("__gone"), "left_anti").select(COLUMNS)
+    """One row of each component stays, that of its smallest doc_id."""
+    return jaccard.keep_one(docs.select(COLUMNS), WIDTH, NUM, DEN).select(COLUMNS)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
