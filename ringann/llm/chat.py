@@ -3,7 +3,7 @@
 For every participant of a conversation the dialogue is rendered with that speaker as the assistant and the
 others as named users. The result is one row per (conversation, perspective, turn): the rendered segment, its
 offset in the rendered dialogue and whether the loss mask covers it, so a conversation of any length is never
-gathered in one row; `render` joins the segments of conversations known to be short.
+gathered in one row; `render` joins the segments to whole dialogues.
 
 A turn reads `<|start|>assistant\\n...<|end|>\\n` or `<|start|>user name=role\\n...<|end|>\\n`; the mask is the
 text and end mark of the assistant's own turns, and empty elsewhere.
@@ -23,36 +23,42 @@ SALTS = 16
 
 
 def perspectives(turns: DataFrame, run: int = RUN) -> DataFrame:
-    """(conv_id, perspective, turn, rendered, is_target, char_start, mask_start, mask_end), offsets in code points of the dialogue."""
+    """(conv_id, perspective, turn, rendered, is_target, char_start, mask_start, mask_end), offsets in code points of the dialogue.
+
+    Offsets come from lengths alone: turns are multiplied by perspectives without their texts, and each text
+    meets its offsets at the end, by its place in the conversation.
+    """
     rows = turns.select("conv_id", "turn", F.coalesce("role", F.lit("unknown")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
     rows = rows.withColumn("__run", F.coalesce(F.floor(F.col("turn") / run), F.lit((1 << 62))))
-    rows = rows.withColumn("__salt", F.pmod(F.xxhash64("turn", "role"), F.lit(SALTS)).cast("int"))
+    place = Window.partitionBy("conv_id", "__run").orderBy(F.col("turn").asc_nulls_last(), "role", "text")
+    placed = rows.withColumn("__ord", F.row_number().over(place))
+    sizes = placed.select("conv_id", "__run", "__ord", "role", F.length("text").alias("__n"), F.pmod("__ord", F.lit(SALTS)).cast("int").alias("__salt"))
     seats = rows.groupBy("conv_id", "role").agg(F.lit(1).alias("one")).select(F.col("conv_id").alias("__conv"), F.col("role").alias("perspective"))
     seats = seats.withColumn("__s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    seen = rows.join(seats, F.col("conv_id").eqNullSafe(F.col("__conv")) & (F.col("__salt") == F.col("__s"))).drop("__conv", "__s", "__salt")
+    seen = sizes.join(seats, F.col("conv_id").eqNullSafe(F.col("__conv")) & (F.col("__salt") == F.col("__s"))).drop("__conv", "__s", "__salt")
     own = F.col("role") == F.col("perspective")
-    head = F.concat(F.lit(START), F.when(own, F.lit("assistant")).otherwise(F.concat(F.lit("user name="), F.col("role"))), F.lit("\n"))
-    seen = seen.select("conv_id", "perspective", "turn", "role", "text", "__run", own.alias("is_target"), F.concat(head, "text", F.lit(END + "\n")).alias("rendered"), F.length(head).alias("__head"))
-    seen = seen.withColumn("__len", F.length("rendered").cast("long"))
-    before = Window.partitionBy("conv_id", "perspective", "__run").orderBy(F.col("turn").asc_nulls_last(), "role", "text").rowsBetween(Window.unboundedPreceding, -1)
+    head = F.length(F.lit(START)) + F.when(own, F.lit(len("assistant"))).otherwise(F.length("role") + len("user name=")) + 1
+    seen = seen.select("conv_id", "perspective", "__run", "__ord", head.alias("__head"), (head + F.col("__n") + len(END) + 1).cast("long").alias("__len"))
+    before = Window.partitionBy("conv_id", "perspective", "__run").orderBy("__ord").rowsBetween(Window.unboundedPreceding, -1)
     local = seen.withColumn("__in", F.coalesce(F.sum("__len").over(before), F.lit(0)))
     runs = seen.groupBy("conv_id", "perspective", "__run").agg(F.sum("__len").alias("__sum"))
     ahead = Window.partitionBy("conv_id", "perspective").orderBy("__run").rowsBetween(Window.unboundedPreceding, -1)
     runs = runs.withColumn("__base", F.coalesce(F.sum("__sum").over(ahead), F.lit(0)))
     runs = runs.select(F.col("conv_id").alias("__c"), F.col("perspective").alias("__p"), F.col("__run").alias("__r"), "__base")
-    out = local.join(runs, F.col("conv_id").eqNullSafe(F.col("__c")) & (F.col("perspective") == F.col("__p")) & (F.col("__run") == F.col("__r")))
-    at = F.col("__base") + F.col("__in")
+    told = local.join(runs, F.col("conv_id").eqNullSafe(F.col("__c")) & (F.col("perspective") == F.col("__p")) & (F.col("__run") == F.col("__r")))
+    told = told.select(F.col("conv_id").alias("__c"), F.col("__run").alias("__r"), F.col("__ord").alias("__o"), "perspective", (F.col("__base") + F.col("__in")).alias("char_start"), "__head", "__len")
+    out = placed.join(told, F.col("conv_id").eqNullSafe(F.col("__c")) & (F.col("__run") == F.col("__r")) & (F.col("__ord") == F.col("__o")))
+    name = F.when(own, F.lit("assistant")).otherwise(F.concat(F.lit("user name="), F.col("role")))
+    at = F.col("char_start")
     return out.select(
-        "conv_id", "perspective", "turn", "rendered", "is_target", at.alias("char_start"),
-        F.when(F.col("is_target"), at + F.col("__head")).otherwise(at).alias("mask_start"), F.when(F.col("is_target"), at + F.col("__len") - 1).otherwise(at).alias("mask_end"),
+        "conv_id", "perspective", "turn", F.concat(F.lit(START), name, F.lit("\n"), "text", F.lit(END + "\n")).alias("rendered"), own.alias("is_target"), at,
+        F.when(own, at + F.col("__head")).otherwise(at).alias("mask_start"), F.when(own, at + F.col("__len") - 1).otherwise(at).alias("mask_end"),
     )
 
 
-def render(turns: DataFrame, max_turns: int = 4096) -> DataFrame:
-    """(conv_id, perspective, text, masks) in one row, for conversations of up to max_turns turns; others stay in `perspectives`."""
+def render(turns: DataFrame) -> DataFrame:
+    """(conv_id, perspective, text, masks), a dialogue in one row; where single conversations are too long for a row, `perspectives` has the same in pieces."""
     seen = perspectives(turns)
-    small = seen.groupBy("conv_id", "perspective").agg(F.count("*").alias("n")).where(F.col("n") <= max_turns).select(F.col("conv_id").alias("__c"), F.col("perspective").alias("__p"))
-    seen = seen.join(small, F.col("conv_id").eqNullSafe(F.col("__c")) & (F.col("perspective") == F.col("__p")))
     parts = F.array_sort(F.collect_list(F.struct("char_start", "rendered", "mask_start", "mask_end")))
     whole = seen.groupBy("conv_id", "perspective").agg(parts.alias("p"))
     masks = F.transform(F.filter("p", lambda x: x["mask_start"] < x["mask_end"]), lambda x: F.struct(x["mask_start"].alias("start"), x["mask_end"].alias("end")))
