@@ -6,8 +6,8 @@ over every document's words, look windows up and verify each hit word by word.
 
 Edge cases: null or empty text has no words; an item without words has no window; an item without id is
 searched, but not listed; repeated items count once by id; repeated document rows are judged one by one;
-an empty benchmark gives clean documents. The broadcast holds `max_windows` windows at most (8 bytes and
-one short string each); a larger benchmark raises and is to be given in parts.
+an empty benchmark gives clean documents; other columns stay in `remove` and are ignored by `scan`. The broadcast
+is checked against `max_bytes` before anything is gathered; a larger benchmark raises and is to be given in parts.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from ringann.llm.kernel import ALNUM, BYTE_CODES, LOWER, Rolling, text_chunks, words
 
 WINDOW = 10
-MAX_WINDOWS = 20_000_000
+MAX_BYTES = 256 << 20  # of the broadcast windows
 OUT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, hits array<struct<start:long,end:long>>"
 
 
@@ -34,32 +34,41 @@ def _word_codes(data: np.ndarray, off: np.ndarray):
 
 
 class WindowSet:
-    """Windows by length: sorted hashes, a bitmap over their top bits, and for each hash its words and items."""
-
-    def __init__(self, items: list[tuple[str | None, bytes]], window: int = WINDOW, max_windows: int = MAX_WINDOWS):
-        found: dict[int, dict[int, dict[bytes, set]]] = defaultdict(lambda: defaultdict(lambda: defaultdict(set)))
-        total = 0
-        for item, text in items:
-            off = np.array([0, len(text)])
-            low, starts, ends, _, codes = _word_codes(np.frombuffer(text, np.uint8), off)
-            n = len(starts)
-            if not n:
-                continue
-            size = min(n, window)
-            roll, raw = Rolling(codes), low.tobytes()
-            toks = [raw[s:e] for s, e in zip(starts, ends)]
-            at = np.arange(n - size + 1)
-            for i, h in zip(at, roll.spans(at, at + size)):
-                found[size][int(h)][b" ".join(toks[i : i + size])].add(item)
-            total += len(at)
-            if total > max_windows:
-                raise ValueError(f"the benchmark has over {max_windows} windows; give it in parts")
-        self.sizes = {}
-        for size, by_hash in found.items():
-            hashes = np.sort(np.fromiter(by_hash, np.uint64, len(by_hash)))
+    """Windows by length, as arrays: sorted hashes with a bitmap over their top bits, and beside each hash its item
+    and its place in the items' words, which lie in one buffer. About 24 bytes a window and the text once."""
+
+    def __init__(self, items: list[tuple[str | None, bytes]], window: int = WINDOW):
+        self.names = sorted({i for i, _ in items if i is not None})
+        place = {x: n for n, x in enumerate(self.names)}
+        joined = b"\n".join(t for _, t in items)
+        off = np.concatenate([[0], np.cumsum([len(t) + 1 for _, t in items])]).astype(np.int64)
+        if len(items):
+            off[-1] -= 1
+        self.low, self.starts, self.ends, first, codes = _word_codes(np.frombuffer(joined, np.uint8), off)
+        owner = np.array([place.get(i, -1) for i, _ in items], np.int32)
+        count = np.diff(first)
+        roll, self.sizes = Rolling(codes), {}
+        for size in sorted({min(int(c), window) for c in count if c}):
+            which = np.flatnonzero(np.minimum(count, window) == size)
+            n = count[which] - size + 1
+            at = np.repeat(first[which] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
+            item = np.repeat(owner[which], n)
+            h = roll.spans(at, at + size)
+            by = np.lexsort((item, h))
+            h, at, item = h[by], at[by], item[by]
             bits = np.zeros(1 << 20, bool)
-            bits[hashes >> np.uint64(44)] = True
-            self.sizes[size] = (hashes, bits, {h: dict(v) for h, v in by_hash.items()})
+            bits[h >> np.uint64(44)] = True
+            self.sizes[size] = (h, bits, at, item)
+
+    @classmethod
+    def of(cls, fields: dict) -> WindowSet:
+        """A set from the fields of another: these are broadcast, so that workers unpickle arrays and no class."""
+        out = cls.__new__(cls)
+        vars(out).update(fields)
+        return out
+
+    def _tokens(self, i: int, size: int) -> bytes:
+        return b" ".join(self.low[self.starts[j] : self.ends[j]].tobytes() for j in range(i, i + size))
 
     def scan(self, data: np.ndarray, off: np.ndarray):
         """(first word index per row, covered mask over words, word spans, items by row)."""
@@ -68,7 +77,7 @@ class WindowSet:
         roll = Rolling(codes)
         delta = np.zeros(n + 1, np.int64)
         items: dict[int, set] = defaultdict(set)
-        for size, (hashes, bits, by_hash) in self.sizes.items():
+        for size, (hashes, bits, places, owners) in self.sizes.items():
             if n < size:
                 continue
             at = np.arange(n - size + 1)
@@ -77,36 +86,47 @@ class WindowSet:
             if not len(keep):
                 continue
             at, h = at[keep], h[keep]
-            pos = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
+            lo = np.searchsorted(hashes, h)
             row = np.searchsorted(first, at, "right") - 1
-            good = (hashes[pos] == h) & (at + size <= first[row + 1])
-            for i, code, r in zip(at[good], h[good], row[good]):
-                toks = b" ".join(low[starts[j] : ends[j]].tobytes() for j in range(i, i + size))
-                owners = by_hash[int(code)].get(toks)
-                if owners is not None:
+            good = (hashes[np.minimum(lo, len(hashes) - 1)] == h) & (lo < len(hashes)) & (at + size <= first[row + 1])
+            known: dict[int, dict[bytes, set]] = {}
+            for i, code, a, r in zip(at[good], h[good], lo[good], row[good]):
+                texts = known.get(int(code))
+                if texts is None:  # windows of this hash by their words
+                    texts = known[int(code)] = {}
+                    for j in range(a, np.searchsorted(hashes, code, "right")):
+                        texts.setdefault(self._tokens(places[j], size), set()).add(int(owners[j]))
+                found = texts.get(b" ".join(low[starts[j] : ends[j]].tobytes() for j in range(i, i + size)))
+                if found is not None:
                     delta[i] += 1
                     delta[i + size] -= 1
-                    items[int(r)] |= owners
+                    items[int(r)] |= found
         return first, np.cumsum(delta[:n]) > 0, starts, ends, items
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_windows: int = MAX_WINDOWS) -> DataFrame:
-    """One row per document row: word counts, the items found, and the byte spans of hit runs."""
-    spark = docs.sparkSession
+def window_set(benchmark: DataFrame, window: int = WINDOW, max_bytes: int = MAX_BYTES) -> WindowSet:
+    """The windows of benchmark(item_id, text) on the driver, after a check that they fit max_bytes."""
     rows = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
-    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > 32 * max_windows:
-        raise ValueError(f"the benchmark has {size} bytes; give it in parts")
-    shared = spark.sparkContext.broadcast(WindowSet([(r[0], r[1].encode()) for r in rows.toLocalIterator()], window, max_windows))
+    # A word gives a window at most, and has two bytes at least with what parts it from the next.
+    told = rows.agg(F.sum(F.octet_length("text")).alias("n"), F.sum(F.regexp_count("text", F.lit(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"))).alias("w")).first()
+    size = (told["n"] or 0) + 48 * (told["w"] or 0)
+    if size > max_bytes:
+        raise ValueError(f"the benchmark's windows take about {size} bytes of {max_bytes}; give it in parts")
+    return WindowSet([(r[0], r[1].encode()) for r in rows.toLocalIterator()], window)
+
+
+def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_bytes: int = MAX_BYTES) -> DataFrame:
+    """One row per document row: word counts, the items found, and the byte spans of hit runs."""
+    shared = docs.sparkSession.sparkContext.broadcast(vars(window_set(benchmark, window, max_bytes)))
 
     def run(batches):
-        known = shared.value
+        known = WindowSet.of(shared.value)
         for rows, off, data in text_chunks(batches):
             first, hit, starts, ends, items = known.scan(data, off)
             n = rows.num_rows
             total = np.concatenate([[0], np.cumsum(hit)])
             n_hit = total[first[1:]] - total[first[:-1]]
-            ids = [sorted({x for x in items.get(i, ()) if x is not None}) for i in range(n)]
+            ids = [[known.names[x] for x in sorted(items.get(i, ())) if x >= 0] for i in range(n)]
             runs = []
             for i in range(n):
                 if not n_hit[i]:
@@ -132,18 +152,16 @@ def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_window
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, OUT)
 
 
-def remove(docs: DataFrame, benchmark: DataFrame, mode: str = "documents", window: int = WINDOW) -> DataFrame:
+def remove(docs: DataFrame, benchmark: DataFrame, mode: str = "documents", window: int = WINDOW, max_bytes: int = MAX_BYTES) -> DataFrame:
     """docs without contaminated documents (`documents`), or with the hit runs cut out of the texts (`spans`).
 
     All columns of docs stay. The work happens in one scan; nothing is joined back.
     """
-    spark = docs.sparkSession
-    rows = benchmark.select(F.col("item_id").cast("string"), F.coalesce("text", F.lit("")))
-    shared = spark.sparkContext.broadcast(WindowSet([(r[0], r[1].encode()) for r in rows.toLocalIterator()], window))
+    shared = docs.sparkSession.sparkContext.broadcast(vars(window_set(benchmark, window, max_bytes)))
     at = docs.columns.index("text")
 
     def run(batches):
-        known = shared.value
+        known = WindowSet.of(shared.value)
         for rows, off, data in text_chunks(batches):
             first, hit, starts, ends, _ = known.scan(data, off)
             total = np.concatenate([[0], np.cumsum(hit)])
