@@ -15,9 +15,9 @@ starts that lie alike before their anchor: one row holds a 96-bit hash of the by
 share, and the bytes around them, from which each window's own bytes are compared as they are. A stretch that
 repeats is listed against the rims by one of its occurrences. Of equal texts only one takes part in all this.
 
-Edge cases: null text is empty; texts shorter than `length` stay; rows equal in doc_id and text are one document
-given several times; a null doc_id is an id of its own; matches inside one document count; columns other than
-doc_id and text are ignored.
+Edge cases: null text is empty; texts shorter than `length` stay; every row is a place of its own, so that rows
+equal in doc_id and text remove each other's strings, as do rows of equal text without doc_id; matches inside one
+document count; columns other than doc_id and text are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -378,8 +378,8 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     cuts = judged.join(more, ["d", "t"], "left").mapInArrow(cut, "d long, t long, n_removed long, kept string, spans array<struct<start:long,stop:long>>").where("n_removed > 0")
     base = docs.mapInArrow(whole, "d long, t long, u long, nil boolean, n_bytes long, sha string")
-    # A text that other documents hold too goes as a whole; its documents are dealt out by a salt.
-    copied = docs.where(F.octet_length("text") >= length).groupBy("t", "u").agg(F.min("d").alias("lo"), F.max("d").alias("hi")).where("lo <> hi")
+    # A text that other rows hold too goes as a whole; its rows are dealt out by a salt.
+    copied = docs.where(F.octet_length("text") >= length).groupBy("t", "u").agg(F.count("*").alias("c")).where("c > 1")
     copied = copied.select("t", "u", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.lit(True).alias("copied"))
     out = base.join(cuts, ["d", "t"], "left").withColumn("salt", F.pmod(F.xxhash64("d"), F.lit(SALTS)).cast("int")).join(copied, ["t", "u", "salt"], "left")
     span = F.struct(F.lit(0).cast("long").alias("start"), F.col("n_bytes").alias("stop"))
