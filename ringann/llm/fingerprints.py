@@ -9,7 +9,8 @@ fingerprints alone tell equality (roots), which sections differ, and how alike t
 Likeness: 1 where roots agree, else the Dice coefficient of the two sets of leaves.
 
 Edge cases: null text is the empty text; equal texts have equal fingerprints whatever their ids; for
-neighbours, rows are ordered by descending doc_id, null last, then by text; a lone row is its own neighbour.
+neighbours, rows are ordered by descending doc_id, null last, then by text; a lone row is its own neighbour; an
+empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,6 +20,7 @@ from pyspark.sql import functions as F
 
 
 PIECE = 64
+SLOTS, SLOT_BYTES = 4096, 16 << 20
 
 
 def _pieces(text: Column, piece: int) -> Column:
@@ -29,21 +31,6 @@ def _leaf(piece: Column) -> Column:
     return F.substring(F.md5(piece), 1, 8)
 
 
-def tree(text: Column, piece: int = PIECE) -> Column:
-    """Sections as structs: digest, and paragraphs as structs of digest and leaves."""
-    text = F.coalesce(text, F.lit(""))
-
-    def paragraph(p: Column) -> Column:
-        leaves = F.transform(_pieces(p, piece), _leaf)
-        return F.struct(F.md5(F.array_join(leaves, ",")).alias("digest"), leaves.alias("leaves"))
-
-    def section(s: Column) -> Column:
-        kids = F.transform(F.split(s, "\n", -1), paragraph)
-        return F.struct(F.md5(F.array_join(F.transform(kids, lambda k: k["digest"]), ",")).alias("digest"), kids.alias("paragraphs"))
-
-    return F.transform(F.split(text, "\n\n", -1), section)
-
-
 def fingerprint(text: Column, piece: int = PIECE) -> Column:
     """root:sections:leaves as one string. The root covers md5 digests of all whole pieces, not the short leaves."""
     text = F.coalesce(text, F.lit(""))
@@ -70,20 +57,32 @@ def differing_sections(a: Column, b: Column) -> Column:
     return F.filter(F.transform(x, lambda v, i: F.when(F.get(y, i).eqNullSafe(v), F.lit(None)).otherwise(i)), lambda v: v.isNotNull())
 
 
-def with_next(docs: DataFrame, slots: int | None = None) -> DataFrame:
+def _slot(cuts: list[int]) -> Column:
+    """How many cuts are at least doc_id: first among every 64th cut, then among the 64 before it."""
+    if not cuts:
+        return F.lit(0)
+    high = sorted(cuts, reverse=True)
+    groups = [high[i : i + 64] for i in range(0, len(high), 64)]
+    heads = F.array(*[F.lit(g[-1]) for g in groups])
+    full = F.size(F.filter(heads, lambda c: c >= F.col("doc_id")))
+    rest = F.get(F.array(*[F.array(*[F.lit(x) for x in g]) for g in groups]), full)
+    return full * 64 + F.coalesce(F.size(F.filter(rest, lambda c: c >= F.col("doc_id"))), F.lit(0))
+
+
+def with_next(docs: DataFrame, slot_bytes: int = SLOT_BYTES) -> DataFrame:
     """(doc_id, text, next_text): the text of the following row by descending doc_id; the first's after the last.
 
-    Rows are dealt to `slots` ranges of doc_id with about as many rows each, and a window runs in every range;
-    only the last row of a range looks at the first of the next range. One shuffle of the texts, no global sort.
+    Rows are dealt to ranges of doc_id with about as many rows each, as many ranges as the texts have times
+    `slot_bytes`, and a window runs in every range; only the last row of a range looks at the first of the next
+    range. One shuffle of the texts, no global sort.
     """
-    spark = docs.sparkSession
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    slots = slots or min(4096, max(8, int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    cuts = rows.select(F.percentile_approx("doc_id", [i / slots for i in range(1, slots)], 10000).alias("c")).first()
-    cuts = sorted(set(cuts["c"] or [])) if cuts else []
+    told = rows.agg(F.percentile_approx("doc_id", [i / SLOTS for i in range(1, SLOTS)], 4 * SLOTS).alias("c"), F.sum(F.octet_length("text")).alias("n")).first()
+    slots = min(SLOTS, max(8, -(-(told["n"] or 0) // slot_bytes)))
+    found = told["c"] or []
+    cuts = sorted({found[i * len(found) // slots] for i in range(1, slots)}) if found else []
     # Slot 0 is the first in descending order; ids up to the lowest cut and null come last.
-    bounds = F.array(*[F.lit(x) for x in cuts]) if cuts else F.array().cast("array<long>")
-    ranked = rows.withColumn("__slot", F.when(F.col("doc_id").isNull(), F.lit(len(cuts) + 1)).otherwise(F.size(F.filter(bounds, lambda c: c >= F.col("doc_id")))))
+    ranked = rows.withColumn("__slot", F.when(F.col("doc_id").isNull(), F.lit(len(cuts) + 1)).otherwise(_slot(cuts)))
     order = Window.partitionBy("__slot").orderBy(F.col("doc_id").desc_nulls_last(), "text")
     led = ranked.withColumns({"__next": F.lead("text").over(order)})
     heads = ranked.groupBy("__slot").agg(F.min(F.struct((-F.col("doc_id")).alias("k"), "text")).alias("h")).select("__slot", F.col("h.text").alias("__head"))
