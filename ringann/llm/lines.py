@@ -5,12 +5,14 @@ points that are found in at least `min_docs` documents lose all their lines exce
 
 Pass 1 fills, per task, a bitmap of keys seen in a document and one of keys seen in a second document; they are
 sent in small compressed blocks and merged block by block (twice-seen: in either twice-bitmap, or in both
-once-bitmaps). The filters have `bits` bits at any input size; a fuller filter only lets more keys through.
+once-bitmaps). The filters are sized by the number of lines, up to MOST_BITS; a fuller filter only lets more keys
+through.
 Pass 2 shuffles only keys in the twice-filter: 128-bit hash and doc_id, once per document, pre-aggregated; that
 count is exact. Pass 3 removes the lines and joins the doomed keys to their documents by doc_id.
 
 Edge cases: null or empty text is one empty line; rows that share a doc_id count as one document; a row without
-doc_id is left as it is and supports no key; empty tables give empty results.
+doc_id is left as it is and supports no key; empty tables give empty results; columns of docs that are named like
+the operator's own are replaced, other columns stay.
 """
 
 from __future__ import annotations
@@ -28,7 +30,7 @@ from pyspark.sql.types import LongType, StringType, StructField, StructType
 from ringann.llm.kernel import BASE2, BYTE_CODES, LOWER, NOT_SPACE, Rolling, row_of, text_chunks
 
 MIN_CHARS, MIN_DOCS = 20, 3
-BITS = 1 << 26
+MOST_BITS = 1 << 29  # 64 MB in a task and on the driver
 BLOCK = 1 << 17  # bits in a block
 FIRST_BYTE = np.array([(b & 0xC0) != 0x80 for b in range(256)])
 
@@ -90,7 +92,13 @@ def _has(bitmap: np.ndarray, places: np.ndarray) -> np.ndarray:
     return ((bitmap[places >> 3] >> (places & 7)) & 1).astype(bool).all(axis=0)
 
 
-def twice_filter(docs: DataFrame, min_chars: int = MIN_CHARS, bits: int = BITS) -> np.ndarray:
+def filter_bits(docs: DataFrame) -> int:
+    """16 bits for every line, a power of two, MOST_BITS at most."""
+    n = docs.agg(F.sum(F.length("text") - F.length(F.replace("text", F.lit("\n"))) + 1)).first()[0] or 0
+    return min(MOST_BITS, max(8 * BLOCK, 1 << (16 * n).bit_length()))
+
+
+def twice_filter(docs: DataFrame, min_chars: int, bits: int) -> np.ndarray:
     """The merged twice-seen bitmap, of bits/8 bytes: a fixed size whatever the input."""
     step = BLOCK // 8
 
@@ -130,7 +138,7 @@ def twice_filter(docs: DataFrame, min_chars: int = MIN_CHARS, bits: int = BITS)
     return out
 
 
-def doomed_keys(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, bits: int = BITS) -> DataFrame:
+def doomed_keys(docs: DataFrame, min_chars: int, min_docs: int, bits: int) -> DataFrame:
     """(doc_id, keys): packed 16-byte keys whose lines the document loses."""
     shared = docs.sparkSession.sparkContext.broadcast(twice_filter(docs, min_chars, bits))
 
@@ -150,9 +158,10 @@ def doomed_keys(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN
     return lost.groupBy("doc_id").agg(F.collect_list(F.struct("h1", "h2")).alias("keys"))
 
 
-def drop_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, bits: int = BITS) -> DataFrame:
+def drop_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, bits: int | None = None) -> DataFrame:
     """docs (doc_id, text, ...) with kept text, n_lines (before), n_dropped and kept_sha256."""
-    docs = docs.withColumn("doc_id", F.col("doc_id").cast("long"))
+    docs = docs.drop("n_lines", "n_dropped", "kept_sha256", "__keys").withColumn("doc_id", F.col("doc_id").cast("long"))
+    bits = bits or filter_bits(docs)
     doomed = doomed_keys(docs, min_chars, min_docs, bits).withColumnRenamed("keys", "__keys")
     joined = docs.join(doomed, "doc_id", "left").select(*[docs[c] for c in docs.columns], "__keys")
     schema = StructType([StructField(f.name, f.dataType) for f in docs.schema.fields] + [StructField("n_lines", LongType()), StructField("n_dropped", LongType()), StructField("kept_sha256", StringType())])
