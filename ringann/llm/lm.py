@@ -1,6 +1,6 @@
 """Language-model scoring by deleted interpolation of bigram, unigram and uniform estimates.
 
-Documents are dealt to blocks by a hash of doc_id. A block sends its distinct unigrams and bigrams, sorted by
+Documents are dealt to blocks by a hash of doc_id and text. A block sends its distinct unigrams and bigrams, sorted by
 hash and cut into shards, with its own training counts; a shard sums them over all blocks and answers every
 block with the totals in the order asked, so keys are never sent back. Blocks then score their documents
 against the answers. A count gathered from the corpus thus crosses the network once each way, and no task or
@@ -97,15 +97,15 @@ def _counts(rows: DataFrame, shards: int) -> DataFrame:
         ids, folds, texts, _ = _read_block(batches)
         b = Block(texts, folds)
         for kind, keys, own in ((1, b.uni, b.own1), (2, b.bi, b.own2)):
-            cut = np.searchsorted(keys >> bits, np.arange(shards + 1, dtype=np.uint64)) if shards > 1 else np.array([0, len(keys)])
-            part = np.flatnonzero(np.diff(cut))
+            own_shard = (keys >> bits).astype(np.int64) if shards > 1 else np.zeros(len(keys), np.int64)
+            cut = np.append(np.flatnonzero(np.diff(own_shard, prepend=-1)), len(keys))
+            part = own_shard[cut[:-1]]
             drop = np.uint64(0 if kind == 1 else 8)
             zs, cs = [], []
-            for s in part:
-                k = keys[cut[s] : cut[s + 1]] >> drop
-                zs.append(_pack(np.diff(k, prepend=np.uint64(0))))
-                cs.append(_pack(own[cut[s] : cut[s + 1]].astype(np.uint32)))
-            yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array([kind] * len(part), pa.int32()), pa.array([key[0].as_py()] * len(part), pa.int32()), pa.array(np.diff(cut)[part], pa.int64()), pa.array(zs, pa.binary()), pa.array(cs, pa.binary())], names=["shard", "kind", "block", "n", "z", "c"])
+            for lo, hi in zip(cut[:-1], cut[1:]):
+                zs.append(_pack(np.diff(keys[lo:hi] >> drop, prepend=np.uint64(0))))
+                cs.append(_pack(own[lo:hi].astype(np.uint32)))
+            yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array([kind] * len(part), pa.int32()), pa.array([key[0].as_py()] * len(part), pa.int32()), pa.array(np.diff(cut), pa.int64()), pa.array(zs, pa.binary()), pa.array(cs, pa.binary())], names=["shard", "kind", "block", "n", "z", "c"])
 
     def answer(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard, kind = key[0].as_py(), key[1].as_py()
@@ -188,8 +188,8 @@ def score(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row of docs(doc_id, text)."""
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = max(1, -(-total // block_bytes))
-    shards = 1 << min(12, max(0, (blocks - 1).bit_length()))
-    which = F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int")
+    shards = 1 << (blocks - 1).bit_length()
+    which = F.pmod(F.xxhash64("doc_id", "z"), F.lit(blocks)).cast("int")
     packed = packed_texts(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"))
     rows = packed.select(which.alias("block"), F.lit(0).alias("kind"), F.lit(0).alias("shard"), "doc_id", fold(FOLDS).cast("int").alias("fold"), "n", "z")
     answers = stage(_counts(rows, shards))
