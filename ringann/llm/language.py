@@ -7,7 +7,8 @@ penalised by half a log of the trigram count per language does not fall. The pre
 the largest proportion, the score its share among the languages.
 
 Edge cases: null text or text without a letter is `und` with score 0; without training texts all is `und`; ties
-go to the first language by code point; repeated rows count each; a null doc_id hashes as the empty text.
+go to the first language by code point; repeated rows count each; a null doc_id hashes as the empty text; an empty
+table gives an empty result; kept columns that are named like the prediction's are replaced by it.
 """
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ from ringann.llm.kernel import LOWER, byte_class, text_chunks
 
 BUCKETS = 1 << 16
 SMOOTH = 0.05
+MOST_LANGS = 512  # 128 MB of probabilities
 #: Letters for trigrams: ASCII letters and all bytes of non-ASCII characters; everything else is one space.
 LETTER = byte_class((0x00, 0x40), (0x5B, 0x60), (0x7B, 0x7F))
 FOLD = np.where(LETTER, LOWER, 32).astype(np.uint8)
@@ -53,7 +55,11 @@ def fit(docs: DataFrame) -> tuple[list[str], np.ndarray]:
             at = np.flatnonzero(t)
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at, pa.int32()), pa.array(t[at])], names=["lang", "bucket", "n"])
 
-    found = docs.where("lang IS NOT NULL").select("text", "lang").mapInArrow(count, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
+    known = docs.where("lang IS NOT NULL")
+    many = known.agg(F.approx_count_distinct("lang")).first()[0]
+    if many > MOST_LANGS:
+        raise ValueError(f"about {many} languages; the model is languages * {BUCKETS} numbers and takes {MOST_LANGS} at most")
+    found = known.select("text", "lang").mapInArrow(count, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()
     langs = sorted(set(found["lang"].to_pylist()), key=lambda s: s.encode())
     probs = np.full((len(langs), BUCKETS), SMOOTH)
     place = {x: i for i, x in enumerate(langs)}
@@ -95,6 +101,7 @@ def infer(probs: np.ndarray, grams: np.ndarray, rounds: int = 8) -> np.ndarray:
 def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], keep: list[str] = ()) -> DataFrame:
     """(doc_id, *keep, lang_pred, score, noise, n_langs): the model is languages * BUCKETS numbers, broadcast."""
     langs, probs = model
+    keep = [c for c in keep if c not in ("lang_pred", "score", "noise", "n_langs")]
     shared = docs.sparkSession.sparkContext.broadcast(probs)
     out = docs.select("doc_id", *keep).schema.simpleString()[7:-1] + ",lang_pred:string,score:double,noise:double,n_langs:int"
 

@@ -83,14 +83,15 @@ def mix(docs: DataFrame, quality: Column | None = None, seed: str = "mix", cap:
 
 
 def materialize(docs: DataFrame, mixed: DataFrame) -> DataFrame:
-    """docs repeated as often as the mix takes them. doc_id is to be unique here."""
+    """docs repeated as often as the mix takes them, numbered by `copy`, which replaces such a column. doc_id is to be unique here."""
+    docs = docs.drop("copy")
     counts = mixed.where("copies > 0").select(F.col("doc_id").alias("__id"), "copies")
     out = docs.join(counts, F.col("doc_id").eqNullSafe(F.col("__id")))
     return out.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*[docs[c] for c in docs.columns], F.col("__copy").cast("int").alias("copy"))
 
 
 def text_quality(text: Column) -> Column:
-    """A cheap quality weight in [0.5, 2]: words per line, capped; lists and stubs weigh less than prose."""
+    """A cheap quality weight in [0.5, 2]: characters per line / 100, capped; lists and stubs weigh less than prose."""
     lines = F.length(text) - F.length(F.replace(text, F.lit("\n"))) + 1
     return F.coalesce(F.greatest(F.lit(0.5), F.least(F.lit(2.0), F.length(text) / lines / 100)), F.lit(1.0))
 
