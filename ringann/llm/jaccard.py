@@ -348,7 +348,7 @@ def jaccard_groups(docs: DataFrame, width: int = WIDTH, num: int = NUM, den: int
     packed = _packed_nodes(rows, stage(nodes.select("node", "doc_id", "t").join(met.select("node").distinct(), "node", "left_semi")))
     twice = own.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("f1").alias("b"), F.max("f1").alias("hi")).where("b < hi").select("doc_id", "b")
     links = stage(own.where("n_shingles > 0").join(twice, "doc_id").where("f1 <> b").select(F.col("f1").alias("a"), "b").distinct())
-    tried, comp, done = None, components(links), [links]
+    tried, comp, done = None, _labels(links), [links]
     for r in range(rounds):
         open_ = _enough(_open_buckets(met, comp), nodes) if r else _open_buckets(met, comp)
         if r:
@@ -365,7 +365,7 @@ def jaccard_groups(docs: DataFrame, width: int = WIDTH, num: int = NUM, den: int
         tried = pairs if tried is None else tried.union(pairs)
         done.append(found)
         links = links.union(found)
-        comp = components(links)
+        comp = _labels(links)
     last = stage(_compare_cells(_enough(_enough(_open_buckets(met, comp), nodes), nodes, True), packed, width, num, den))
     if not last.isEmpty():
         comp = components(links.union(last))
@@ -401,6 +401,10 @@ def keep_one(docs: DataFrame, width: int = WIDTH, num: int = NUM, den: int = DEN
     return single.union(marked.where("__more").dropDuplicates(["doc_id", "__h"]).drop("__more", "__h"))
 
 
+def _labels(links: DataFrame) -> DataFrame:
+    return components(links) if not links.isEmpty() else links.sparkSession.createDataFrame([], "node long, comp long")
+
+
 def _open_buckets(met: DataFrame, comp: DataFrame) -> DataFrame:
     """(sig, node, size, comp) of buckets that still hold more than one component."""
     named = met.select("sig", "node", "size").join(comp, "node", "left").select("sig", "node", "size", F.coalesce("comp", "node").alias("comp"))
