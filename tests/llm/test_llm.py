@@ -4,6 +4,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from ringann.llm import chat, decontaminate, fingerprints, jaccard, language, lines, lm, mixing, secrets, suffix
 
@@ -162,6 +163,81 @@ def test_language(spark):
     assert got[5]["n_langs"] == 2 and all(0 <= r["score"] <= 1 for r in got.values())
 
 
+def plain_em(probs, grams, rounds):
+    """Proportions by plain loops, without selection of languages."""
+    share = [1 / (len(probs) + 1)] * (len(probs) + 1)
+    for _ in range(rounds):
+        sums = [0.0] * len(share)
+        for g in grams:
+            like = [*(float(p[g]) for p in probs), 1 / language.BUCKETS]
+            total = sum(s * x for s, x in zip(share, like))
+            for i, (s, x) in enumerate(zip(share, like)):
+                sums[i] += s * x / total
+        share = [x / len(grams) for x in sums]
+    return share
+
+
+def test_language_mixture_against_plain_em(monkeypatch):
+    g = np.random.default_rng(8)
+    probs = g.dirichlet(np.full(language.BUCKETS, 0.02), 3).astype(np.float32) + 1e-9
+    grams = np.concatenate([g.choice(language.BUCKETS, n, p=p / p.sum()) for n, p in zip((300, 100, 0), probs.astype(np.float64))])
+    at, weight = np.unique(grams, return_counts=True)
+    like = np.concatenate([probs[:, at], np.full((1, len(at)), 1 / language.BUCKETS)]).astype(np.float64)
+    got, fit = language._em(like, weight.astype(float), np.full(4, 0.25), 8)
+    assert got == pytest.approx(plain_em(probs, grams, 8), abs=1e-6)
+    assert fit == pytest.approx(sum(np.log(sum(s * x for s, x in zip(got, [*probs[:, q], 1 / language.BUCKETS]))) for q in grams))
+    found = language.infer(probs, grams)
+    assert found[2] == 0 and found[0] == pytest.approx(0.75, abs=0.05) and found[1] == pytest.approx(0.25, abs=0.05)
+
+
+def test_language_held_out_accuracy(spark):
+    sf = "/root/testdata/sf0.01"
+    truth = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang")
+    got = language.op3_language_id(spark, sf).join(truth, "doc_id").where("held_out AND lang IS NOT NULL AND lang_pred <> 'und'").collect()
+    assert len(got) > 200 and np.mean([r["lang"] == r["lang_pred"] for r in got]) > 0.95
+
+
+def test_lm_score_against_plain_interpolation(spark, monkeypatch):
+    """Scores by plain loops: weights by expectation-maximisation on exact estimates, each document left out."""
+    sf, learn, kept = "/root/testdata/sf0.001", lm.learn, []
+    monkeypatch.setattr(lm, "learn", lambda cells, uniform: kept.append(learn(cells, uniform)) or kept[-1])
+    got = {r["doc_id"]: r for r in lm.op4_lm_score(spark, sf).collect()}
+    texts = {i: [*toks(t), None] for i, t in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()}
+    train = [i for i in texts if zlib.crc32(str(i).encode()) % 5 != 1]
+    uni, pair, ctx = {}, {}, {}
+    for i in train:
+        for a, w in zip([0, *texts[i]], texts[i]):
+            uni[w], pair[a, w], ctx[a] = uni.get(w, 0) + 1, pair.get((a, w), 0) + 1, ctx.get(a, 0) + 1
+    n, flat = sum(uni.values()), 1 / (len(uni) + 1)
+
+    def estimates(text, own):
+        mine, mine2, mine0 = {}, {}, {}
+        for a, w in zip([0, *text], text) if own else ():
+            mine[w], mine2[a, w], mine0[a] = mine.get(w, 0) + 1, mine2.get((a, w), 0) + 1, mine0.get(a, 0) + 1
+        for a, w in zip([0, *text], text):
+            c = ctx.get(a, 0) - mine0.get(a, 0)
+            p2 = (pair.get((a, w), 0) - mine2.get((a, w), 0)) / c if c else 0.0
+            yield min(int(np.log2(c + 1)), lm.CONTEXTS - 1), p2, (uni.get(w, 0) - mine.get(w, 0)) / (n - len(text) if own else n)
+
+    def total(weights, own, ids):
+        return {i: sum(float(np.log10(weights[b][0] * p2 + weights[b][1] * p1 + weights[b][2] * flat)) for b, p2, p1 in estimates(texts[i], own)) for i in ids}
+
+    want = total(kept[0], False, texts)
+    assert all(r["score"] == pytest.approx(want[i]) for i, r in got.items())
+    cells = np.array([e for i in train for e in estimates(texts[i], True)])
+    weights = np.tile([0.4, 0.5, 0.1], (lm.CONTEXTS, 1))
+    for _ in range(50):
+        part = weights[cells[:, 0].astype(int)] * np.stack([cells[:, 1], cells[:, 2], np.full(len(cells), flat)], axis=1)
+        part /= part.sum(axis=1, keepdims=True)
+        for b in set(cells[:, 0].astype(int)):
+            mean = part[cells[:, 0] == b].mean(axis=0)
+            weights[b] = mean
+    weights[0, 0] = 0.0
+    weights[0] /= weights[0].sum()
+    ours, plain = sum(total(kept[0], True, train).values()), sum(total(weights, True, train).values())
+    assert ours == pytest.approx(plain, rel=0.01)
+
+
 def test_lm_counts_and_gain(spark):
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
     rows = docs.select("doc_id", "text").collect()
@@ -242,6 +318,13 @@ def test_repeats(docs):
     assert sorted((str(r["doc_id"]), r["n_bytes"], r["n_removed"], r["kept_sha256"]) for r in got) == sorted(want)
 
 
+def test_repeated_rows_are_places_of_their_own(spark):
+    x, y, short = prose(150), prose(160), prose(20)
+    rows = [(1, x), (1, x), (None, y), (None, y), (2, short), (2, short), (3, "é" * 300), (3, None), (4, "ab" * 400), (5, prose(3000) + x[:500])]
+    got = suffix.repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((str(r["doc_id"]), r["n_bytes"] - r["n_removed"]) for r in got) == sorted([("1", 0), ("1", 0), ("None", 0), ("None", 0), ("2", len(short)), ("2", len(short)), ("3", 0), ("3", 0), ("4", 0), ("5", len(rows[-1][1]) - 500)])
+
+
 def test_repeats_at_rims(spark):
     g = np.random.default_rng(9)
     base, texts = prose(600), []
@@ -267,8 +350,6 @@ def test_repeats_at_rims(spark):
 
 
 def test_fingerprints(spark):
-    from pyspark.sql import functions as F
-
     rows = spark.createDataFrame([(1, "a\nb\n\nc"), (2, "a\nb\n\nc"), (3, "a\nB\n\nc"), (4, None), (5, "")], "id long, text string")
     got = {r[0]: r[1] for r in rows.select("id", fingerprints.fingerprint(F.col("text"))).collect()}
     assert got[1] == got[2] != got[3] and got[4] == got[5]
@@ -280,8 +361,38 @@ def test_fingerprints(spark):
 def test_secrets(docs):
     r = {x["doc_id"]: x["spans"] for x in secrets.scan(docs).collect()}
     assert [s["number"] for s in r[40]] == [0, 1, 2] and r[4] == []
-    assert secrets.trigram_query(secrets.RULES[2]) == []
-    assert frozenset(("tok", "oke", "ken")) in secrets.trigram_query(secrets.RULES[0])
+
+
+def test_trigram_queries_follow_from_patterns():
+    tri = lambda w: frozenset(w[i : i + 3] for i in range(len(w) - 2))
+    query = lambda p: set(secrets.trigram_query(secrets.Rule("x", p)))
+    # What follows a keyword is unknown after the optional quote, so its own trigrams are all that is mandatory.
+    assert query(secrets.ASSIGN) == {tri(w) for w in secrets.KEYWORDS}
+    assert query("(AKIA[A-Z0-9]+)") == {tri("akia")}
+    assert query("([0-9a-f]{16,})") == query("a*bc") == query("(abc)?") == query(".+") == set()
+    assert query("-----BEGIN [A-Z ]*PRIVATE KEY-----") == {tri("-----begin ") | tri("private key-----")}
+    assert query("ab(c|d)e") == {tri("abce"), tri("abde")}
+    assert query("x(foo)+y") == {tri("xfoo") | tri("ooy")}
+    assert query("gh[pousr]_x") == {tri(f"gh{c}_x") for c in "pousr"}
+    assert query("[0-9]{3}abcd") == {tri(f"{i}abcd") for i in range(10)}
+
+
+def test_trigram_queries_hold_for_every_match():
+    g = np.random.default_rng(4)
+    for pattern in ("ab?c{2,3}d", "(foo|ba+r)baz", "x[ab]{2}(yz)*w", "(a|b)(c|d)(e|f)(g|h)(i|j)(k|l)(m|n)z", "p(qr){2,}s?tu", "[A-C]x{1}yz+", "abc|de"):
+        query = secrets.trigram_query(secrets.Rule("x", pattern))
+        for _ in range(3000):
+            t = "".join(g.choice(list("abcdefoxyzwpqrstuBgikmz"), int(g.integers(3, 14))))
+            for m in re.finditer(pattern, t):
+                low = m.group().lower()
+                assert not query or any(all(x in low for x in b) for b in query)
+
+
+def test_secrets_with_a_pattern_alone(spark):
+    rules = (secrets.Rule("one", "(key-[0-9]{4}x)", 1, 0), *(secrets.Rule(f"r{i}", f"(begin{i:03d}[a-z]+end{i:03d})", 1, 0) for i in range(30)))
+    rows = [(1, "key-1234x begin007abcend007"), (2, "KEY-1234x"), (None, "begin029aend029"), (3, None), (3, "begin001aend001")]
+    got = {(r[0], tuple(s["number"] for s in r[1])) for r in secrets.scan(spark.createDataFrame(rows, "doc_id long, text string"), rules).collect()}
+    assert got == {(1, (0, 8)), (2, ()), (None, (30,)), (3, ()), (3, (2,))}
 
 
 def test_decontaminate(spark, docs):
@@ -291,24 +402,67 @@ def test_decontaminate(spark, docs):
     assert got[(1, 20)]["contaminated"] and got[(7, 2)]["n_items"] == 1 and got[(20, 1)]["n_items"] == 0
     kept = decontaminate.remove(docs, bench, "spans").where("doc_id = 7").first()["text"]
     assert kept.strip() == ""
+    for f in (decontaminate.scan, decontaminate.remove):
+        with pytest.raises(ValueError):
+            f(docs, bench, max_bytes=100)
+    none = bench.limit(0)
+    assert decontaminate.scan(docs, none).where("contaminated").count() == 0 and decontaminate.remove(docs, none).count() == docs.count()
+
+
+def test_columns_that_clash(spark):
+    rows = [(i, "the same long line of text here\nown %d" % i, "en", 5, 0.5) for i in range(4)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, n_lines int, score double")
+    out = lines.drop_lines(d)
+    assert sorted(out.columns) == ["doc_id", "kept_sha256", "lang", "n_dropped", "n_lines", "score", "text"] and {r["n_lines"] for r in out.collect()} == {2}
+    judged = language.predict(d, language.fit(d), ["score", "lang"])
+    assert judged.columns == ["doc_id", "lang", "lang_pred", "score", "noise", "n_langs"] and judged.count() == 4
+    taken = mixing.mix(d.withColumn("source", F.lit("s")))
+    assert "copy" in mixing.materialize(d.withColumn("copy", F.lit(9)), taken).columns
 
 
 def test_chat(spark):
-    turns = spark.createDataFrame([(1, 0, "a", "hi"), (1, 1, "b", None), (1, 2, "c", "x"), (2, 0, None, "y")], "conv_id long, turn long, role string, text string")
+    turns = spark.createDataFrame([(1, 0, "a", "hi"), (1, 1, "b", None), (1, 2, "c", "x"), (2, 0, None, "y"), (None, 0, "a", "z"), (3, None, "a", "1"), (3, 5, "b", "2"), (3, 5, "b", "2")], "conv_id long, turn long, role string, text string")
     whole = {(r["conv_id"], r["perspective"]): r for r in chat.render(turns).collect()}
-    assert len(whole) == 4
+    assert len(whole) == 7
     r = whole[(1, "a")]
     assert [r["text"][m["start"] : m["end"]] for m in r["masks"]] == ["hi<|end|>"] and "user name=b" in r["text"]
+    assert whole[(3, "b")]["text"] == "<|start|>assistant\n2<|end|>\n" * 2 + "<|start|>user name=a\n1<|end|>\n"
 
 
 def test_pipeline_steps(spark):
+    """Every stage at its own parameters, on whole tables, against brute force on what its predecessor kept."""
     import corpus_pipeline as p
 
     sf = "/root/testdata/sf0.001"
+    bench = [(r["item_id"], r["text"]) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
     docs = spark.read.parquet(f"{sf}/documents.parquet")
-    before = docs.count()
+    rows = docs.select(p.COLUMNS).collect()
     for name, step in p.STAGES[:-1]:
         docs = p.stage(step(spark, docs, sf))
-        assert docs.columns == p.COLUMNS and 0 < docs.count() <= before
-        before = docs.count()
-    assert decontaminate.scan(docs, spark.read.parquet(f"{sf}/benchmark.parquet")).where("contaminated").count() == 0
+        got = {(r["doc_id"], r["text"]) for r in docs.collect()}
+        assert docs.columns == p.COLUMNS and len(got) == docs.count()
+        if name == "language_id":
+            assert got <= {(r["doc_id"], r["text"]) for r in rows} and len(got) > 0.9 * len(rows) and docs.where("lang IS NULL").count() == 0
+        if name == "line_dedup":
+            keyed = [[(x, x.strip(" \t\n\v\f\r").translate({c: c + 32 for c in range(65, 91)})) for x in (t or "").split("\n")] for _, t in before]
+            held: dict = {}
+            for (i, _), own in zip(before, keyed):
+                for _, k in own:
+                    held.setdefault(k, set()).add(i)
+            bad = {k: max(v) for k, v in held.items() if len(k) >= 20 and len(v) >= 3}
+            left = [(i, [x for x, k in own if bad.get(k, i) == i], len(own)) for (i, _), own in zip(before, keyed)]
+            assert got == {(i, "\n".join(x)) for i, x, n in left if x}
+        if name == "near_duplicates":
+            comps = brute_components(sorted(before), 5, 80, 100)
+            assert {i for i, _ in got} == {i for i, _, c in comps if c == i} and got <= set(before)
+        if name == "benchmark_decontamination":
+            cut = lambda t: re.findall(r"[^\x00-\x2f\x3a-\x60\x7b-\x7f]+", (t or "").translate({c: c + 32 for c in range(65, 91)}))
+            wins = {tuple(w[j : j + 10]) for _, t in bench for w in [cut(t)] for j in range(max(1, len(w) - 9)) if w}
+            dirty = {i for i, t in before for w in [cut(t)] if any(tuple(w[j : j + n]) in wins for n in {len(x) for x in wins} for j in range(len(w) - n + 1))}
+            assert got == {(i, t) for i, t in before if i not in dirty}
+        before = sorted(got)
+    mixed = {r["doc_id"]: r for r in p.STAGES[-1][1](spark, docs, sf).collect()}
+    assert set(mixed) == {i for i, _ in before}
+    for source in {r["source"] for r in mixed.values()}:
+        own = [r for r in mixed.values() if r["source"] == source]
+        assert abs(sum(r["taken"] for r in own) - own[0]["target"]) <= max(r["size"] for r in own) and all(r["copies"] <= 3 for r in own)
