@@ -39,6 +39,12 @@ def timed(df: DataFrame) -> float:
     return time.perf_counter() - start
 
 
+def timed_call(f) -> float:
+    start = time.perf_counter()
+    f()
+    return time.perf_counter() - start
+
+
 def summarize(runs: DataFrame) -> DataFrame:
     return runs.groupBy("method", "params").agg(F.avg("recall").alias("recall"), F.avg("ratio").alias("ratio"), F.avg("seconds").alias("seconds"), F.count("*").alias("runs"))
 
@@ -59,3 +65,8 @@ def budget_curve(results: DataFrame, level: float = 0.5) -> DataFrame:
 
 def acceleration(other, ours):
     return (other / ours - 1) * 100
+
+
+def report(results: DataFrame) -> DataFrame:
+    """Means by method and parameters, by method, and over all."""
+    return results.rollup("method", "params").agg(F.avg("recall").alias("recall"), F.min("seconds").alias("seconds"), F.grouping_id().cast("int").alias("level"))

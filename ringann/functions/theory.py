@@ -136,6 +136,29 @@ def complexity_table(spark: SparkSession, n: float, d: float, r: float, eta: flo
     return spark.createDataFrame(complexity_rows(n, d, r, eta), "method string, alpha double, m double, lam double, space double, build_time double, query_time double")
 
 
+def hash_cost(family: str, d: int) -> float:
+    """Operations of one hash function: a projection, a fast rotation, or one coordinate."""
+    return {"random_projection": float(d), "cross_polytope": d * math.log2(d), "bit_sampling": 1.0}[family]
+
+
+#: Published parameter grids (fixed values): K from 1 to 10 with KL up to 512; powers of two; thresholds and dimensions.
+GRIDS = ("static_concat", "collision_count", "ring", "projected_incremental", "query_aware_blocked")
+
+
+def grid(method: str) -> list[dict]:
+    """All settings of a method's grid."""
+    powers = [8 << i for i in range(7)]
+    if method == "static_concat":
+        return [{"K": k, "L": t} for k in range(1, 11) for t in powers if k * t <= 512]
+    if method == "collision_count":
+        return [{"m": m, "l": t} for m in powers for t in range(2, 11)]
+    if method == "ring":
+        return [{"m": m, "probes": p} for m in powers for p in (1, m + 1, 2 * m + 1, 4 * m + 1, 8 * m + 1)]
+    if method == "projected_incremental":
+        return [{"d": x} for x in range(4, 11)]
+    return [{"L": t, "M": n // t, "c": c} for t in (10, 20, 40) for n in (100, 240, 400) if n % t == 0 for c in (2, 3, 4)]
+
+
 def gamma_cdf(k: float, x: float) -> float:
     """Chi-square distribution with k degrees, by the series of the incomplete gamma function."""
     a, x = k / 2, x / 2

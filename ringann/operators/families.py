@@ -17,9 +17,45 @@ def matrix(col: pa.Array) -> np.ndarray:
     return flat.reshape(n, -1) if n else flat.reshape(0, 0)
 
 
+class Sets:
+    """Rows of sorted distinct integers, one after the other: the points of set families."""
+
+    def __init__(self, flat: np.ndarray, off: np.ndarray):
+        self.flat, self.off = flat, off
+
+    def __len__(self):
+        return len(self.off) - 1
+
+    def __getitem__(self, at):
+        if np.isscalar(at):
+            return self.flat[self.off[at] : self.off[at + 1]]
+        at = np.asarray(at, np.int64)
+        size = (self.off[1:] - self.off[:-1])[at]
+        off = np.concatenate([[0], np.cumsum(size)]).astype(np.int64)
+        inner = np.arange(off[-1]) - np.repeat(off[:-1], size)
+        return Sets(self.flat[np.repeat(self.off[at], size) + inner], off)
+
+    @classmethod
+    def of(cls, col: pa.Array) -> Sets:
+        rows = [np.unique(np.asarray(r, np.int64)) for r in col.to_pylist()]
+        off = np.concatenate([[0], np.cumsum([len(r) for r in rows])]).astype(np.int64)
+        return cls(np.concatenate(rows) if rows else np.zeros(0, np.int64), off)
+
+    @classmethod
+    def joined(cls, parts: list[Sets]) -> Sets:
+        sizes = np.concatenate([np.diff(p.off) for p in parts])
+        return cls(np.concatenate([p.flat for p in parts]), np.concatenate([[0], np.cumsum(sizes)]).astype(np.int64))
+
+
 class Family:
+    """Codes of points. `d` is the length of a vector; set families have none."""
+
     metric = "euclidean"
     m: int
+    d: int | None = None
+
+    def points(self, col: pa.Array):
+        return matrix(col)
 
     def codes(self, x: np.ndarray) -> np.ndarray:
         raise NotImplementedError
@@ -41,7 +77,7 @@ class RandomProjection(Family):
 
     def __init__(self, d: int, m: int, w: float, seed: int = 0, p: int = 2):
         rng = np.random.Generator(np.random.Philox(seed))
-        self.m, self.w, self.p, self.metric = m, w, p, "euclidean" if p == 2 else "manhattan"
+        self.d, self.m, self.w, self.p, self.metric = d, m, w, p, "euclidean" if p == 2 else "manhattan"
         self.a = rng.standard_normal((d, m)) if p == 2 else rng.standard_cauchy((d, m))
         self.b = rng.uniform(0, w, m)
 
@@ -77,7 +113,7 @@ class CrossPolytope(Family):
 
     def __init__(self, d: int, m: int, seed: int = 0, rotation: str = "gaussian", cp_dim: int | None = None):
         rng = np.random.Generator(np.random.Philox(seed))
-        self.m, self.rotation = m, rotation
+        self.d, self.m, self.rotation = d, m, rotation
         self.size = 1 << (d - 1).bit_length() if rotation == "hadamard" else d
         self.dim = cp_dim or (self.size if rotation == "hadamard" else d)
         if rotation == "hadamard":
@@ -118,6 +154,15 @@ class CrossPolytope(Family):
     def collision_prob(self, tau):
         return theory.cp_collision_prob(tau, self.dim)
 
+    def rotation_matrix(self, j: int) -> np.ndarray:
+        """[d, dim] of function j, without the division by the norm, which moves no largest coordinate."""
+        if self.rotation != "hadamard":
+            return self.g[j]
+        y = np.eye(self.d, self.size)
+        for r in range(3):
+            y = walsh_hadamard(y * self.signs[j, r]) / np.sqrt(self.size)
+        return y[:, : self.dim]
+
 
 def walsh_hadamard(x: np.ndarray) -> np.ndarray:
     n, size = x.shape
@@ -133,7 +178,7 @@ class Hyperplane(Family):
     metric = "angular"
 
     def __init__(self, d: int, m: int, seed: int = 0):
-        self.m, self.a = m, np.random.Generator(np.random.Philox(seed)).standard_normal((d, m))
+        self.d, self.m, self.a = d, m, np.random.Generator(np.random.Philox(seed)).standard_normal((d, m))
 
     def codes(self, x):
         return (x @ self.a >= 0).astype(np.int32)
@@ -163,25 +208,44 @@ class BitSampling(Family):
         return 1 - tau / self.d
 
 
+#: A Mersenne prime: products of two smaller numbers fit 64 bits in any engine.
+PRIME = (1 << 31) - 1
+
+
 class MinHash(Family):
-    """Least hash of a set under m mixes; codes(sets) takes a list of integer arrays."""
+    """Least of (a x + b) mod PRIME over a set of integers in [0, PRIME), for m pairs (a, b); an empty set has PRIME.
+    The integers are to be spread, as hashes are: of numbers in a row the least ones depend on each other.
+
+    Alternatives of a position are its next least values, scored by how far they are behind the least.
+    """
 
     metric = "jaccard"
 
     def __init__(self, m: int, seed: int = 0):
-        self.m, self.mix = m, np.random.Generator(np.random.Philox(seed)).integers(1, 1 << 63, m, dtype=np.uint64) | np.uint64(1)
+        rng = np.random.Generator(np.random.Philox(seed))
+        self.m, self.a, self.b = m, rng.integers(1, PRIME, m), rng.integers(0, PRIME, m)
+
+    def points(self, col):
+        return Sets.of(col)
+
+    def _hashes(self, s):
+        return (np.asarray(s, np.int64)[:, None] * self.a + self.b) % PRIME
 
     def codes(self, x):
-        out = np.zeros((len(x), self.m), np.int32)
-        for i, s in enumerate(x):
-            h = np.asarray(s, np.int64).astype(np.uint64)[:, None] + self.mix
-            for a, b in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
-                h = (h ^ (h >> np.uint64(a))) * np.uint64(b)
-            h ^= h >> np.uint64(31)
-            if len(h):
-                out[i] = (h.min(axis=0) >> np.uint64(33)).astype(np.int32)
+        out = np.full((len(x), self.m), PRIME, np.int32)
+        for i in range(len(x)):
+            if len(x[i]):
+                out[i] = self._hashes(x[i]).min(axis=0)
         return out
 
+    def alternatives(self, x, n_alt):
+        codes, scores = np.full((len(x), self.m, n_alt), PRIME, np.int32), np.full((len(x), self.m, n_alt), np.inf)
+        for i in range(len(x)):
+            h = np.sort(self._hashes(x[i]), axis=0)[: n_alt + 1]
+            if len(h) > 1:
+                codes[i, :, : len(h) - 1], scores[i, :, : len(h) - 1] = h[1:].T, ((h[1:] - h[0]) / PRIME).T
+        return codes, scores
+
     def collision_prob(self, tau):
         return 1 - tau
 
@@ -194,9 +258,7 @@ def encode(data: DataFrame, family: Family, keep_vec: bool = True) -> DataFrame:
     def run(batches):
         for b in batches:
             if b.num_rows:
-                vec = b.column("vec")
-                x = vec.to_pylist() if family.metric == "jaccard" else matrix(vec)
-                c = family.codes(x)
+                c = family.codes(family.points(b.column("vec")))
                 flat = pa.array(np.ascontiguousarray(c).ravel(), pa.int32())
                 codes = pa.ListArray.from_arrays(pa.array(np.arange(len(c) + 1) * family.m, pa.int32()), flat)
                 yield pa.RecordBatch.from_arrays([*[b.column(n) for n in names], codes], names=[*names, "codes"])
@@ -216,6 +278,13 @@ def valid_vectors(data: DataFrame, d: int, unit: bool = False) -> tuple[DataFram
     return data.where(good), data.where(~good)
 
 
+def usable(df: DataFrame, family: Family) -> DataFrame:
+    """Rows whose vec a family can take: no nulls or NaN in it, of its length, and for angles not zero."""
+    if family.d is None:
+        return df.where(F.col("vec").isNotNull() & ~F.exists("vec", lambda x: x.isNull()))
+    return valid_vectors(df, family.d, family.metric == "angular")[0]
+
+
 def collision_profile(pairs: DataFrame, width: float) -> DataFrame:
     """pairs(dist, a, b): share of equal positions by distance bin."""
     from ringann.functions.runs import equal_positions

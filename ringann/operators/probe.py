@@ -34,28 +34,81 @@ def perturbations(scores: np.ndarray, n_probes: int, max_gap: int = MAX_GAP) ->
     return out
 
 
+def probe_table(queries, family, n_probes: int, n_alt: int = 4, max_gap: int = MAX_GAP):
+    """(qid, probe_no, score, changes ARRAY<STRUCT<pos, code>>): the probes of every query, computed where queries are read."""
+    import pyarrow as pa
+    from pyspark.sql import functions as F
+
+    from ringann.operators.families import usable
+
+    def run(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            codes, scores = family.alternatives(family.points(b.column("vec")), n_alt)
+            for i, qid in enumerate(b.column("qid").to_pylist()):
+                found = perturbations(scores[i], n_probes, max_gap)
+                changes = [[{"pos": int(p), "code": int(codes[i, p, a])} for p, a in delta] for delta, _ in found]
+                yield pa.RecordBatch.from_arrays([pa.array([qid] * len(found), pa.int64()), pa.array(range(len(found)), pa.int32()), pa.array([s for _, s in found], pa.float64()), pa.array(changes, pa.list_(pa.struct([("pos", pa.int32()), ("code", pa.int32())])))], names=["qid", "probe_no", "score", "changes"])
+
+    kind = "array<double>" if family.d is not None else "array<long>"
+    rows = usable(queries, family).select("qid", F.col("vec").cast(kind).alias("vec"))
+    return rows.mapInArrow(run, "qid long, probe_no int, score double, changes array<struct<pos:int,code:int>>")
+
+
+def alternative_table(data, family, n_alt: int):
+    """(obj_id, pos, place, code, score): every position's alternatives, the best first."""
+    import pyarrow as pa
+    from pyspark.sql import functions as F
+
+    from ringann.operators.families import usable
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                codes, scores = family.alternatives(family.points(b.column("vec")), n_alt)
+                n, m, k = codes.shape
+                line = np.arange(n * m * k)
+                cols = [np.repeat(b.column("obj_id").to_numpy(), m * k), (line // k % m).astype(np.int32), (line % k).astype(np.int32), codes.ravel().astype(np.int32), scores.ravel()]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["obj_id", "pos", "place", "code", "score"])
+
+    kind = "array<double>" if family.d is not None else "array<long>"
+    rows = usable(data, family).select("obj_id", F.col("vec").cast(kind).alias("vec"))
+    return rows.mapInArrow(run, "obj_id long, pos int, place int, code int, score double")
+
+
 def probe_grid(m: int) -> list[int]:
     return [1, m + 1, 2 * m + 1, 4 * m + 1, 8 * m + 1]
 
 
 def affected(bound: np.ndarray, first: int) -> list[int]:
-    """Rotations whose first search looked at position `first`, its first mismatch included; in order, ending there."""
-    m = len(bound)
-    reach = bound[:, 2:].max(axis=1)
+    """Rotations whose search looked at position `first`, its first mismatch included; in order, ending there."""
+    return _reached(bound[:, 2:].max(axis=1), first)
+
+
+def _reached(reach: np.ndarray, first: int) -> list[int]:
+    m = len(reach)
     return [i for i in ((first - d) % m for d in range(m - 1, -1, -1)) if (first - i) % m <= reach[i]]
 
 
 def search_rows(shard: rotation.Shard, q: np.ndarray, alt_codes: np.ndarray, scores: np.ndarray, k: int, n_probes: int, max_gap: int = MAX_GAP, skip: bool = True, ties: bool = False) -> tuple[np.ndarray, np.ndarray, int]:
-    """(rows, longest prefixes with the query or a probe, rotations searched again). skip=False searches every rotation of every probe."""
+    """(rows, longest prefixes with the query or a probe, rotations searched again). skip=False searches every rotation of every probe.
+
+    A probe differs from the one without its first change in that position only, so only those rotations are searched
+    again whose window in the search of that one reaches it; windows that a later change has stretched round to
+    the first are among them.
+    """
     heap: list = []
     base = rotation.bounds(shard, q)
     rotation.push_heads(shard, heap, base, range(shard.m), q, 0)
     again = 0
+    reaches = {(): base[:, 2:].max(axis=1)}
     for number, (delta, _) in enumerate(perturbations(scores, n_probes, max_gap)[1:], 1):
         p = q.copy()
         for pos, alt in delta:
             p[pos] = alt_codes[pos, alt]
-        rots = affected(base, delta[0][0]) if skip else range(shard.m)
+        reach = reaches.get(delta[1:])  # none where equal scores put a probe before its part
+        rots = _reached(reach, delta[0][0]) if skip and reach is not None else list(range(shard.m))
         again += len(rots)
         found = np.zeros_like(base)
         before = None
@@ -71,6 +124,8 @@ def search_rows(shard: rotation.Shard, q: np.ndarray, alt_codes: np.ndarray, sco
                 rotation._lcp(shard.rotated(shard.order[i, up], i), rq) if up < shard.n else 0,
             )
             before = i
+        reaches[delta] = np.zeros(shard.m, np.int64) if reach is None else reach.copy()
+        reaches[delta][rots] = found[rots, 2:].max(axis=1)
         rotation.push_heads(shard, heap, found, rots, p, number)
     return *rotation._merge(shard, heap, min(k, shard.n), ties), again
 

@@ -1,8 +1,13 @@
 """Ring index and ring search over DataFrames.
 
-data(obj_id, vec), queries(qid, vec). The index is a table of one packed row per shard; a query batch visits every
-shard once, each shard returns its own best candidates (verified in place), and one small shuffle by qid merges
-them. Shards are bounded, so executors hold one shard and one batch of queries, whatever the data's size.
+data(obj_id, vec), queries(qid, vec). The index is a table of one packed row per shard, and queries are packed in
+blocks by the executors; every block meets every shard once, each meeting returns its own best candidates
+(verified in place), and one small shuffle by qid merges them. Shards and blocks are bounded, so executors hold one
+of each, whatever the size of data or query set, and no query passes through the driver.
+
+Edge cases: rows whose vector is null, of another length, holds null or NaN, or is zero where angles are asked,
+are left out as objects and give no result as queries; equal distances and run lengths are ordered by obj_id;
+repeated ids are objects of their own; empty data or queries give an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -11,57 +16,121 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ringann.functions import runs
+from ringann.functions import runs, theory
 from ringann.functions.vectors import DISTANCES
 from ringann.operators import probe, rotation
-from ringann.operators.families import Family, encode, matrix
+from ringann.operators.families import Family, Sets, matrix, usable
 from ringann.operators.topk import broadcast_queries, top_k
+from ringann.sources.staging import stage
 
 SHARD_ROWS = 100_000
-QUERY_BATCH = 100_000
-PACKED = "shard int, n int, m int, d int, ids binary, codes binary, ord binary, link binary, vecs binary"
+QUERY_BLOCK = 2_000
+BROADCAST_QUERIES = 50_000  # 50 MB at 128 dimensions
+PACKED = "shard int, n int, m int, d int, ids binary, codes binary, ord binary, link binary, vecs binary, offs binary"
+BLOCK = "q_n int, q_ids binary, q_vecs binary, q_offs binary, q_codes binary, q_alts binary, q_scores binary"
+RESULT = "qid long, rnk int, obj_id long, dist double"
 
 
-def distances(metric: str, x: np.ndarray, q: np.ndarray) -> np.ndarray:
+def distances(metric: str, x, q) -> np.ndarray:
     if metric == "euclidean":
         return np.sqrt(((x - q) ** 2).sum(axis=1))
     if metric == "manhattan":
         return np.abs(x - q).sum(axis=1)
     if metric == "hamming":
         return (x != q).sum(axis=1).astype(np.float64)
-    cosine = (x @ q) / (np.linalg.norm(x, axis=1) * np.linalg.norm(q))
-    return np.arccos(np.clip(cosine, -1, 1))
+    if metric == "angular":
+        cosine = (x @ q) / (np.linalg.norm(x, axis=1) * np.linalg.norm(q))
+        return np.arccos(np.clip(cosine, -1, 1))
+    if metric == "jaccard":
+        at = np.minimum(np.searchsorted(q, x.flat), max(0, len(q) - 1))
+        hit = np.concatenate([[0], np.cumsum(q[at] == x.flat)]) if len(q) else np.zeros(len(x.flat) + 1, np.int64)
+        same = hit[x.off[1:]] - hit[x.off[:-1]]
+        union = np.diff(x.off) + len(q) - same
+        return np.where(union > 0, 1 - same / np.maximum(union, 1), 0.0)
+    raise ValueError(f"unknown metric {metric}")
 
 
-def build_index(data: DataFrame, family: Family, shard_rows: int = SHARD_ROWS, rows: int | None = None) -> DataFrame:
-    """Packed shards. One shuffle of (id, vector); codes are computed where the shard is built."""
-    n = data.count() if rows is None else rows
-    shards = max(1, -(-n // shard_rows))
+def _bytes(points) -> tuple[bytes, bytes]:
+    if isinstance(points, Sets):
+        return points.flat.astype(np.int64).tobytes(), points.off.astype(np.int64).tobytes()
+    return np.ascontiguousarray(points, np.float64).tobytes(), b""
+
+
+def _points(raw, offs, n: int):
+    if len(offs):
+        return Sets(np.frombuffer(raw, np.int64), np.frombuffer(offs, np.int64))
+    return np.frombuffer(raw, np.float64).reshape(n, -1)
+
+
+def _joined(parts: list):
+    return Sets.joined(parts) if isinstance(parts[0], Sets) else np.concatenate(parts)
+
+
+def build_index(data: DataFrame, family: Family, shard_rows: int = SHARD_ROWS, rows: int | None = None, shard: Column | None = None) -> DataFrame:
+    """Packed shards. One shuffle of (id, vector); codes are computed where the shard is built. Objects are dealt
+    out by a hash of the id, or as the column `shard` says."""
+    data = usable(data, family)
+    if shard is None:
+        n = data.count() if rows is None else rows
+        shard = F.pmod(F.xxhash64("obj_id"), F.lit(max(1, -(-n // shard_rows))))
 
     def pack(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, vecs = [], []
         for b in batches:
             ids.append(b.column("obj_id").to_numpy())
-            vecs.append(matrix(b.column("vec")))
-        ids, vecs = np.concatenate(ids), np.concatenate(vecs)
+            vecs.append(family.points(b.column("vec")))
+        ids, vecs = np.concatenate(ids), _joined(vecs)
         by = np.argsort(ids, kind="stable")
         ids, vecs = ids[by], vecs[by]
         s = rotation.Shard(ids, family.codes(vecs))
-        cells = [ids.astype(np.int64), s.codes.astype(np.int32), s.order, s.link, vecs]
-        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), *[pa.array([v], pa.int32()) for v in (s.n, s.m, vecs.shape[1])], *[pa.array([c.tobytes()], pa.binary()) for c in cells]], names=["shard", "n", "m", "d", "ids", "codes", "ord", "link", "vecs"])
+        raw, offs = _bytes(vecs)
+        cells = [ids.astype(np.int64).tobytes(), s.codes.astype(np.int32).tobytes(), s.order.tobytes(), s.link.tobytes(), raw, offs]
+        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), *[pa.array([v], pa.int32()) for v in (s.n, s.m, family.d or 0)], *[pa.array([c], pa.binary()) for c in cells]], names=["shard", "n", "m", "d", "ids", "codes", "ord", "link", "vecs", "offs"])
 
-    keyed = data.select("obj_id", F.col("vec").cast("array<double>").alias("vec"), F.pmod(F.xxhash64("obj_id"), F.lit(shards)).cast("int").alias("shard"))
+    kind = "array<double>" if family.d is not None else "array<long>"
+    keyed = data.select("obj_id", F.col("vec").cast(kind).alias("vec"), shard.cast("int").alias("shard"))
     return keyed.groupBy("shard").applyInArrow(pack, PACKED)
 
 
 def _unpack(b, i):
-    n, m, d = (b.column(c)[i].as_py() for c in ("n", "m", "d"))
+    n, m = (b.column(c)[i].as_py() for c in ("n", "m"))
     get = lambda c, t, *s: np.frombuffer(b.column(c)[i].as_buffer(), t).reshape(*s)
     s = rotation.Shard(get("ids", np.int64, n), get("codes", np.int32, n, m), get("ord", np.int32, m, n), get("link", np.int32, m, n))
-    return s, get("vecs", np.float64, n, d)
+    return s, _points(b.column("vecs")[i].as_buffer(), b.column("offs")[i].as_buffer(), n)
+
+
+def query_blocks(queries: DataFrame, points, sets: bool = False, family: Family | None = None, n_alt: int = 0, block: int = QUERY_BLOCK) -> DataFrame:
+    """queries(qid, vec) in packed blocks, with codes and alternatives if a family is given: no shuffle, nothing on
+    the driver. Broadcast where a count shows that they are few, else they meet the data in a shuffled product of blocks."""
+
+    def pack(batches):
+        for b in batches:
+            for lo in range(0, b.num_rows, block):
+                part = b.slice(lo, block)
+                x = points(part.column("vec"))
+                raw, offs = _bytes(x)
+                codes = family.codes(x).astype(np.int32).tobytes() if family is not None else b""
+                alts, scores = family.alternatives(x, n_alt) if n_alt else (np.zeros(0, np.int32), np.zeros(0))
+                cells = [part.column("qid").to_numpy().astype(np.int64).tobytes(), raw, offs, codes, np.ascontiguousarray(alts, np.int32).tobytes(), np.ascontiguousarray(scores, np.float64).tobytes()]
+                yield pa.RecordBatch.from_arrays([pa.array([part.num_rows], pa.int32()), *[pa.array([c], pa.binary()) for c in cells]], names=["q_n", "q_ids", "q_vecs", "q_offs", "q_codes", "q_alts", "q_scores"])
+
+    rows = queries.select("qid", F.col("vec").cast("array<long>" if sets else "array<double>").alias("vec"))
+    packed = rows.mapInArrow(pack, BLOCK)
+    few = rows.limit(BROADCAST_QUERIES + 1).count() <= BROADCAST_QUERIES
+    return F.broadcast(packed) if few else packed
+
+
+def _block(b, i, m: int = 0):
+    n = b.column("q_n")[i].as_py()
+    ids = np.frombuffer(b.column("q_ids")[i].as_buffer(), np.int64)
+    x = _points(b.column("q_vecs")[i].as_buffer(), b.column("q_offs")[i].as_buffer(), n)
+    codes = np.frombuffer(b.column("q_codes")[i].as_buffer(), np.int32).reshape(n, m) if m else None
+    alts = np.frombuffer(b.column("q_alts")[i].as_buffer(), np.int32)
+    scores = np.frombuffer(b.column("q_scores")[i].as_buffer(), np.float64)
+    return ids, x, codes, (alts.reshape(n, m, -1), scores.reshape(n, m, -1)) if len(alts) else None
 
 
 def index_stats(index: DataFrame) -> DataFrame:
@@ -70,87 +139,169 @@ def index_stats(index: DataFrame) -> DataFrame:
 
 
 def write_index(index: DataFrame, path: str) -> None:
-    index.write.mode("overwrite").parquet(path)
+    """One folder for each shard, so that reads of some shards prune the rest."""
+    index.write.mode("overwrite").partitionBy("shard").parquet(path)
 
 
 def read_index(spark, path: str) -> DataFrame:
-    return spark.read.schema(PACKED).parquet(path)
-
-
-def _query_batches(queries: DataFrame, size: int):
-    """Queries as numpy, in batches of bounded size; streamed, never all on the driver."""
-    rows = []
-    for r in queries.select("qid", F.col("vec").cast("array<double>").alias("vec")).toLocalIterator():
-        rows.append((r[0], r[1]))
-        if len(rows) == size:
-            yield rows
-            rows = []
-    if rows:
-        yield rows
+    return spark.read.schema(PACKED).parquet(path).select(*[c.split()[0] for c in PACKED.split(", ")])
 
 
-def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int, k: int = 1, metric: str | None = None, n_probes: int = 1, max_gap: int = probe.MAX_GAP, ties: str = "id", verify: str = "global", exclude_self: bool = False, n_alt: int = 4, query_batch: int = QUERY_BATCH) -> DataFrame:
-    """(qid, rnk, obj_id, dist): the k nearest of the lam + k - 1 objects with the longest runs.
+def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int | str, k: int = 1, metric: str | None = None, n_probes: int = 1, max_gap: int = probe.MAX_GAP, ties: str = "id", verify: str = "global", exclude_self: bool = False, n_alt: int = 4, skip: bool = True, query_block: int = QUERY_BLOCK, where: Column | None = None) -> DataFrame:
+    """(qid, rnk, obj_id, dist, run_len): the k nearest of the lam + k - 1 objects with the longest runs.
 
     ties='id' collects all that tie with the last candidate and orders them by id, so that results do not depend
     on shards; 'any' stops early. verify='global' cuts candidates to lam + k - 1 over all shards before ranking by
-    distance, 'shard' ranks all shards' candidates, of which each shard sends its k nearest. exclude_self leaves out the object whose id is the query's.
+    distance, 'shard' ranks all shards' candidates, of which each shard sends its k nearest. exclude_self leaves out
+    the object whose id is the query's. skip=False is the trivial multi-probe, which searches every rotation again.
+    `where` is a condition on qid, obj_id and dist that results must meet before ranking.
     """
     metric = metric or family.metric
-    want = lam + k - 1 + exclude_self
-    out = None
-    for batch in _query_batches(queries, query_batch):
-        qids = np.array([r[0] for r in batch], np.int64)
-        qvec = np.array([r[1] for r in batch], np.float64)
-        codes = family.codes(qvec)
-        alts = family.alternatives(qvec, n_alt) if n_probes > 1 else None
-        shared = index.sparkSession.sparkContext.broadcast((qids, qvec, codes, alts))
-
-        def visit(batches, shared=shared):
-            qids, qvec, codes, alts = shared.value
-            for b in batches:
-                for i in range(b.num_rows):
-                    s, vecs = _unpack(b, i)
-                    cols: list[list] = [[], [], [], []]
-                    for j in range(len(qids)):
-                        if alts is None:
-                            rows, lens = rotation.k_search_rows(s, codes[j], want, ties == "id")
-                        else:
-                            rows, lens, _ = probe.search_rows(s, codes[j], alts[0][j], alts[1][j], want, n_probes, max_gap, ties=ties == "id")
-                        rows, lens = rotation.cut_rows(rows, lens, s.ids, want)
-                        dist = distances(metric, vecs[rows], qvec[j])
-                        if verify == "shard":
-                            near = np.lexsort((s.ids[rows], dist))[: k + exclude_self]
-                            rows, lens, dist = rows[near], lens[near], dist[near]
-                        cols[0].append(np.full(len(rows), qids[j]))
-                        cols[1].append(s.ids[rows])
-                        cols[2].append(lens)
-                        cols[3].append(dist)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["qid", "obj_id", "run_len", "dist"])
-
-        part = index.mapInArrow(visit, "qid long, obj_id long, run_len int, dist double")
-        out = part if out is None else out.union(part)
-    if out is None:
-        return index.sparkSession.createDataFrame([], "qid long, rnk int, obj_id long, dist double, run_len int")
+    want, every = lam + k - 1 + exclude_self, where is not None
+    alts = n_alt if n_probes > 1 else 0
+    blocks = query_blocks(usable(queries, family), family.points, family.d is None, family, alts, query_block)
+
+    def visit(batches):
+        kept: tuple = (None, None, None)
+        for b in batches:
+            for i in range(b.num_rows):
+                if kept[0] != (name := b.column("shard")[i].as_py()):
+                    kept = (name, *_unpack(b, i))
+                _, s, vecs = kept
+                qids, x, codes, other = _block(b, i, s.m)
+                cols: list[list] = [[], [], [], []]
+                for j in range(len(qids)):
+                    if other is None:
+                        rows, lens = rotation.k_search_rows(s, codes[j], want, ties == "id")
+                    else:
+                        rows, lens, _ = probe.search_rows(s, codes[j], other[0][j], other[1][j], want, n_probes, max_gap, skip, ties == "id")
+                    rows, lens = rotation.cut_rows(rows, lens, s.ids, want)
+                    dist = distances(metric, vecs[rows], x[j])
+                    if verify == "shard":
+                        near = np.lexsort((s.ids[rows], dist))[: len(rows) if every else k + exclude_self]
+                        rows, lens, dist = rows[near], lens[near], dist[near]
+                    cols[0].append(np.full(len(rows), qids[j]))
+                    cols[1].append(s.ids[rows])
+                    cols[2].append(lens)
+                    cols[3].append(dist)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["qid", "obj_id", "run_len", "dist"])
+
+    out = index.join(blocks, F.lit(True)).mapInArrow(visit, "qid long, obj_id long, run_len int, dist double")
     if exclude_self:
         out = out.where("qid <> obj_id")
     if verify == "global":
         out = top_k(out, lam + k - 1, [F.col("run_len").desc(), "obj_id"], rank="__r").drop("__r")
+    if where is not None:
+        out = out.where(where)
     return top_k(out, k, ["dist", "obj_id"]).select("qid", "rnk", "obj_id", "dist", "run_len")
 
 
+def search_work(index: DataFrame, family: Family, queries: DataFrame, lam: int, n_probes: int = 1, narrowed: bool = True, skip: bool = True, n_alt: int = 4) -> DataFrame:
+    """(qid, steps, again, candidates): bisection steps, rotations searched again and candidates, summed over shards."""
+    blocks = query_blocks(usable(queries, family), family.points, family.d is None, family, n_alt if n_probes > 1 else 0)
+
+    def visit(batches):
+        for b in batches:
+            for i in range(b.num_rows):
+                s, _ = _unpack(b, i)
+                qids, _, codes, other = _block(b, i, s.m)
+                rows = []
+                for j in range(len(qids)):
+                    s.steps = 0
+                    if other is None:
+                        found, again = rotation.k_search_rows(s, codes[j], lam, False, narrowed)[0], 0
+                    else:
+                        found, _, again = probe.search_rows(s, codes[j], other[0][j], other[1][j], lam, n_probes, skip=skip)
+                    rows.append((s.steps, again, len(found)))
+                yield pa.RecordBatch.from_arrays([pa.array(qids), *[pa.array([r[c] for r in rows], pa.int64()) for c in range(3)]], names=["qid", "steps", "again", "candidates"])
+
+    work = index.join(blocks, F.lit(True)).mapInArrow(visit, "qid long, steps long, again long, candidates long")
+    return work.groupBy("qid").agg(*[F.sum(c).alias(c) for c in ("steps", "again", "candidates")])
+
+
+def search_bounds(index: DataFrame, family: Family, queries: DataFrame, narrowed: bool = True) -> DataFrame:
+    """(qid, shard, rot, lower, upper, lower_len, upper_len): neighbours of the query in each rotation, null where there is none."""
+    blocks = query_blocks(usable(queries, family), family.points, family.d is None, family)
+
+    def visit(batches):
+        for b in batches:
+            for i in range(b.num_rows):
+                s, _ = _unpack(b, i)
+                qids, _, codes, _ = _block(b, i, s.m)
+                for j in range(len(qids)):
+                    at = rotation.bounds(s, codes[j], narrowed)
+                    low = [int(s.ids[s.order[r, x]]) if x >= 0 else None for r, x in enumerate(at[:, 0])]
+                    up = [int(s.ids[s.order[r, x]]) if x < s.n else None for r, x in enumerate(at[:, 1])]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(s.m, qids[j])), pa.array(np.full(s.m, b.column("shard")[i].as_py(), np.int32)), pa.array(np.arange(s.m, dtype=np.int32)), pa.array(low, pa.int64()), pa.array(up, pa.int64()), pa.array(at[:, 2].astype(np.int32)), pa.array(at[:, 3].astype(np.int32))], names=["qid", "shard", "rot", "lower", "upper", "lower_len", "upper_len"])
+
+    return index.join(blocks, F.lit(True)).mapInArrow(visit, "qid long, shard int, rot int, lower long, upper long, lower_len int, upper_len int")
+
+
+def theory_lambda(index: DataFrame, family: Family, r: float, c: float) -> int:
+    """Candidates that the guarantee asks for, from the family's collision probabilities and the index's size."""
+    n = index.agg(F.sum("n")).first()[0] or 0
+    p1, p2, _ = family.sensitivity(r, c)
+    return theory.lambda_guarantee(family.m, max(1, n), p1, p2)
+
+
+def decide(index: DataFrame, family: Family, queries: DataFrame, r: float, c: float, lam: int | str = "theory", exclude_self: bool = False) -> DataFrame:
+    """(qid, obj_id, dist), null where nothing is found within c * r: the (R, c) decision, by default with the guarantee's candidates."""
+    lam = theory_lambda(index, family, r, c) if lam == "theory" else lam
+    return near_neighbor(ring_search(index, family, queries, lam, 1, exclude_self=exclude_self), queries, r, c)
+
+
+def ring_knn_graph(data: DataFrame, family: Family, lam: int, k: int, shard_rows: int = SHARD_ROWS, shard: Column | None = None, **how) -> DataFrame:
+    """(qid, rnk, obj_id, dist): for every object its k nearest others through the ring index."""
+    index = build_index(data, family, shard_rows, shard=shard)
+    return ring_search(index, family, data.withColumnRenamed("obj_id", "qid"), lam, k, exclude_self=True, **how).drop("run_len")
+
+
+def ring_pairs(data: DataFrame, family: Family, lam: int, k: int, max_dist: float, **how) -> DataFrame:
+    """(a, b, dist), a < b: pairs within max_dist that the graph holds from either side."""
+    near = ring_knn_graph(data, family, lam, k, **how).where(F.col("dist") <= max_dist)
+    return near.select(F.least("qid", "obj_id").alias("a"), F.greatest("qid", "obj_id").alias("b"), "dist").dropDuplicates(["a", "b"])
+
+
+def ann_join(left: DataFrame, right: DataFrame, family: Family, lam: int, k: int, where: Column | None = None, selectivity: float = 1.0, **how) -> DataFrame:
+    """Similarity join of left(qid, vec) with right(obj_id, vec): each left row's k nearest right rows that meet `where`.
+
+    `where` may name qid, obj_id and dist; lam grows by 1 / selectivity, so that as many candidates are left after it.
+    """
+    lam = max(1, round(lam / selectivity))
+    return ring_search(build_index(right, family), family, left, lam, k, where=where, **how).drop("run_len")
+
+
 def near_neighbor(result: DataFrame, queries: DataFrame, r: float, c: float) -> DataFrame:
     """The (R, c) decision from a k=1 search: the object found within c * r, else null."""
     hit = result.where((F.col("rnk") == 1) & (F.col("dist") <= c * r)).select("qid", "obj_id", "dist")
     return queries.select("qid").join(hit, "qid", "left")
 
 
-def ladder_search(index: DataFrame, family: Family, queries: DataFrame, r0: float, c: float, levels: int, lam: int) -> DataFrame:
+def ladder_search(indexes: list[tuple[DataFrame, Family]], queries: DataFrame, r0: float, c: float, lam: int | str, exclude_self: bool = False) -> DataFrame:
     """(qid, level, obj_id, dist): per query the first radius r0 * c^level at which the decision finds an object.
 
-    One index serves all radii, so the nearest candidate is the same at every level and one search decides all.
+    indexes has one (index, family) for every level; a level asks only the queries that all before have left open.
+    """
+    out, open_ = None, queries
+    for level, (index, family) in enumerate(indexes):
+        r = r0 * c**level
+        found = decide(index, family, open_, r, c, lam, exclude_self).where("obj_id IS NOT NULL").withColumn("level", F.lit(level)).select("qid", "level", "obj_id", "dist").persist()
+        out = found if out is None else out.union(found)
+        open_ = open_.join(found.select("qid"), "qid", "left_anti")
+        if open_.isEmpty():
+            break
+    return out
+
+
+def shared_ladder(index: DataFrame, family: Family, queries: DataFrame, r0: float, c: float, levels: int, lam: int, exclude_self: bool = False) -> DataFrame:
+    """ladder_search with one index for all radii, for families whose quality is bounded at each of them.
+
+    The nearest candidate is the same at every level, so one search decides all.
     """
-    found = ring_search(index, family, queries, lam, 1)
+    name = "cross_polytope" if type(family).__name__ == "CrossPolytope" else type(family).__name__
+    if not theory.shareable(name, c, [r0 * c**i for i in range(levels)]):
+        raise ValueError("the family needs an index for every radius")
+    found = ring_search(index, family, queries, lam, 1, exclude_self=exclude_self)
     level = F.greatest(F.lit(0), F.ceil(F.log(F.col("dist") / (r0 * c)) / F.log(F.lit(c)) - 1e-12)).cast("int")
     level = F.when(F.col("dist") <= c * r0, 0).otherwise(level)
     return found.withColumn("level", level).where(F.col("level") < levels).select("qid", "level", "obj_id", "dist")
@@ -173,71 +324,111 @@ def rotation_table(codes: DataFrame, m: int) -> DataFrame:
     return ranked.join(nxt, ["rot", "obj_id"]).select("rot", "rank", "obj_id", "next_rank")
 
 
+def k_search_window(codes: DataFrame, queries: DataFrame, m: int, k: int, shards: int = 1) -> DataFrame:
+    """(qid, rnk, obj_id, run_len) from the k neighbours of every query on both sides of each rotation's order.
+
+    Objects and queries of a rotation are ranked together in one window per shard, and neighbours meet by an
+    equi-join on ranks. Among objects of the same run length any may be taken.
+    """
+    from pyspark.sql import Window
+
+    every = F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
+    data = codes.select(F.pmod(F.xxhash64("obj_id"), F.lit(shards)).alias("part"), "obj_id", "codes", every.alias("rot"))
+    asked = queries.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("part"), F.col("qid").alias("obj_id"), "codes", F.sequence(F.lit(0), F.lit(m - 1)).alias("r")).select("part", "obj_id", "codes", F.explode("r").alias("rot"))
+    both = data.withColumn("kind", F.lit(0)).unionByName(asked.withColumn("kind", F.lit(1))).withColumn("s", runs.rotate(F.col("codes"), F.col("rot")))
+    order = Window.partitionBy("part", "rot").orderBy("s", "kind", "obj_id").rowsBetween(Window.unboundedPreceding, 0)
+    ranked = both.withColumn("pos", F.sum(1 - F.col("kind")).over(order))
+    sought = ranked.where("kind = 1").select("part", "rot", F.col("obj_id").alias("qid"), F.col("codes").alias("qcodes"), F.explode(F.sequence(F.col("pos") - k + 1, F.col("pos") + k)).alias("pos"))
+    met = ranked.where("kind = 0").select("part", "rot", "pos", "obj_id", "codes").join(sought, ["part", "rot", "pos"]).dropDuplicates(["qid", "obj_id"])
+    met = met.select("qid", "obj_id", runs.run_len(F.col("codes"), F.col("qcodes")).alias("run_len"))
+    return top_k(met, k, [F.col("run_len").desc(), "obj_id"]).select("qid", "rnk", "obj_id", "run_len")
+
+
 def k_search_prefix(codes: DataFrame, queries: DataFrame, m: int, k: int) -> DataFrame:
     """k-search as equi-joins on hashed prefixes of rotations: per query the longest prefix that k objects share.
 
-    Bisects the prefix length in at most ceil(log2 m) + 1 rounds; each round joins unsolved queries only.
+    Bisects the prefix length in at most ceil(log2 m) + 1 rounds; a round joins unsolved queries only, at their own
+    length, and its state of two numbers per query is a written table. Hashes only select: prefixes are compared.
     """
-    def spread(df, ident):
-        return df.select(ident, "codes", F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("rot")).select(ident, "codes", "rot", runs.rotate(F.col("codes"), F.col("rot")).alias("s"))
+    def spread(df, ident, name):
+        return df.select(ident, F.col("codes").alias(name), F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("rot")).withColumn(f"{name}_s", runs.rotate(F.col(name), F.col("rot")))
+
+    data, asked = spread(codes, "obj_id", "codes"), broadcast_queries(spread(queries, "qid", "qcodes"))
+    key = lambda s: F.xxhash64(F.slice(s, F.lit(1), F.col("l")))
+
+    def matches(state):
+        """(qid, obj_id, codes, qcodes): objects that share the first l symbols with the query in some rotation."""
+        right = asked.join(broadcast_queries(state), "qid").withColumn("p", key("qcodes_s"))
+        lengths = broadcast_queries(state.select("l").distinct())
+        left = data.join(lengths, F.lit(True)).withColumn("p", key("codes_s"))
+        met = left.join(right, ["rot", "l", "p"]).where(F.slice("codes_s", F.lit(1), F.col("l")) == F.slice("qcodes_s", F.lit(1), F.col("l")))
+        return met.select("qid", "obj_id", "codes", "qcodes")
 
-    data, asked = spread(codes, "obj_id"), spread(queries, "qid").withColumnsRenamed({"codes": "qcodes", "s": "qs"})
     state = queries.select("qid", F.lit(0).alias("lo"), F.lit(m).alias("hi"))
-    for _ in range(max(1, m.bit_length() + 1)):
-        mid = state.withColumn("l", F.ceil((F.col("lo") + F.col("hi")) / 2).cast("int"))
-        lengths = mid.where("l > 0 AND lo < hi").select("l").distinct()
-        left = data.join(F.broadcast(lengths), F.lit(True)).select("obj_id", "rot", "l", F.slice("s", F.lit(1), F.col("l")).alias("p"))
-        right = asked.join(mid.where("lo < hi"), "qid").select("qid", "rot", "l", F.slice("qs", F.lit(1), F.col("l")).alias("p"))
-        hits = left.join(right, ["rot", "l", "p"]).groupBy("qid").agg(F.count_distinct("obj_id").alias("c"))
-        n_hits = mid.join(hits, "qid", "left").withColumn("ok", F.coalesce(F.col("c"), F.lit(0)) >= k)
-        state = n_hits.select("qid", F.when(F.col("ok") & (F.col("lo") < F.col("hi")), F.col("l")).otherwise(F.col("lo")).alias("lo"), F.when(~F.col("ok") & (F.col("lo") < F.col("hi")), F.col("l") - 1).otherwise(F.col("hi")).alias("hi"))
-        rows = state.collect()
-        state = queries.sparkSession.createDataFrame(rows, "qid long, lo int, hi int")
-        if all(r["lo"] >= r["hi"] for r in rows):
-            break
-    solved = asked.join(F.broadcast(state.select("qid", F.col("lo").alias("l"))), "qid")
-    at = solved.where("l > 0").select("qid", "qcodes", "rot", "l", F.slice("qs", F.lit(1), F.col("l")).alias("p"))
-    some = at.select("l").distinct()
-    left = data.join(F.broadcast(some), F.lit(True)).select("obj_id", "codes", "rot", "l", F.slice("s", F.lit(1), F.col("l")).alias("p"))
-    close = left.join(at, ["rot", "l", "p"]).select("qid", "obj_id", "codes", "qcodes").dropDuplicates(["qid", "obj_id"])
-    none = solved.where("l = 0").select("qid", "qcodes").dropDuplicates(["qid"])
-    close = close.union(none.join(codes.select("obj_id", "codes"), F.lit(True)).select("qid", "obj_id", "codes", "qcodes"))
+    while not (busy := state.where("lo < hi")).isEmpty():
+        mid = busy.withColumn("l", F.ceil((F.col("lo") + F.col("hi")) / 2).cast("int"))
+        hits = matches(mid.select("qid", "l")).groupBy("qid").agg(F.count_distinct("obj_id").alias("c"))
+        ok = F.coalesce(F.col("c"), F.lit(0)) >= k
+        new = mid.join(hits, "qid", "left").select("qid", F.when(ok, F.col("l")).otherwise(F.col("lo")).alias("lo"), F.when(ok, F.col("hi")).otherwise(F.col("l") - 1).alias("hi"))
+        state = stage(new.union(state.where("lo >= hi")))
+    close = matches(state.where("lo > 0").select("qid", F.col("lo").alias("l")))
+    # Where fewer than k objects share a symbol, all that do so count, and the smallest ids fill up.
+    rest = state.where("lo = 0").select("qid")
+    some = matches(rest.withColumn("l", F.lit(1)))
+    fill = codes.select("obj_id", "codes").orderBy("obj_id").limit(2 * k)
+    fill = broadcast_queries(rest.join(queries.select("qid", F.col("codes").alias("qcodes")), "qid")).join(F.broadcast(fill), F.lit(True)).select("qid", "obj_id", "codes", "qcodes")
+    close = close.union(some).union(fill).dropDuplicates(["qid", "obj_id"])
     close = close.select("qid", "obj_id", runs.run_len(F.col("codes"), F.col("qcodes")).alias("run_len"))
     return top_k(close, k, [F.col("run_len").desc(), "obj_id"]).select("qid", "rnk", "obj_id", "run_len")
 
 
 def exact_knn(data: DataFrame, queries: DataFrame, k: int, metric: str = "euclidean", exclude_self: bool = False) -> DataFrame:
-    """(qid, rnk, obj_id, dist) over all data: the ground truth. Partitions keep k per query before the shuffle."""
-    out = None
-    for batch in _query_batches(queries, 10_000):
-        shared = data.sparkSession.sparkContext.broadcast((np.array([r[0] for r in batch], np.int64), np.array([r[1] for r in batch], np.float64)))
-
-        def scan(batches, shared=shared):
-            qids, qvec = shared.value
-            for b in batches:
-                if not b.num_rows:
-                    continue
-                ids, x = b.column("obj_id").to_numpy(), matrix(b.column("vec"))
+    """(qid, rnk, obj_id, dist) over all data: the ground truth. Data is packed batch by batch where it is read,
+    and a batch keeps k per query before the shuffle."""
+    sets = metric == "jaccard"
+    points = Sets.of if sets else matrix
+    kind = "array<long>" if sets else "array<double>"
+    good = F.col("vec").isNotNull() & ~F.exists("vec", lambda x: x.isNull())
+    data, queries = data.where(good), queries.where(good)
+    if metric == "angular":
+        some = F.exists("vec", lambda x: x != 0)
+        data, queries = data.where(some), queries.where(some)
+
+    def pack(batches):
+        for b in batches:
+            if b.num_rows:
+                raw, offs = _bytes(points(b.column("vec")))
+                yield pa.RecordBatch.from_arrays([pa.array([b.num_rows], pa.int32()), *[pa.array([c], pa.binary()) for c in (b.column("obj_id").to_numpy().astype(np.int64).tobytes(), raw, offs)]], names=["n", "ids", "vecs", "offs"])
+
+    def scan(batches):
+        for b in batches:
+            for i in range(b.num_rows):
+                ids = np.frombuffer(b.column("ids")[i].as_buffer(), np.int64)
+                x = _points(b.column("vecs")[i].as_buffer(), b.column("offs")[i].as_buffer(), len(ids))
+                qids, q, _, _ = _block(b, i)
                 take = min(len(ids), k + exclude_self)
                 cols: list[list] = [[], [], []]
                 for j in range(len(qids)):
-                    d = distances(metric, x, qvec[j])
+                    d = distances(metric, x, q[j])
                     near = np.lexsort((ids, d))[:take]
                     cols[0].append(np.full(take, qids[j])), cols[1].append(ids[near]), cols[2].append(d[near])
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["qid", "obj_id", "dist"])
 
-        part = data.select("obj_id", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(scan, "qid long, obj_id long, dist double")
-        out = part if out is None else out.union(part)
-    if out is None:
-        return data.sparkSession.createDataFrame([], "qid long, rnk int, obj_id long, dist double")
+    packed = data.select("obj_id", F.col("vec").cast(kind).alias("vec")).mapInArrow(pack, "n int, ids binary, vecs binary, offs binary")
+    out = packed.join(query_blocks(queries, points, sets), F.lit(True)).mapInArrow(scan, "qid long, obj_id long, dist double")
     if exclude_self:
         out = out.where("qid <> obj_id")
     return top_k(out, k, ["dist", "obj_id"]).select("qid", "rnk", "obj_id", "dist")
 
 
-def verify_pairs(cands: DataFrame, data: DataFrame, queries: DataFrame, k: int, metric: str) -> DataFrame:
+def verify_pairs(cands: DataFrame, data: DataFrame, queries: DataFrame, k: int, metric: str, exclude_self: bool = False) -> DataFrame:
     """Nearest k of cands(qid, obj_id) by true distance; vectors are read only here."""
-    x = data.select("obj_id", F.col("vec").cast("array<double>").alias("vec"))
-    q = broadcast_queries(queries.select("qid", F.col("vec").cast("array<double>").alias("qvec")))
+    if metric not in DISTANCES:
+        raise ValueError(f"unknown metric {metric}")
+    kind = "array<long>" if metric == "jaccard" else "array<double>"
+    x = data.select("obj_id", F.col("vec").cast(kind).alias("vec"))
+    q = broadcast_queries(queries.select("qid", F.col("vec").cast(kind).alias("qvec")))
+    if exclude_self:
+        cands = cands.where("qid <> obj_id")
     both = cands.select("qid", "obj_id").join(x, "obj_id").join(q, "qid")
     return top_k(both.select("qid", "obj_id", DISTANCES[metric](F.col("vec"), F.col("qvec")).alias("dist")), k, ["dist", "obj_id"]).select("qid", "rnk", "obj_id", "dist")

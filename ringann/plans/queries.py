@@ -1,52 +1,56 @@
-"""Registered queries of the search engine over the given tables, with SQL that does not use any index."""
+"""Registered queries of the search engine over the given tables. Their SQL, which uses no index, is in `oracles`."""
 
 from __future__ import annotations
 
-import numpy as np
+from functools import reduce
+
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ringann.functions import measures, runs, theory
-from ringann.operators import baselines, families, probe, search
+from ringann.functions import measures, runs, sqlfn, theory
+from ringann.operators import baselines, families, joins, probe, search
 from ringann.operators.topk import top_k
+from ringann.plans import oracles
+from ringann.plans.settings import BITS, CAUCHY, CP, D, EVERY, HP, K, LAM, M, MH, RESULTS, RP, W, of_width
 from ringann.sources import workloads
 from ringann.sources.tables import read_table
 from ringann.streaming import streams
 
-D, M, W, LAM, K, EVERY = 64, 8, 2.0, 50, 10, 25
-DOC_BATCH = 1000  # documents asked at once
 DOC_SHARD = 5000
-RP = families.RandomProjection(D, M, W, seed=7)
-HP = families.Hyperplane(D, M, seed=7)
-CP = families.CrossPolytope(D, M, seed=7, rotation="hadamard", cp_dim=8)
+SHARD = 200
 
 
 def _emb(spark, d):
-    return workloads.split_queries(workloads.embeddings(spark, d), EVERY, 20)
+    return workloads.every_nth(workloads.embeddings(spark, d), EVERY)
 
 
-def _round(df):
-    return df.select(*[F.round(c, 6).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes])
+def _round(df, digits=6):
+    return df.select(*[F.round(c, digits).alias(c) if t == "double" else F.transform(c, lambda x: F.round(x, digits)).alias(c) if t == "array<double>" else F.col(c) for c, t in df.dtypes])
 
 
-def exact(metric):
-    def q(spark, d):
-        data, queries = _emb(spark, d)
-        return _round(search.exact_knn(data, queries, K, metric))
+def _on_embeddings(f):
+    """A query from f(data, queries) over the embeddings, rounded."""
+    return lambda spark, d: _round(f(*_emb(spark, d)))
 
-    return q
+
+def exact(metric):
+    return _on_embeddings(lambda data, queries: search.exact_knn(data, queries, K, metric, True))
 
 
 def codes(family):
     return lambda spark, d: families.encode(workloads.embeddings(spark, d), family, False)
 
 
-def ring(family, verify="global", n_probes=1, index_rows=200):
-    def q(spark, d):
-        data, queries = _emb(spark, d)
-        index = search.build_index(data, family, index_rows)
-        return _round(search.ring_search(index, family, queries, LAM, K, n_probes=n_probes, verify=verify).drop("run_len"))
+def ring(family, k=K, lam=LAM, **how):
+    return _on_embeddings(lambda data, queries: search.ring_search(search.build_index(data, family, SHARD), family, queries, lam, k, exclude_self=True, **how).drop("run_len"))
 
-    return q
+
+def _truth(data, queries, k=K):
+    return search.exact_knn(data, queries, k, "euclidean", True)
+
+
+def _found(data, queries, family=RP, lam=LAM, k=K, **how):
+    return search.ring_search(search.build_index(data, family, SHARD), family, queries, lam, k, exclude_self=True, **how)
 
 
 def _coded(spark, d):
@@ -54,9 +58,13 @@ def _coded(spark, d):
     return families.encode(data, RP, False), families.encode(queries, RP, False)
 
 
-def k_kernel_lam(spark, d):
+def _k(f):
+    return lambda spark, d: f(*_coded(spark, d))
+
+
+def k_kernel(spark, d):
     data, queries = _emb(spark, d)
-    found = search.ring_search(search.build_index(data, RP, 200), RP, queries, 1, LAM)
+    found = search.ring_search(search.build_index(data, RP, SHARD), RP, queries, 1, LAM)
     return top_k(found.drop("rnk"), LAM, [F.col("run_len").desc(), "obj_id"]).select("qid", "rnk", "obj_id", "run_len")
 
 
@@ -64,76 +72,205 @@ def run_pairs(spark, d):
     data, queries = _coded(spark, d)
     q = F.broadcast(queries.withColumnRenamed("codes", "q"))
     a, b = F.col("codes"), F.col("q")
-    return data.join(q, F.lit(True)).select("qid", "obj_id", runs.run_len(a, b).alias("run_len"), runs.lcp_len(a, b).alias("lcp"), runs.equal_positions(a, b).alias("equal"))
+    return data.join(q, F.col("obj_id") != F.col("qid")).select("qid", "obj_id", runs.run_len(a, b).alias("run_len"), runs.lcp_len(a, b).alias("lcp"), runs.equal_positions(a, b).alias("equal"), runs.run_start(a, b).alias("start"), runs.is_aligned_run(a, b, 6, 3).alias("aligned"))
 
 
-def static(spark, d):
-    data, queries = _emb(spark, d)
-    return _round(baselines.static_concat(data, RP, queries, 2, 4, K))
+def rotations(spark, d):
+    return search.rotation_table(_coded(spark, d)[0], M)
 
 
-def static_probe(spark, d):
-    data, queries = _emb(spark, d)
-    return _round(baselines.multiprobe_static(data, RP, queries, 2, 4, K, 5))
+def bounds(narrowed):
+    def q(spark, d):
+        data, queries = _emb(spark, d)
+        index = search.build_index(data, RP, rows=1)
+        return search.search_bounds(index, RP, queries, narrowed).drop("shard")
+
+    return q
 
 
-def crosspoly_probe(spark, d):
+def probe_work(spark, d):
+    """Rotations searched again by the skipping and by the trivial multi-probe."""
     data, queries = _emb(spark, d)
-    return _round(baselines.multiprobe_static(data, CP, queries, 1, 8, K, 4, 4))
+    index = search.build_index(data, RP, rows=1).persist()
+    work = lambda skip: search.search_work(index, RP, queries, LAM, M + 1, skip=skip).select("qid", F.col("again").alias("skipping" if skip else "trivial"))
+    return work(True).join(work(False), "qid")
 
 
-def counting(spark, d):
+def search_work(spark, d):
+    """Bisection steps of the narrowed and of the simple search."""
     data, queries = _emb(spark, d)
-    return _round(baselines.collision_count(data, RP, queries, 4, K))
+    index = search.build_index(data, RP, rows=1).persist()
+    work = lambda narrowed: search.search_work(index, RP, queries, LAM, narrowed=narrowed).select("qid", F.col("steps").alias("narrowed" if narrowed else "simple"), "candidates")
+    return work(True).join(work(False).drop("candidates"), "qid")
 
 
-def query_aware(spark, d):
-    data, queries = _emb(spark, d)
-    counts = baselines.query_aware_counts(data, queries, D, M, W, seed=7).where("n_coll >= 6")
-    return _round(search.verify_pairs(counts, data, queries, K, "euclidean"))
+def c_ann(c):
+    """Whether nearest and k nearest are within c of the exact ones."""
 
+    def q(data, queries):
+        truth, found = _truth(data, queries), _found(data, queries)
+        one = lambda df: df.where("rnk = 1")
+        return measures.is_c_approx(one(found), one(truth), c).withColumnRenamed("ok", "nearest").join(measures.is_c_approx(found, truth, c).withColumnRenamed("ok", "all_k"), "qid")
 
-def query_aware_rounds(spark, d):
-    data, queries = _emb(spark, d)
-    return _round(baselines.query_aware_count(data, queries, D, M, 1.0, 6, K))
+    return _on_embeddings(q)
 
 
-def blocked(spark, d):
-    data, queries = _emb(spark, d)
-    return _round(baselines.query_aware_blocked(data, queries, D, M, 3.0, 5, K, 2, 3, seed=7))
+def accuracy(data, queries):
+    truth, found = _truth(data, queries), _found(data, queries)
+    return measures.recall(found, truth, K).join(measures.overall_ratio(found, truth), "qid").drop("n_zero")
 
 
-def projected(spark, d):
-    data, queries = _emb(spark, d)
-    return _round(baselines.projected_incremental(data, queries, D, 6, 100, K, seed=7))
+def decision(data, queries):
+    found = _found(data, queries, k=1)
+    return search.near_neighbor(found, queries, 0.8, 1.5).na.fill(-1, ["obj_id"]).na.fill(-1.0, ["dist"])
 
 
-def projected_stop(spark, d):
-    data, queries = _emb(spark, d)
-    return _round(baselines.projected_incremental(data, queries, D, 6, 100, K, 1.5, 0.8, seed=7))
+def decision_theory(data, queries):
+    found = search.decide(search.build_index(data, RP, SHARD), RP, queries, 0.8, 1.5, "theory", True)
+    return found.na.fill(-1, ["obj_id"]).na.fill(-1.0, ["dist"])
 
 
-def accuracy(spark, d):
-    data, queries = _emb(spark, d)
-    truth = search.exact_knn(data, queries, K)
-    found = search.ring_search(search.build_index(data, RP, 200), RP, queries, LAM, K)
-    return _round(measures.recall(found, truth, K).join(measures.overall_ratio(found, truth), "qid").drop("n_zero"))
+def ladder(data, queries):
+    indexes = [(search.build_index(data, f, SHARD), f) for f in (of_width(W * 1.5**i) for i in range(4))]
+    return search.ladder_search(indexes, queries, 0.5, 1.5, LAM, True)
+
+
+def ladder_shared(data, queries):
+    return search.shared_ladder(search.build_index(data, CP, SHARD), CP, queries, 0.3, 1.25, 6, LAM, True)
+
+
+def _mean_accuracy(found, truth, k):
+    acc = measures.recall(found, truth, k).join(measures.overall_ratio(found, truth), "qid")
+    return acc.agg(F.avg("recall").alias("recall"), F.avg("ratio").alias("ratio"))
+
+
+def _table(parts):
+    return reduce(lambda a, b: a.union(b), parts)
+
+
+def impact_of_m(data, queries):
+    truth = _truth(data, queries).persist()
+    return _table([_mean_accuracy(_found(data, queries, families.RandomProjection(D, m, W, seed=7)), truth, K).withColumn("m", F.lit(m)) for m in (2, 4, 8)])
+
+
+def impact_of_probes(data, queries):
+    truth = _truth(data, queries).persist()
+    return _table([_mean_accuracy(_found(data, queries, n_probes=p), truth, K).withColumn("probes", F.lit(p)) for p in (1, M + 1)])
+
+
+def sensitivity_to_k(data, queries):
+    return _table([_mean_accuracy(_found(data, queries, k=k), _truth(data, queries, k), k).withColumn("k", F.lit(k)) for k in (1, 5, 10, 20)])
+
 
+def impact_of_lambda(data, queries):
+    truth = _truth(data, queries).persist()
+    return _table([_mean_accuracy(_found(data, queries, lam=lam), truth, K).withColumn("lam", F.lit(lam)) for lam in (10, 50, 200)])
 
-def decision(spark, d):
+
+def width_tuning(data, queries):
+    """Recall by width on queries of their own, which no other query reports."""
+    tuning = data.where("obj_id % 50 = 25").withColumnRenamed("obj_id", "qid")
+    truth = _truth(data, tuning).persist()
+    return _table([_mean_accuracy(_found(data, tuning, of_width(w)), truth, K).withColumn("width", F.lit(w)) for w in (1.0, 2.0, 4.0)])
+
+
+def result_sets(data, queries):
+    """Objects found and exact, missed, or wrong, by set operations."""
+    truth, found = _truth(data, queries).select("qid", "obj_id"), _found(data, queries).select("qid", "obj_id")
+    return truth.intersect(found).withColumn("side", F.lit("hit")).union(truth.exceptAll(found).withColumn("side", F.lit("missed"))).union(found.exceptAll(truth).withColumn("side", F.lit("wrong")))
+
+
+def knn_graph(spark, d):
+    return _round(search.ring_knn_graph(workloads.embeddings(spark, d), RP, LAM, 5, SHARD))
+
+
+def near_pairs(spark, d):
+    return _round(search.ring_pairs(workloads.embeddings(spark, d), RP, LAM, 5, 1.1, shard_rows=SHARD))
+
+
+def filtered_join(spark, d):
+    """Each query's nearest objects of another label: the condition holds before ranking."""
     data, queries = _emb(spark, d)
-    found = search.ring_search(search.build_index(data, RP, 200), RP, queries, LAM, 1)
-    return _round(search.near_neighbor(found, queries, 0.8, 1.5).na.fill(-1, ["obj_id"]).na.fill(-1.0, ["dist"]))
+    labels = read_table(spark, d, "embeddings").select(F.col("vec_id").alias("obj_id"), "label")
+    even = data.join(labels, "obj_id").where("label % 2 = 0").select("obj_id", "vec")
+    return _round(search.ann_join(queries, even, RP, LAM, K, where=F.col("obj_id") > F.col("qid"), selectivity=0.5))
+
+
+def hamming(spark, d):
+    data, queries = workloads.every_nth(workloads.sign_bits(spark, d), EVERY)
+    return _round(search.ring_search(search.build_index(data, BITS, SHARD), BITS, queries, LAM, K, exclude_self=True).drop("run_len"))
 
 
-def ladder(spark, d):
+def _shingles(spark, d):
+    return workloads.every_nth(workloads.word_shingles(read_table(spark, d, "documents")), EVERY)
+
+
+def jaccard(spark, d):
+    data, queries = _shingles(spark, d)
+    return _round(search.ring_search(search.build_index(data, MH, SHARD), MH, queries, LAM, K, exclude_self=True).drop("run_len"))
+
+
+def jaccard_exact(spark, d):
+    return _round(search.exact_knn(*_shingles(spark, d), K, "jaccard", True))
+
+
+def index_stats(spark, d):
+    return search.index_stats(search.build_index(workloads.embeddings(spark, d), RP, SHARD))
+
+
+def collision_profile(spark, d):
     data, queries = _emb(spark, d)
-    return _round(search.ladder_search(search.build_index(data, RP, 200), RP, queries, 0.5, 1.5, 6, LAM))
+    a, b = families.encode(data, RP), families.encode(queries, RP).withColumnsRenamed({"codes": "b", "vec": "qvec"})
+    from ringann.functions.vectors import euclidean
+
+    pairs = a.join(F.broadcast(b), F.col("obj_id") != F.col("qid")).select(euclidean(F.col("vec"), F.col("qvec")).alias("dist"), F.col("codes").alias("a"), "b")
+    return _round(families.collision_profile(pairs, 0.1))
+
+
+def alternatives(family, n_alt):
+    return lambda spark, d: _round(probe.alternative_table(_emb(spark, d)[0].where("obj_id % 10 = 0"), family, n_alt))
+
+
+def perturbations(spark, d):
+    """The probes of each query, from its own alternatives."""
+    found = probe.probe_table(_emb(spark, d)[1], RP, M + 1)
+    text = F.array_join(F.transform("changes", lambda x: F.concat_ws("=", x["pos"].cast("string"), x["code"].cast("string"))), " ")
+    return _round(found.select("qid", "probe_no", "score", text.alias("changes")))
+
+
+def sql_surface(spark, d):
+    """Run lengths, rotations and k-th distances through registered functions, in SQL."""
+    sqlfn.register_all(spark)
+    data, queries = _coded(spark, d)
+    data.createOrReplaceTempView("ring_data"), queries.createOrReplaceTempView("ring_queries")
+    return spark.sql(f"""
+      SELECT q.qid, max(ring_run_len(x.codes, q.codes)) AS longest, sum(ring_equal_positions(x.codes, q.codes)) AS equal,
+        (SELECT count(*) FROM ring_rotations((SELECT first(codes) FROM ring_queries))) AS rots
+      FROM ring_data x JOIN ring_queries q ON x.obj_id <> q.qid GROUP BY q.qid""")
+
+
+def kth_distance(spark, d):
+    """The K-th exact distance by the registered aggregate."""
+    sqlfn.register_all(spark)
+    search.exact_knn(*_emb(spark, d), 2 * K, "euclidean", True).createOrReplaceTempView("ring_truth")
+    return _round(spark.sql(f"SELECT qid, ring_kth(dist, {K}) AS kth FROM ring_truth GROUP BY qid"))
+
+
+# ---- formulas
+
+
+def _frame(spark, rows, schema):
+    return _round(spark.createDataFrame(rows, schema))
 
 
 def lambda_table(spark, d):
     p1, p2 = theory.rp_collision_prob(0.5, 2.0), theory.rp_collision_prob(1.0, 2.0)
-    return _round(spark.createDataFrame([(m, theory.lambda_raw(m, 2000, p1, p2), theory.lambda_guarantee(m, 2000, p1, p2)) for m in (8, 16, 64, 256, 512)], "m int, raw double, lambda int"))
+    return _frame(spark, [(m, theory.lambda_raw(m, 2000, p1, p2), theory.lambda_guarantee(m, 2000, p1, p2)) for m in (8, 16, 64, 256, 512)], "m int, raw double, lambda int")
+
+
+def alpha_table(spark, d):
+    p1, p2 = theory.hyperplane_collision_prob(0.4), theory.hyperplane_collision_prob(0.8)
+    return _frame(spark, [(a, *theory.plan_parameters(10_000, p1, p2, a)) for a in (0.0, 0.5, 1.0)], "alpha double, m int, lambda int")
 
 
 def complexity(spark, d):
@@ -143,21 +280,114 @@ def complexity(spark, d):
 
 def cp_quality(spark, d):
     tau = F.col("i") / 10
-    return _round(spark.range(1, 20).select(F.col("id").alias("i")).select("i", theory.cp_collision_prob(tau, 64).alias("p")))
+    return _round(spark.range(1, 20).select(F.col("id").alias("i")).select("i", theory.cp_collision_prob(tau, 64).alias("p"), F.lit(1.0).alias("one")).drop("one"))
 
 
-def perturbation_list(spark, d):
-    scores = np.array([[0.04, 0.36, 0.64], [0.25, 0.25, 1.0], [0.01, 0.81, 1.21], [0.09, 0.49, 0.90], [0.16, 0.36, 1.5]])
-    rows = [(i, round(s, 6)) for i, (_, s) in enumerate(probe.perturbations(scores, 200))]
-    return spark.createDataFrame(rows, "probe_no int, score double")
+def sensitivity(spark, d):
+    fams = {"hyperplane": families.Hyperplane(64, 1), "bits": families.BitSampling(64, 1), "cross_polytope": families.CrossPolytope(64, 1), "cauchy": CAUCHY, "minhash": MH}
+    at = {"hyperplane": (0.4, 2.0), "bits": (4.0, 2.0), "cross_polytope": (0.4, 2.0), "cauchy": (0.5, 2.0), "minhash": (0.2, 2.0)}
+    return _frame(spark, [(n, *f.sensitivity(*at[n])) for n, f in fams.items()], "family string, p1 double, p2 double, rho double")
 
 
-def rotation_orders(spark, d):
-    return search.rotation_table(_coded(spark, d)[0], M)
+def run_distribution(spark, d):
+    rows = [(p, x, theory.run_cdf_exact(8, p, x), theory.run_cdf_limit(8, p, float(x))) for p in (0.3, 0.5, 0.8) for x in range(9)]
+    return _frame(spark, rows, "p double, x int, exact double, lim double")
+
+
+def run_quantiles(spark, d):
+    rows = [(m, p, theory.run_median(m, p), theory.run_quantile(m, p, 0.9), *theory.run_tail_bounds(m, p, p / 2, 3.0)) for m in (16, 64, 256) for p in (0.5, 0.8)]
+    return _frame(spark, rows, "m int, p double, median double, q90 double, near double, far double")
+
+
+def concatenation(spark, d):
+    rows = [(k, t, theory.concat_prob(0.6, k), theory.table_hit(0.6, k, t), theory.combinations_reached(16, k), theory.expected_touched(2000, k, 0.05)) for k in (1, 2, 4, 8) for t in (1, 8, 32)]
+    return _frame(spark, rows, "k int, tables int, prob double, hit double, combinations long, touched double")
+
+
+def static_plan(spark, d):
+    return _frame(spark, [(n, *theory.static_concat_plan(n, 0.8, 0.4)) for n in (1000, 100_000, 10_000_000)], "n long, k int, tables int")
+
+
+def hash_cost(spark, d):
+    return _frame(spark, [(f, dim, theory.hash_cost(f, dim)) for f in ("random_projection", "cross_polytope", "bit_sampling") for dim in (64, 256, 960)], "family string, d int, cost double")
+
+
+def grids(spark, d):
+    """Sizes of the published parameter grids."""
+    return spark.createDataFrame([(name, len(theory.grid(name))) for name in theory.GRIDS], "method string, settings int")
+
+
+def toy(spark, d):
+    """Three objects under the three frameworks: longest run, equal positions, tables hit."""
+    q, objects = [3, 1, 4, 1, 5, 9, 2, 6], {"a": [3, 1, 7, 2, 8, 9, 2, 6], "b": [3, 8, 4, 1, 5, 0, 2, 7], "c": [0, 1, 4, 5, 8, 3, 2, 0]}
+    t = spark.createDataFrame([(n, x, q) for n, x in objects.items()], "id string, x array<int>, q array<int>")
+    x, y = F.col("x"), F.col("q")
+    tables = sum(((F.slice(x, 1 + 4 * i, 4) == F.slice(y, 1 + 4 * i, 4)).cast("int") for i in (0, 1)), F.lit(0))
+    return t.select("id", runs.run_len(x, y).alias("run_len"), runs.equal_positions(x, y).alias("equal"), tables.alias("tables"))
+
+
+def _results(spark):
+    return spark.createDataFrame(RESULTS, "method string, params string, recall double, ratio double, seconds double, index_bytes long")
+
+
+def acceleration(spark, d):
+    best = measures.pareto(_results(spark), [0.5])
+    ours = best.where("method = 'ring'").select(F.col("seconds").alias("ours"))
+    return _round(best.join(F.broadcast(ours), F.lit(True)).select("method", measures.acceleration(F.col("seconds"), F.col("ours")).alias("percent")))
+
+
+# ---- workloads
+
+
+def doc_vectors(spark, d):
+    return _round(workloads.hashed_documents(read_table(spark, d, "documents"), 16))
+
+
+def page_vectors(spark, d):
+    return _round(workloads.hashed_documents(workloads.page_texts(read_table(spark, d, "pages")), 16, "page_id"))
+
+
+def line_vectors(spark, d):
+    return _round(workloads.line_items(spark, d).select("vec"))
+
+
+def shingles(spark, d):
+    return workloads.word_shingles(read_table(spark, d, "benchmark"), ident="item_id", width=3).select("obj_id", F.size("vec").alias("n"), F.aggregate("vec", F.lit(0).cast("long"), lambda s, x: s + x).alias("total"))
+
+
+def event_profiles(spark, d):
+    return _round(streams.event_profiles(read_table(spark, d, "events")).select("user_id", F.date_format("start", "yyyy-MM-dd").alias("day"), "n", "avg_value"))
+
+
+def sessions(spark, d):
+    found = streams.session_profiles(read_table(spark, d, "events"), "2 hours")
+    stamp = lambda c: F.date_format(c, "yyyy-MM-dd HH:mm:ss")
+    return _round(found.select("user_id", stamp("start").alias("start"), stamp("end").alias("end"), "n", "avg_value"))
+
+
+def event_props(spark, d):
+    e = read_table(spark, d, "events").withColumn("k", F.get_json_object("props", "$.k").cast("long"))
+    return _round(e.groupBy("event_type").agg(F.sum("k").alias("total"), F.count("k").alias("n"), F.avg("value").alias("mean")))
+
+
+def as_of(spark, d):
+    """Every purchase with the same user's latest view before it."""
+    e = read_table(spark, d, "events")
+    views = e.where("event_type = 'view'").select("user_id", "ts", F.col("event_id").alias("view_id"))
+    return joins.as_of_join(e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), views, "user_id", "ts", ["view_id"]).select("event_id", "view_id")
+
+
+def band(spark, d):
+    c = read_table(spark, d, "customer").select("c_custkey", "c_acctbal")
+    s = read_table(spark, d, "supplier").select("s_suppkey", "s_acctbal")
+    return joins.band_join(c, s, "c_acctbal", "s_acctbal", 20.0).select("c_custkey", "s_suppkey")
+
+
+# ---- documents
 
 
 def _documents_index(docs, family):
-    """(index, number of documents, candidates asked of each shard as a function of their part).
+    """(index, candidates asked of each shard as a function of their part).
 
     Shards are bounded and nearly even, so a part of a shard as candidates keeps recall at any number of documents.
     """
@@ -172,7 +402,7 @@ def _documents_near(spark, d, docs_asked):
     fam = families.RandomProjection(128, 64, 1.0, seed=3)
     queries = workloads.hashed_documents(docs_asked, 128).withColumnRenamed("obj_id", "qid")
     index, lam = _documents_index(read_table(spark, d, "documents"), fam)
-    return _round(search.ring_search(index, fam, queries, lam(0.3), 10, verify="shard", exclude_self=True, query_batch=DOC_BATCH).drop("run_len"))
+    return _round(search.ring_search(index, fam, queries, lam(0.3), 10, verify="shard", exclude_self=True).drop("run_len"))
 
 
 def documents_dups(spark, d):
@@ -180,11 +410,22 @@ def documents_dups(spark, d):
     return _documents_near(spark, d, read_table(spark, d, "documents"))
 
 
-def contamination(spark, d):
-    items = workloads.hashed_documents(read_table(spark, d, "benchmark"), 128, "item_id").withColumnRenamed("obj_id", "qid")
-    fam = families.CrossPolytope(128, 16, seed=3, rotation="hadamard")
-    index, lam = _documents_index(read_table(spark, d, "documents"), fam)
-    return _round(search.ring_search(index, fam, items, lam(0.5), 5, verify="shard", query_batch=DOC_BATCH).drop("run_len"))
+def _external(table, ident):
+    """Ring search of texts from another table among the documents."""
+
+    def q(spark, d):
+        texts = read_table(spark, d, table)
+        if table == "conversations":
+            texts = texts.where("role = 'user'").withColumn(ident, F.col("conv_id") * 100_000 + F.col("turn"))
+        items = workloads.hashed_documents(texts, 128, ident).withColumnRenamed("obj_id", "qid")
+        fam = families.CrossPolytope(128, 16, seed=3, rotation="hadamard")
+        index, lam = _documents_index(read_table(spark, d, "documents"), fam)
+        return _round(search.ring_search(index, fam, items, lam(0.5), 5, verify="shard").drop("run_len"))
+
+    return q
+
+
+contamination = _external("benchmark", "item_id")
 
 
 def label_vote(spark, d):
@@ -196,147 +437,108 @@ def label_vote(spark, d):
     return _round(votes.withColumn("quality", (F.col("share") >= 0.5).cast("int")))
 
 
-def part_profiles(spark, d):
-    t = workloads.part_features(spark, d)
-    return t.select("obj_id", *[F.round(c, 8).alias(c) for c in t.columns[1:]])
-
-
-def event_profiles(spark, d):
-    return _round(streams.event_profiles(read_table(spark, d, "events")).select("user_id", F.date_format("start", "yyyy-MM-dd").alias("day"), "n", "avg_value"))
-
-
-def _k(f):
-    def q(spark, d):
-        data, queries = _coded(spark, d)
-        return f(data, queries)
-
-    return q
-
-
 QUERIES = {
     "exact_knn_euclid": exact("euclidean"),
     "exact_knn_angular": exact("angular"),
+    "exact_knn_manhattan": exact("manhattan"),
+    "exact_knn_jaccard": jaccard_exact,
     "codes_random_projection": codes(RP),
     "codes_hyperplane": codes(HP),
     "codes_hadamard_crosspoly": codes(CP),
+    "codes_cauchy": codes(CAUCHY),
+    "codes_bits": lambda spark, d: families.encode(workloads.sign_bits(spark, d), BITS, False),
+    "codes_minhash": lambda spark, d: families.encode(_shingles(spark, d)[0], MH, False),
+    "sensitivity": sensitivity,
+    "collision_profile": collision_profile,
     "run_length_pairs": run_pairs,
-    "rotation_orders": rotation_orders,
-    "k_search_kernel": k_kernel_lam,
+    "rotation_orders": rotations,
+    "bounds_narrowed": bounds(True),
+    "bounds_simple": bounds(False),
+    "search_work": search_work,
+    "k_search_kernel": k_kernel,
     "k_search_brute": _k(lambda a, b: search.k_search_brute(a, b, LAM)),
     "k_search_prefix": _k(lambda a, b: search.k_search_prefix(a, b, M, LAM)),
+    "k_search_window": _k(lambda a, b: search.k_search_window(a, b, M, LAM, 3).drop("obj_id")),
     "ring_search_euclid": ring(RP),
     "ring_search_angular": ring(HP),
     "ring_search_crosspoly": ring(CP),
+    "ring_search_manhattan": ring(CAUCHY),
+    "ring_search_hamming": hamming,
+    "ring_search_jaccard": jaccard,
+    "ring_search_shard": _on_embeddings(lambda data, queries: search.ring_search(search.build_index(data, RP, shard=F.col("obj_id") % 3), RP, queries, LAM, K, verify="shard", exclude_self=True).drop("run_len")),
+    "ring_top1": ring(RP, 1),
     "ring_probe": ring(RP, n_probes=M + 1),
-    "ring_docs_copies": documents_dups,
-    "near_neighbor": decision,
-    "radius_ladder": ladder,
-    "perturbations": perturbation_list,
-    "static_concat": static,
-    "multiprobe_static": static_probe,
-    "crosspoly_probe": crosspoly_probe,
-    "collision_count": counting,
-    "query_aware_count": query_aware,
-    "query_aware_rounds": query_aware_rounds,
-    "query_aware_blocked": blocked,
-    "projected_incremental": projected,
-    "projected_early_stop": projected_stop,
-    "recall_ratio": accuracy,
+    "ring_probe_trivial": ring(RP, n_probes=M + 1, skip=False),
+    "probe_work": probe_work,
+    "alternatives_projection": alternatives(RP, 4),
+    "alternatives_crosspoly": alternatives(CP, 5),
+    "perturbations": perturbations,
+    "ring_knn_graph": knn_graph,
+    "ring_pairs": near_pairs,
+    "ann_join_filtered": filtered_join,
+    "index_stats": index_stats,
+    "c_ann_check": c_ann(1.1),
+    "near_neighbor": _on_embeddings(decision),
+    "near_neighbor_theory": _on_embeddings(decision_theory),
+    "radius_ladder": _on_embeddings(ladder),
+    "radius_ladder_shared": _on_embeddings(ladder_shared),
+    "static_concat": _on_embeddings(lambda a, b: baselines.static_concat(a, RP, b, 2, 4, K, True)),
+    "static_concat_angular": _on_embeddings(lambda a, b: baselines.static_concat(a, CP, b, 2, 4, K, True)),
+    "prefix_widening": _on_embeddings(lambda a, b: baselines.prefix_widening(a, RP, b, 2, 4, K, 60, True)),
+    "multiprobe_static": _on_embeddings(lambda a, b: baselines.multiprobe_static(a, RP, b, 2, 4, K, 5, exclude_self=True)),
+    "crosspoly_probe": _on_embeddings(lambda a, b: baselines.multiprobe_static(a, CP, b, 1, 8, K, 4, 4, True)),
+    "collision_count": _on_embeddings(lambda a, b: baselines.collision_count(a, RP, b, 4, K, exclude_self=True)),
+    "collision_count_angular": _on_embeddings(lambda a, b: baselines.collision_count(a, CP, b, 2, K, exclude_self=True)),
+    "collision_rounds": _on_embeddings(lambda a, b: baselines.collision_count(a, RP, b, 6, K, 2, 3, True)),
+    "collision_touched": lambda spark, d: baselines.touched(_emb(spark, d)[0], RP, _emb(spark, d)[1], True),
+    "query_aware_count": _on_embeddings(lambda a, b: baselines.query_aware_count(a, b, D, M, W, 6, K, seed=7, exclude_self=True)),
+    "query_aware_rounds": _on_embeddings(lambda a, b: baselines.query_aware_count(a, b, D, M, 1.0, 6, K, 1.5, 4, 7, True)),
+    "query_aware_blocked": _on_embeddings(lambda a, b: baselines.query_aware_blocked(a, b, D, M, 3.0, 5, K, 150, 2, 5, 2, 7, True)),
+    "projected_incremental": _on_embeddings(lambda a, b: baselines.projected_incremental(a, b, D, 6, 100, K, seed=7, exclude_self=True)),
+    "projected_early_stop": _on_embeddings(lambda a, b: baselines.projected_incremental(a, b, D, 6, 100, K, 1.5, 0.8, 7, True)),
+    "random_candidates": lambda spark, d: baselines.random_candidates(*_emb(spark, d), LAM, K, "euclidean").groupBy("qid").agg(F.count("*").alias("n")),
+    "recall_ratio": _on_embeddings(accuracy),
+    "result_sets": _on_embeddings(result_sets),
+    "impact_of_m": _on_embeddings(impact_of_m),
+    "impact_of_probes": _on_embeddings(impact_of_probes),
+    "impact_of_lambda": _on_embeddings(impact_of_lambda),
+    "sensitivity_to_k": _on_embeddings(sensitivity_to_k),
+    "width_tuning": _on_embeddings(width_tuning),
     "lambda_table": lambda_table,
+    "alpha_table": alpha_table,
     "complexity_table": complexity,
     "cp_quality": cp_quality,
-    "part_profiles": part_profiles,
+    "run_distribution": run_distribution,
+    "run_quantiles": run_quantiles,
+    "concatenation": concatenation,
+    "static_plan": static_plan,
+    "hash_cost": hash_cost,
+    "grids": grids,
+    "toy": toy,
+    "pareto": lambda spark, d: measures.pareto(_results(spark), [0.3, 0.5, 0.9]),
+    "budget_curve": lambda spark, d: measures.budget_curve(_results(spark)),
+    "summarize": lambda spark, d: _round(measures.summarize(_results(spark))),
+    "acceleration": acceleration,
+    "rollup_report": lambda spark, d: _round(measures.report(_results(spark))),
+    "doc_hash_vectors": doc_vectors,
+    "page_hash_vectors": page_vectors,
+    "line_vectors": line_vectors,
+    "word_shingles": shingles,
+    "part_profiles": lambda spark, d: _round(workloads.part_profiles(spark, d)),
+    "customer_profiles": lambda spark, d: _round(workloads.customers(spark, d)),
     "event_profiles": event_profiles,
+    "session_profiles": sessions,
+    "event_props": event_props,
+    "as_of_join": as_of,
+    "band_join": band,
+    "sql_surface": sql_surface,
+    "kth_distance": kth_distance,
+    "ring_docs_copies": documents_dups,
     "contamination": contamination,
+    "user_turns": _external("conversations", "turn_id"),
     "label_vote": label_vote,
 }
-
-DATA = f"e AS (SELECT vec_id AS id, embedding::DOUBLE[] AS v FROM embeddings), q AS (SELECT * FROM e WHERE id % {EVERY} = 0 ORDER BY id LIMIT 20), x AS (SELECT * FROM e WHERE id NOT IN (SELECT id FROM q))"
-
-
-def _knn(pairs: str, dist: str, k: int = K, digits: int = 6) -> str:
-    """Nearest k of a relation pairs(qid, obj_id, qv, v)."""
-    return f"""SELECT qid, rnk::INT AS rnk, obj_id, round(dist, {digits}) AS dist FROM (SELECT qid, obj_id, dist, row_number() OVER (PARTITION BY qid ORDER BY dist, obj_id) AS rnk
-  FROM (SELECT qid, obj_id, {dist} AS dist FROM {pairs})) WHERE rnk <= {k}"""
-
-
-EUCLID, ANGLE = "list_distance(qv, v)", "acos(greatest(-1, least(1, list_cosine_similarity(qv, v))))"
-ALL = "(SELECT q.id AS qid, q.v AS qv, x.id AS obj_id, x.v AS v FROM q CROSS JOIN x)"
-
-
-def _numbers(a: np.ndarray) -> str:
-    return "[" + ", ".join(repr(float(v)) for v in a) + "]"
-
-
-def _project(rel: str, family) -> str:
-    cells = [f"list_inner_product(v, {_numbers(family.a[:, j])})" for j in range(family.m)]
-    if isinstance(family, families.RandomProjection):
-        return f"SELECT id, v, [{', '.join(f'floor(({c} + {float(family.b[j])!r}) / {family.w})::INT' for j, c in enumerate(cells))}] AS codes FROM {rel}"
-    return f"SELECT id, v, [{', '.join(f'({c} >= 0)::INT' for c in cells)}] AS codes FROM {rel}"
-
-
-BITS = "list_transform(range(1, len(a) + 1), lambda i: CASE WHEN a[i] = b[i] THEN '1' ELSE '0' END)"
-RUN = f"least(len(a), list_max(list_transform(string_split(repeat(array_to_string({BITS}, ''), 2), '0'), lambda s: length(s))))::INT"
-
-
-def _coded_sql(family) -> str:
-    return f"{DATA}, cx AS ({_project('x', family)}), cq AS ({_project('q', family)}), pr AS (SELECT cq.id AS qid, cq.v AS qv, cx.id AS obj_id, cx.v AS v, cq.codes AS b, cx.codes AS a FROM cq CROSS JOIN cx), rl AS (SELECT *, {RUN} AS run_len FROM pr)"
-
-
-def _lam_sql(family, lam: int) -> str:
-    return f"{_coded_sql(family)}, cand AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY run_len DESC, obj_id) AS place FROM rl) WHERE place <= {lam})"
-
-
-def _rank_sql(family):
-    return f"WITH {_lam_sql(family, LAM)} SELECT qid, place::INT AS rnk, obj_id, run_len FROM cand"
-
-
-SAME = "list_sum(list_transform(range(1, len(a) + 1), lambda i: CASE WHEN a[i] = b[i] THEN 1 ELSE 0 END))"
-RING = f"{_lam_sql(RP, LAM + K - 1)}, found AS ({_knn('cand', EUCLID)})"
-ONE = f"{_lam_sql(RP, LAM)}, found AS ({_knn('cand', EUCLID, 1)})"
-_QA = np.random.Generator(np.random.Philox(7)).standard_normal((D, M))
-_PJ = np.random.Generator(np.random.Philox(7)).standard_normal((D, 6))
-
-
-def _proj_list(a):
-    return "[" + ", ".join(f"list_inner_product(v, {_numbers(a[:, j])})" for j in range(a.shape[1])) + "]"
-
-
-def _values(rows) -> str:
-    return ", ".join("(" + ", ".join("NULL" if v is None else f"'{v}'" if isinstance(v, str) else f"{v!r}::DOUBLE" if isinstance(v, float) else str(v) for v in r) + ")" for r in rows)
-
-
-_P1, _P2 = theory.rp_collision_prob(0.5, 2.0), theory.rp_collision_prob(1.0, 2.0)
-
-ORACLES = {
-    "exact_knn_euclid": f"WITH {DATA} {_knn(ALL, EUCLID)}",
-    "exact_knn_angular": f"WITH {DATA} {_knn(ALL, ANGLE)}",
-    "codes_random_projection": f"WITH {DATA} SELECT id AS obj_id, codes FROM ({_project('e', RP)})",
-    "codes_hyperplane": f"WITH {DATA} SELECT id AS obj_id, codes FROM ({_project('e', HP)})",
-    "run_length_pairs": f"WITH {_coded_sql(RP)} SELECT qid, obj_id, run_len, coalesce(nullif(list_position({BITS}, '0'), 0) - 1, len(a))::INT AS lcp, ({SAME})::INT AS equal FROM rl",
-    "rotation_orders": f"""WITH {_coded_sql(RP)}, r AS (SELECT rot, id, row_number() OVER (PARTITION BY rot ORDER BY list_concat(codes[rot + 1:], codes[1:rot]), id) AS rank FROM cx CROSS JOIN (SELECT unnest(range(0, {M})) AS rot))
-      SELECT a.rot::INT AS rot, a.rank::INT AS rank, a.id AS obj_id, b.rank::INT AS next_rank FROM r a JOIN r b ON a.id = b.id AND b.rot = (a.rot + 1) % {M}""",
-    "k_search_kernel": _rank_sql(RP),
-    "k_search_brute": _rank_sql(RP),
-    "k_search_prefix": _rank_sql(RP),
-    "ring_search_euclid": f"WITH {RING} SELECT * FROM found",
-    "ring_search_angular": f"WITH {_lam_sql(HP, LAM + K - 1)} {_knn('cand', ANGLE)}",
-    "near_neighbor": f"WITH {ONE} SELECT q.id AS qid, coalesce(f.obj_id, -1) AS obj_id, coalesce(f.dist, -1) AS dist FROM q LEFT JOIN (SELECT * FROM found WHERE dist <= 1.2) f ON f.qid = q.id",
-    "radius_ladder": f"WITH {ONE} SELECT qid, l::INT AS level, obj_id, dist FROM (SELECT *, CASE WHEN dist <= 0.75 THEN 0 ELSE ceil(ln(dist / 0.75) / ln(1.5) - 1e-12) END AS l FROM found) WHERE l < 6",
-    "static_concat": f"WITH {_coded_sql(RP)} {_knn('(SELECT * FROM pr WHERE ' + ' OR '.join(f'(a[{i + 1}] = b[{i + 1}] AND a[{i + 2}] = b[{i + 2}])' for i in range(0, M, 2)) + ')', EUCLID)}",
-    "collision_count": f"WITH {_coded_sql(RP)} {_knn(f'(SELECT * FROM pr WHERE {SAME} >= 4)', EUCLID)}",
-    "query_aware_count": f"WITH {DATA}, px AS (SELECT *, {_proj_list(_QA)} AS a FROM x), pq AS (SELECT *, {_proj_list(_QA)} AS b FROM q), pr AS (SELECT pq.id AS qid, pq.v AS qv, px.id AS obj_id, px.v AS v, a, b FROM px CROSS JOIN pq) {_knn(f'(SELECT * FROM pr WHERE list_sum(list_transform(range(1, {M + 1}), lambda i: CASE WHEN abs(a[i] - b[i]) <= {W / 2} THEN 1 ELSE 0 END)) >= 6)', EUCLID)}",
-    "projected_incremental": f"WITH {DATA}, px AS (SELECT *, {_proj_list(_PJ)} AS a FROM x), pq AS (SELECT *, {_proj_list(_PJ)} AS b FROM q), pr AS (SELECT pq.id AS qid, pq.v AS qv, px.id AS obj_id, px.v AS v, row_number() OVER (PARTITION BY pq.id ORDER BY list_distance(a, b), px.id) AS place FROM px CROSS JOIN pq) {_knn('(SELECT * FROM pr WHERE place <= 100)', EUCLID)}",
-    "recall_ratio": f"WITH {_lam_sql(RP, LAM + K - 1)}, found AS ({_knn('cand', EUCLID, digits=12)}), truth AS ({_knn(ALL, EUCLID, digits=12)}) SELECT t.qid, round(avg(CASE WHEN t.obj_id IN (SELECT obj_id FROM found g WHERE g.qid = t.qid) THEN 1.0 ELSE 0.0 END), 6) AS recall, round(avg(f.dist / t.dist), 6) AS ratio FROM truth t JOIN found f ON f.qid = t.qid AND f.rnk = t.rnk GROUP BY t.qid",
-    "lambda_table": f"SELECT m, round(raw, 6) AS raw, least(2000, greatest(1, ceil(raw)))::INT AS lambda FROM (SELECT m, power(m, 1 - r) * 2000 * power({1 - _P1!r}, -r) * {1 - _P2!r} * power(ln(2), r) / {_P2!r} AS raw FROM (SELECT unnest([8, 16, 64, 256, 512])::INT AS m, ln({_P2!r}) / ln({_P1!r}) AS r))",
-    "complexity_table": f"SELECT method, round(alpha, 2) AS alpha, round(m, 2) AS m, round(lam, 2) AS lam, round(space, 2) AS space, round(build_time, 2) AS build_time, round(query_time, 2) AS query_time FROM (VALUES {_values(theory.complexity_rows(10000.0, 64.0, 0.5, 64.0))}) t(method, alpha, m, lam, space, build_time, query_time)",
-    "cp_quality": "SELECT i, round(exp(-(i / 10) * (i / 10) / (4 - (i / 10) * (i / 10)) * ln(64)), 6) AS p FROM (SELECT unnest(range(1, 20)) AS i)",
-    "part_profiles": "SELECT l_partkey AS obj_id, round(avg(l_quantity), 8) AS qty, round(avg(l_extendedprice), 8) AS price, round(avg(l_discount), 8) AS disc, round(avg(l_tax), 8) AS tax, count(*)::DOUBLE AS n, round(avg((l_returnflag = 'R')::INT), 8) AS ret, round(avg((l_linestatus = 'F')::INT), 8) AS fin, round(coalesce(stddev_samp(l_quantity), 0), 8) AS qty_sd FROM lineitem GROUP BY l_partkey",
-    "event_profiles": "SELECT user_id, strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, count(*)::BIGINT AS n, round(avg(value), 6) AS avg_value FROM events GROUP BY user_id, date_trunc('day', ts)",
-    "perturbations": """WITH RECURSIVE s(p, a, v) AS (VALUES (1,0,0.04::DOUBLE),(1,1,0.36),(1,2,0.64),(2,0,0.25),(2,1,0.25),(2,2,1.0),(3,0,0.01),(3,1,0.81),(3,2,1.21),(4,0,0.09),(4,1,0.49),(4,2,0.90),(5,0,0.16),(5,1,0.36),(5,2,1.5)),
-      d(p, v) AS (SELECT p, v FROM s UNION ALL SELECT s.p, d.v + s.v FROM d JOIN s ON s.p - d.p BETWEEN 1 AND 2)
-      SELECT (n - 1)::INT AS probe_no, v AS score FROM (SELECT v, row_number() OVER (ORDER BY v) AS n FROM (SELECT round(v, 6) AS v FROM d UNION ALL SELECT 0)) WHERE n <= 200""",
-}
+ORACLES = oracles.ORACLES
 
 
 def entry(spark, d):

@@ -65,9 +65,21 @@ def test_skipping_keeps_changed_bounds():
         assert set(changed) <= set(probe.affected(base, at))
         alts, sc = (q[:, None] + [1, 2]) % 3, np.tile([0.1, 0.2], (m, 1))
         assert probe.search(s, q, alts, sc, 3, 1)[0] == rotation.k_search(s, q, 3)
-        skip, few = probe.search(s, q, alts, sc, n, 5)
-        full, many = probe.search(s, q, alts, sc, n, 5, skip=False)
-        assert few <= many and set(skip) == set(full)
+        sc = rng.uniform(0.1, 1, (m, 2)).cumsum(axis=1)
+        k, n_probes = int(rng.integers(1, n + 1)), int(rng.integers(2, 9))
+        probes = [q]
+        for delta, _ in probe.perturbations(sc, n_probes)[1:]:
+            p = q.copy()
+            for pos, alt in delta:
+                p[pos] = alts[pos, alt]
+            probes.append(p)
+        best = np.max([runs.run_lengths(codes, p) for p in probes], axis=0)
+        want = sorted(range(n), key=lambda r: (-best[r], r))[:k]
+        for skip in (True, False):
+            found, again = probe.search(s, q, alts, sc, k, n_probes, skip=skip, ties=True)
+            assert rotation.cut_ties(found, s.ids, k) == [(r, best[r]) for r in want]
+            few, many = (again, None) if skip else (few, again)
+        assert few <= many
 
 
 def test_formulas():
@@ -97,7 +109,8 @@ def test_collision_rates():
     for fam, tau in ((families.RandomProjection(64, 4000, 2.0), np.linalg.norm(x - y)), (families.Hyperplane(64, 4000), np.arccos(x @ y / np.linalg.norm(y)))):
         assert np.mean(fam.codes(x[None]) == fam.codes(y[None])) == pytest.approx(fam.collision_prob(tau), abs=0.03)
     m = families.MinHash(3000)
-    c = m.codes([np.arange(60), np.arange(30, 90)])
+    spread = rng.integers(0, 1 << 28, 90)
+    c = m.codes(families.Sets(np.concatenate([spread[:60], spread[30:]]), np.array([0, 60, 120])))
     assert np.mean(c[0] == c[1]) == pytest.approx(1 / 3, abs=0.04)
     h = families.CrossPolytope(64, 16, rotation="hadamard")
     code, alt = h.codes(x[None]), h.alternatives(x[None], 127)
@@ -105,9 +118,9 @@ def test_collision_rates():
 
 
 def test_edges(spark):
-    rows = [(i, [float(i), 1.0]) for i in range(5)] + [(9, None), (10, [1.0])]
-    data, bad = families.valid_vectors(spark.createDataFrame(rows, "obj_id long, vec array<double>"), 2)
-    assert bad.count() == 2
+    rows = [(i, [float(i), 1.0]) for i in range(5)] + [(9, None), (10, [1.0]), (11, [1.0, None]), (12, [float("nan"), 1.0])]
+    data = spark.createDataFrame(rows, "obj_id long, vec array<double>")
+    assert families.valid_vectors(data, 2)[1].count() == 4
     fam = families.RandomProjection(2, 1, 1.0)
     q = spark.createDataFrame([(0, [0.0, 1.0])], "qid long, vec array<double>")
     out = search.ring_search(search.build_index(data, fam, 2), fam, q, 50, 50).orderBy("rnk").collect()
@@ -206,3 +219,169 @@ def test_recall_of_document_queries(spark):
     for query, asked, k, metric, exclude_self in cases:
         truth = search.exact_knn(data, asked.withColumnRenamed("obj_id", "qid"), k, metric, exclude_self)
         assert measures.recall(query(spark, sf), truth, k).agg(F.avg("recall")).first()[0] >= 0.9
+
+
+def test_entry_points_on_ordinary_trouble(spark):
+    """Unusable vectors, empty sides, repeated ids and ties, in every search."""
+    from ringann.operators import baselines
+
+    rows = [(i % 6, [float(i), 1.0]) for i in range(8)] + [(20, None), (21, [1.0]), (22, [0.0, 0.0])]
+    data = spark.createDataFrame([(i, v, "x") for i, v in rows], "obj_id long, vec array<double>, dist string")
+    q = spark.createDataFrame([(0, [0.0, 1.0]), (1, None), (2, [2.0])], "qid long, vec array<double>")
+    rp, cp, hp = families.RandomProjection(2, 4, 1.0), families.CrossPolytope(2, 4), families.Hyperplane(2, 4)
+    searches = [
+        lambda a, b: search.ring_search(search.build_index(a, rp, 3), rp, b, 20, 3), lambda a, b: search.ring_search(search.build_index(a, rp, 3), rp, b, 20, 3, n_probes=4, verify="shard"),
+        lambda a, b: search.ring_search(search.build_index(a, hp, 3), hp, b, 20, 3), lambda a, b: baselines.static_concat(a, rp, b, 1, 4, 3), lambda a, b: baselines.multiprobe_static(a, cp, b, 1, 4, 3, 2),
+        lambda a, b: baselines.collision_count(a, rp, b, 1, 3, 2, 2), lambda a, b: baselines.query_aware_count(a, b, 2, 4, 2.0, 2, 3, 2.0, 3), lambda a, b: baselines.projected_incremental(a, b, 2, 2, 5, 3, 2.0, 0.5),
+        lambda a, b: baselines.query_aware_blocked(a, b, 2, 4, 4.0, 1, 3, 2, 2, 2, 4), lambda a, b: baselines.prefix_widening(a, rp, b, 2, 2, 3, 2), lambda a, b: search.exact_knn(a.where("size(vec) = 2"), b.where("size(vec) = 2"), 3, "angular"),
+    ]
+    for f in searches:
+        found = f(data, q)
+        assert {r["qid"] for r in found.collect()} <= {0} and not {r["obj_id"] for r in found.collect()} & {20, 21}
+        assert f(data.limit(0), q).count() == 0 and f(data, q.limit(0)).count() == 0
+    near = search.ring_search(search.build_index(data, rp, 3), rp, q, 20, 3).orderBy("rnk").collect()
+    assert [(r["obj_id"], r["dist"]) for r in near] == [(0, 0.0), (22, 1.0), (1, 1.0)] or [(r["obj_id"], r["dist"]) for r in near] == [(0, 0.0), (1, 1.0), (22, 1.0)]
+
+
+def test_unknown_metric_raises():
+    with pytest.raises(ValueError):
+        search.distances("cosine", np.zeros((1, 2)), np.zeros(2))
+    sets = families.Sets(np.array([1, 2, 3, 5]), np.array([0, 3, 3, 4]))
+    assert list(search.distances("jaccard", sets, np.array([1, 2, 9]))) == [0.5, 1.0, 1.0]
+    assert list(search.distances("jaccard", sets[[1]], np.array([], np.int64))) == [0.0]
+
+
+def test_bound_properties():
+    """Among sorted strings the middle one shares as much with any other as the less of the outer two; dropping shared symbols keeps the order."""
+    rng = np.random.default_rng(5)
+    lcp = lambda a, b: next((i for i, (x, y) in enumerate(zip(a, b)) if x != y), len(a))
+    for _ in range(2000):
+        m = int(rng.integers(1, 8))
+        a, b, c = sorted(tuple(rng.integers(0, 3, m)) for _ in range(3))
+        for q in (a, c, tuple(rng.integers(0, 3, m))):
+            if a <= b < c:
+                assert lcp(b, c) >= min(lcp(a, c), lcp(b, c)) and lcp(a, b) >= lcp(a, c) or a == b
+        q = b
+        s = min(lcp(a, q), lcp(c, q))
+        for cut in range(s + 1):
+            assert a[cut:] + a[:cut] <= q[cut:] + q[:cut] or a[cut:] == q[cut:]
+
+
+def test_narrowed_search_takes_fewer_steps(spark):
+    from ringann.plans import queries
+
+    for r in queries.search_work(spark, "/root/testdata/sf0.01").collect():
+        assert 0 < r["narrowed"] <= r["simple"] and r["candidates"] == queries.LAM
+
+
+def test_query_blocks_and_shards_do_not_change_results(spark):
+    from ringann.plans import queries
+    from ringann.plans.settings import RP
+
+    data, q = queries._emb(spark, "/root/testdata/sf0.01")
+    one = search.ring_search(search.build_index(data, RP, rows=1), RP, q, 20, 5)
+    many = search.ring_search(search.build_index(data, RP, 50), RP, q, 20, 5, query_block=3)
+    assert sorted(one.collect()) == sorted(many.collect())
+
+
+def test_index_survives_writing_and_compaction(spark, tmp_path):
+    from ringann.plans import queries
+    from ringann.plans.settings import RP
+    from ringann.streaming import streams
+
+    data, q = queries._emb(spark, "/root/testdata/sf0.001")
+    base, path, delta = data.where("obj_id % 3 > 0"), str(tmp_path / "index"), str(tmp_path / "delta")
+    search.write_index(search.build_index(base, RP, 100), path)
+    data.where("obj_id % 3 = 0").write.parquet(str(tmp_path / "in"))
+    stream = streams.stream_ingest(spark.readStream.schema("obj_id long, vec array<double>").parquet(str(tmp_path / "in")), delta, str(tmp_path / "c1"))
+    stream.processAllAvailable(), stream.stop()
+    late = streams.read_delta(spark, delta)
+    truth = search.exact_knn(data, q, 5)
+    cols = ["qid", "rnk", "obj_id"]
+    both = streams.search_with_delta(search.read_index(spark, path), late, RP, q, 1000, 5)
+    assert sorted(both.select(cols).collect()) == sorted(truth.select(cols).collect())
+    assert streams.compact(spark, delta, RP, path, 100) == data.where("obj_id % 3 = 0").count()
+    index = search.read_index(spark, path)
+    stats = search.index_stats(index).first()
+    assert stats["objects"] == data.count() and index.select("shard").distinct().count() == stats["shards"]
+    assert sorted(search.ring_search(index, RP, q, 1000, 5).select(cols).collect()) == sorted(truth.select(cols).collect())
+    assert streams.compact(spark, delta, RP, path, 100) == 0 and streams.read_delta(spark, delta).count() == 0
+    q.write.parquet(str(tmp_path / "asked"))
+    answers = streams.stream_search(spark.readStream.schema("qid long, vec array<double>").parquet(str(tmp_path / "asked")), index, RP, 1000, 5, str(tmp_path / "out"), str(tmp_path / "c2"))
+    answers.processAllAvailable(), answers.stop()
+    assert sorted(spark.read.parquet(str(tmp_path / "out")).select(cols).collect()) == sorted(truth.select(cols).collect())
+
+
+def test_drift_alarms(spark, tmp_path):
+    from ringann.streaming import streams
+
+    rows = [(1, i, f"2024-01-01 00:00:{i:02d}", 100.0 if i == 7 else 1.0) for i in range(10)] + [(2, 50, "2024-01-01 00:00:00", 100.0)]
+    spark.createDataFrame(rows, "user_id long, event_id long, ts string, value double").withColumn("ts", F.to_timestamp("ts")).coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("user_id long, event_id long, ts timestamp, value double").parquet(str(tmp_path / "in"))
+    streams.drift_alarms(stream).writeStream.format("memory").queryName("alarms").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    assert [(r["user_id"], r["event_id"], r["mean"]) for r in spark.table("alarms").collect()] == [(1, 7, 1.0)]
+
+
+def test_vector_formats(spark, tmp_path):
+    import struct
+
+    from ringann.sources.tables import read_vectors
+
+    rows = [(i, [float(i), 0.5, -1.0]) for i in range(20)]
+    df = spark.createDataFrame(rows, "obj_id long, vec array<double>")
+    for fmt in ("parquet", "orc", "json"):
+        df.write.format(fmt).save(str(tmp_path / fmt))
+        assert sorted((r[0], list(r[1])) for r in read_vectors(spark, str(tmp_path / fmt), fmt).collect()) == rows
+    df.select(F.concat_ws(",", F.col("obj_id").cast("string"), F.array_join(F.transform("vec", lambda x: x.cast("string")), ","))).write.text(str(tmp_path / "csv"))
+    assert sorted((r[0], list(r[1])) for r in read_vectors(spark, str(tmp_path / "csv"), "csv").collect()) == rows
+    (tmp_path / "x.fvecs").write_bytes(b"".join(struct.pack("<i3f", 3, *v) for _, v in rows))
+    assert sorted((r[0], list(r[1])) for r in read_vectors(spark, str(tmp_path / "x.fvecs"), "fvecs").collect()) == rows
+
+
+def test_joins(spark):
+    from ringann.operators import joins
+
+    a = spark.createDataFrame([(1, "u", 5), (2, "u", 1), (3, None, 5), (4, "v", 9)], "id int, k string, t int")
+    b = spark.createDataFrame([("u", 2, "x"), ("u", 5, "y"), ("u", 6, "z"), (None, 1, "n"), ("v", None, "m")], "k string, t int, val string")
+    assert {(r["id"], r["val"]) for r in joins.as_of_join(a, b, "k", "t", ["val"]).collect()} == {(1, "y"), (2, None), (3, None), (4, None)}
+    x = spark.createDataFrame([(i, v) for i, v in enumerate([0.0, 1.0, 2.5, None])], "i int, a double")
+    y = spark.createDataFrame([(i, v) for i, v in enumerate([0.5, 3.0, None])], "j int, b double")
+    assert {(r["i"], r["j"]) for r in joins.band_join(x, y, "a", "b", 0.5).collect()} == {(0, 0), (1, 0), (2, 1)}
+
+
+def test_sql_functions(spark):
+    from ringann.functions import sqlfn
+
+    sqlfn.register_all(spark)
+    assert spark.sql("SELECT ring_run_len(array(1,2,3,4), array(1,9,3,4)), ring_equal_positions(array(1,2), array(1,3)), ring_run_len(NULL, array(1))").first()[:] == (3, 1, None)
+    assert [list(r["s"]) for r in spark.sql("SELECT * FROM ring_rotations(array(1,2,3)) ORDER BY rot").collect()] == [[1, 2, 3], [2, 3, 1], [3, 1, 2]]
+    got = spark.sql("SELECT * FROM ring_perturbations(array(array(0.04D, 0.36D), array(0.25D, 0.5D)), 4) ORDER BY probe_no").collect()
+    assert [round(r["score"], 2) for r in got] == [0, 0.04, 0.25, 0.29] and list(got[3]["positions"]) == [0, 1]
+
+
+def test_experiments(spark):
+    from ringann.functions import measures
+    from ringann.plans import experiments, queries
+    from ringann.sources import workloads
+
+    data, q = workloads.split_queries(workloads.embeddings(spark, "/root/testdata/sf0.001"), 50)
+    for metric in ("euclidean", "angular"):
+        rows = experiments.time_recall(spark, data, q, 64, metric, ms=(8,), lams=(20,), concat=((2, 4),), thresholds=(2,), runs=2).persist()
+        assert rows.where("seconds <= 0 OR recall < 0 OR ratio < 0.999999").count() == 0 and rows.where("method = 'ring' AND build_seconds > 0 AND index_bytes > 0").count() == 2
+        assert measures.summarize(rows).where("runs = 2").count() == rows.count() / 2
+    rates = [r["recall"] for r in experiments.sensitivity_to_k(spark, data, q, 64, ks=(1, 10), m=8, lam=1000).collect()]
+    assert rates == [1.0, 1.0]
+    assert experiments.tune_width(data, data.where("obj_id % 50 = 25").withColumnRenamed("obj_id", "qid"), 64, (2.0,), m=8) == 2.0
+    assert experiments.guarantee_rate(spark, 60, 8, 8, seeds=range(4)) >= 0.25
+    assert len(queries.QUERIES) - len(queries.ORACLES) == 5
+
+
+def test_stand_ins(spark):
+    from ringann.sources import workloads
+
+    for name in workloads.STAND_INS:
+        vecs, d = workloads.stand_in(spark, "/root/testdata/sf0.001", name)
+        rows = vecs.collect()
+        assert len(rows) > 20 and all(len(r["vec"]) == d for r in rows)
+        if name in ("wide", "text", "codes"):
+            assert all(np.linalg.norm(r["vec"]) == pytest.approx(1) for r in rows)
