@@ -44,8 +44,28 @@ def equal_positions(a: Column, b: Column) -> Column:
 
 
 def run_lengths(codes: np.ndarray, query: np.ndarray) -> np.ndarray:
-    """Run length of every row of codes[n, m] with one query: one pass over the doubled match matrix."""
+    """Run length of every row of codes[n, m] with one query.
+
+    Up to 64 positions, matches are the bits of one number, and a run of l + 1 positions is left where the runs of l
+    meet themselves turned by one; else one pass over the doubled match matrix.
+    """
     n, m = codes.shape
-    same = np.concatenate([codes == query] * 2, axis=1)
-    gap = np.where(same, -1, np.arange(2 * m))
-    return np.minimum((np.arange(2 * m) - np.maximum.accumulate(gap, axis=1)).max(axis=1), m) if n else np.zeros(0, np.int64)
+    if not n or not m:
+        return np.zeros(n, np.int64)
+    same = codes == query
+    if m > 64:
+        gap = np.where(np.concatenate([same, same], axis=1), -1, np.arange(2 * m))
+        return np.minimum((np.arange(2 * m) - np.maximum.accumulate(gap, axis=1)).max(axis=1), m)
+    packed = np.zeros((n, 8), np.uint8)
+    packed[:, : (m + 7) // 8] = np.packbits(same, axis=1, bitorder="little")
+    left = packed.view("<u8").ravel().astype(np.uint64)
+    out, rows = np.zeros(n, np.int64), np.arange(n)
+    one, top, mask = np.uint64(1), np.uint64(m - 1), np.uint64((1 << m) - 1)
+    for length in range(1, m + 1):
+        some = left != 0
+        left, rows = left[some], rows[some]
+        if not len(rows):
+            break
+        out[rows] = length
+        left = left & ((left << one | left >> top) & mask)
+    return out

@@ -11,6 +11,8 @@ import heapq
 
 import numpy as np
 
+from ringann.functions.runs import run_lengths
+
 
 class Shard:
     """codes[n, m] in id order; order[m, n]: row numbers by rotated string; link[m, n]: rank in the next rotation."""
@@ -153,6 +155,19 @@ def push_heads(shard: Shard, heap: list, bound: np.ndarray, rotations, q: np.nda
             heapq.heappush(heap, (-int(up_len), probe, int(i), 1, int(up), rq))
 
 
+#: A scan of all code strings is cheaper than the merge from this part of the shard on, as 1 / SCAN.
+SCAN = 50
+
+
+def scan_rows(shard: Shard, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """What k_search_rows gives with ties, from the run lengths of all strings: for k that are a good part of the shard."""
+    lens = run_lengths(shard.codes, q)
+    k = min(k, shard.n)
+    least = np.partition(lens, shard.n - k)[shard.n - k] if k else 0
+    rows = np.flatnonzero(lens >= least) if k else np.zeros(0, np.int64)
+    return rows, lens[rows].astype(np.int32)
+
+
 def k_search_rows(shard: Shard, q: np.ndarray, k: int, ties: bool = False, narrowed: bool = True) -> tuple[np.ndarray, np.ndarray]:
     """(rows, run lengths) of k objects with the longest runs; with ties, all that tie with the k-th as well."""
     heap: list = []

@@ -27,7 +27,7 @@ from ringann.operators.topk import broadcast_queries, top_k
 from ringann.sources.staging import stage
 
 SHARD_ROWS = 100_000
-QUERY_BLOCK = 2_000
+QUERY_BLOCK = 250
 BROADCAST_QUERIES = 50_000  # 50 MB at 128 dimensions
 PACKED = "shard int, n int, m int, d int, ids binary, codes binary, ord binary, link binary, vecs binary, offs binary"
 BLOCK = "q_n int, q_ids binary, q_vecs binary, q_offs binary, q_codes binary, q_alts binary, q_scores binary"
@@ -73,9 +73,11 @@ def build_index(data: DataFrame, family: Family, shard_rows: int = SHARD_ROWS, r
     """Packed shards. One shuffle of (id, vector); codes are computed where the shard is built. Objects are dealt
     out by a hash of the id, or as the column `shard` says."""
     data = usable(data, family)
+    shards = None
     if shard is None:
         n = data.count() if rows is None else rows
-        shard = F.pmod(F.xxhash64("obj_id"), F.lit(max(1, -(-n // shard_rows))))
+        shards = max(1, -(-n // shard_rows))
+        shard = F.pmod(F.xxhash64("obj_id"), F.lit(shards))
 
     def pack(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, vecs = [], []
@@ -92,7 +94,9 @@ def build_index(data: DataFrame, family: Family, shard_rows: int = SHARD_ROWS, r
 
     kind = "array<double>" if family.d is not None else "array<long>"
     keyed = data.select("obj_id", F.col("vec").cast(kind).alias("vec"), shard.cast("int").alias("shard"))
-    return keyed.groupBy("shard").applyInArrow(pack, PACKED)
+    out = keyed.groupBy("shard").applyInArrow(pack, PACKED)
+    out.n_shards = shards
+    return out
 
 
 def _unpack(b, i):
@@ -123,6 +127,17 @@ def query_blocks(queries: DataFrame, points, sets: bool = False, family: Family
     return F.broadcast(packed) if few else packed
 
 
+def _meetings(index: DataFrame, blocks: DataFrame) -> DataFrame:
+    """Every shard with every query block. Where an index has fewer shards than twice the cores, each shard is sent to
+    several tasks, which share the blocks; else shards stay where they are."""
+    shards, cores = index.__dict__.get("n_shards"), 2 * index.sparkSession.sparkContext.defaultParallelism
+    if not shards or shards >= cores:
+        return index.join(blocks, F.lit(True))
+    copies = -(-cores // shards)
+    spread = index.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).repartition(shards * copies, "shard", "copy")
+    return spread.join(blocks, F.col("copy") == F.pmod(F.xxhash64("q_ids"), F.lit(copies)))
+
+
 def _block(b, i, m: int = 0):
     n = b.column("q_n")[i].as_py()
     ids = np.frombuffer(b.column("q_ids")[i].as_buffer(), np.int64)
@@ -144,7 +159,9 @@ def write_index(index: DataFrame, path: str) -> None:
 
 
 def read_index(spark, path: str) -> DataFrame:
-    return spark.read.schema(PACKED).parquet(path).select(*[c.split()[0] for c in PACKED.split(", ")])
+    out = spark.read.schema(PACKED).parquet(path).select(*[c.split()[0] for c in PACKED.split(", ")])
+    out.n_shards = out.count()
+    return out
 
 
 def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int | str, k: int = 1, metric: str | None = None, n_probes: int = 1, max_gap: int = probe.MAX_GAP, ties: str = "id", verify: str = "global", exclude_self: bool = False, n_alt: int = 4, skip: bool = True, query_block: int = QUERY_BLOCK, where: Column | None = None) -> DataFrame:
@@ -171,7 +188,9 @@ def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int |
                 qids, x, codes, other = _block(b, i, s.m)
                 cols: list[list] = [[], [], [], []]
                 for j in range(len(qids)):
-                    if other is None:
+                    if other is None and ties == "id" and want * rotation.SCAN >= s.n:
+                        rows, lens = rotation.scan_rows(s, codes[j], want)
+                    elif other is None:
                         rows, lens = rotation.k_search_rows(s, codes[j], want, ties == "id")
                     else:
                         rows, lens, _ = probe.search_rows(s, codes[j], other[0][j], other[1][j], want, n_probes, max_gap, skip, ties == "id")
@@ -186,7 +205,7 @@ def ring_search(index: DataFrame, family: Family, queries: DataFrame, lam: int |
                     cols[3].append(dist)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["qid", "obj_id", "run_len", "dist"])
 
-    out = index.join(blocks, F.lit(True)).mapInArrow(visit, "qid long, obj_id long, run_len int, dist double")
+    out = _meetings(index, blocks).mapInArrow(visit, "qid long, obj_id long, run_len int, dist double")
     if exclude_self:
         out = out.where("qid <> obj_id")
     if verify == "global":
