@@ -245,8 +245,12 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
                 h = roll.spans(found, found + REACH)
                 at = np.flatnonzero(np.isin(h, h[np.searchsorted(found, picks[off[i] : off[i + 1]])]))
                 rows, key = _contexts(found, roll, at)
-                k = len(key)
-                yield pa.RecordBatch.from_arrays([_signed(key), _packed(rows), _signed(rows[:, 0]), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pa.array(found[at], pa.int32())], names=["key", "row", "h", "d", "t", "pos"])
+                # Equal suffixes of one text are one row with all their places.
+                key, one, group = np.unique(key, return_index=True, return_inverse=True)
+                k, rows = len(key), rows[one]
+                ends = np.concatenate([[0], np.cumsum(np.bincount(group, minlength=k))]).astype(np.int32)
+                pos = pa.ListArray.from_arrays(pa.array(ends), pa.array(found[at][np.argsort(group, kind="stable")], pa.int32()))
+                yield pa.RecordBatch.from_arrays([_signed(key), _packed(rows), _signed(rows[:, 0]), pa.array(np.full(k, batch.column("d")[i].as_py()), pa.int64()), pa.array(np.full(k, batch.column("t")[i].as_py()), pa.int64()), pos], names=["key", "row", "h", "d", "t", "pos"])
 
     def sort(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, rows, many = [], [], []
@@ -261,15 +265,20 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         # A suffix that agrees no further with any other than with the one sorted before it says nothing new.
         yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(found, pa.int32()), pa.array(found >= size), pa.array(before < found)], names=["key", "same", "full", "lists"])
 
-    suffixes = work.select("d", "t", "z", "n", "picks").mapInArrow(contexts, "key long, row binary, h long, d long, t long, pos int")
+    suffixes = work.select("d", "t", "z", "n", "picks").mapInArrow(contexts, "key long, row binary, h long, d long, t long, pos array<int>")
     # Equal suffixes are one row before they reach a shard; a passage in very many documents is one suffix there.
-    distinct = suffixes.groupBy("key").agg(F.count("*").alias("c"), F.first("row").alias("row"), F.first("h").alias("h"), F.min(F.struct("d", "t", "pos")).alias("one"))
-    shards = max(16, 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    distinct = suffixes.groupBy("key").agg(F.sum(F.size("pos")).alias("c"), F.count("*").alias("texts"), F.first("row").alias("row"), F.first("h").alias("h"), F.min(F.struct("d", "t", F.col("pos")[0].alias("pos"))).alias("one"))
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    shards = max(16, 4 * parts)
     distinct = stage(distinct)
     ranked = distinct.select("key", "c", "row", F.pmod(F.xxhash64("h"), F.lit(shards)).alias("shard")).groupBy("shard").applyInArrow(sort, "key long, same int, full boolean, lists boolean")
-    ranked = ranked.join(distinct.select("key", "one"), "key")
-    lists = F.col("lists") & (F.struct("d", "t", "pos") == F.col("one"))
-    told = suffixes.select("key", "d", "t", "pos").join(ranked, "key").groupBy("d", "t").agg(F.sort_array(F.collect_list(F.struct("pos", "same", "full", lists.alias("lists")))).alias("told"))
+    # A suffix with a partition's share of all rows is dealt to as many salts as it has shares; at most `parts` suffixes have one.
+    share = F.ceil(F.col("texts") * F.lit(parts) / F.lit(max(1, distinct.agg(F.sum("texts")).first()[0] or 0))).cast("int")
+    ranked = ranked.join(distinct.select("key", "one", F.explode(F.sequence(F.lit(0), share - 1)).alias("salt")), "key")
+    hot = distinct.select("key", share.alias("share")).where("share > 1")
+    salted = suffixes.select("key", "d", "t", "pos").join(F.broadcast(hot), "key", "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64("d", "t"), F.col("share")), F.lit(0)).cast("int"))
+    places = F.transform("pos", lambda p: F.struct(p.alias("pos"), "same", "full", (F.col("lists") & (F.struct("d", "t", p.alias("pos")) == F.col("one"))).alias("lists")))
+    told = salted.join(ranked, ["key", "salt"]).groupBy("d", "t").agg(F.sort_array(F.flatten(F.collect_list(places))).alias("told"))
     judged = stage(work.drop("picks").join(told, ["d", "t"]))
 
     def decide(body, told):
