@@ -349,6 +349,30 @@ def test_repeats_at_rims(spark):
     assert {r["doc_id"]: (r["n_removed"], r["kept_sha256"]) for r in got} == want
 
 
+def test_repeats_of_a_passage_in_most_texts(spark):
+    """Suffixes that most texts hold are dealt to salts, and one text may hold a suffix many times."""
+    common, cycle = prose(150), "abcdefghij klmnopq " * 60
+    texts = [prose(900) + common + (cycle if n % 3 == 0 else "") + prose(600) for n in range(50)] + [cycle * 2, "x" + cycle * 2]
+    seen: dict = {}
+    for t in texts:
+        for s in range(len(t) - 399):
+            seen[t[s : s + 400]] = seen.get(t[s : s + 400], 0) + 1
+    want = {}
+    for n, t in enumerate(texts):
+        gone = np.zeros(len(t), bool)
+        for s in range(len(t) - 399):
+            if seen[t[s : s + 400]] > 1:
+                gone[s : s + 400] = True
+        want[n] = (int(gone.sum()), hashlib.sha256("".join(c for c, g in zip(t, gone) if not g).encode()).hexdigest())
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "16")
+    try:
+        got = suffix.repeats(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert {r["doc_id"]: (r["n_removed"], r["kept_sha256"]) for r in got} == want
+
+
 def test_fingerprints(spark):
     rows = spark.createDataFrame([(1, "a\nb\n\nc"), (2, "a\nb\n\nc"), (3, "a\nB\n\nc"), (4, None), (5, "")], "id long, text string")
     got = {r[0]: r[1] for r in rows.select("id", fingerprints.fingerprint(F.col("text"))).collect()}
