@@ -349,10 +349,10 @@ def test_repeats_at_rims(spark):
     assert {r["doc_id"]: (r["n_removed"], r["kept_sha256"]) for r in got} == want
 
 
-def test_repeats_of_a_passage_in_most_texts(spark):
+def test_repeats_of_a_passage_in_most_texts(spark, monkeypatch):
     """Suffixes that most texts hold are dealt to salts, and one text may hold a suffix many times."""
     common, cycle = prose(150), "abcdefghij klmnopq " * 60
-    texts = [prose(900) + common + (cycle if n % 3 == 0 else "") + prose(600) for n in range(50)] + [cycle * 2, "x" + cycle * 2]
+    texts = [prose(300) + common + (cycle if n % 3 == 0 else "") + prose(200) for n in range(30)] + [cycle * 2, "x" + cycle * 2]
     seen: dict = {}
     for t in texts:
         for s in range(len(t) - 399):
@@ -365,11 +365,21 @@ def test_repeats_of_a_passage_in_most_texts(spark):
                 gone[s : s + 400] = True
         want[n] = (int(gone.sum()), hashlib.sha256("".join(c for c, g in zip(t, gone) if not g).encode()).hexdigest())
     before = spark.conf.get("spark.sql.shuffle.partitions")
-    spark.conf.set("spark.sql.shuffle.partitions", "16")
+    spark.conf.set("spark.sql.shuffle.partitions", "48")
+    held, stage = [], suffix.stage
+
+    def watch(df):
+        out = stage(df)
+        if "texts" in out.columns:
+            held.extend(r["texts"] for r in out.select("texts").collect())
+        return out
+
+    monkeypatch.setattr(suffix, "stage", watch)
     try:
         got = suffix.repeats(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert max(held) * 48 > sum(held)  # more than a partition's share: salted
     assert {r["doc_id"]: (r["n_removed"], r["kept_sha256"]) for r in got} == want
 
 
