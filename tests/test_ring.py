@@ -389,3 +389,12 @@ def test_stand_ins(spark):
         assert len(rows) > 20 and all(len(r["vec"]) == d for r in rows)
         if name in ("wide", "text", "codes"):
             assert all(np.linalg.norm(r["vec"]) == pytest.approx(1) for r in rows)
+
+
+def test_result_sets_are_disjoint(spark):
+    from ringann.plans import queries
+
+    rows = queries.QUERIES["result_sets"](spark, "/root/testdata/sf0.01").collect()
+    assert len({(r["qid"], r["obj_id"]) for r in rows}) == len(rows)
+    sides = [r["side"] for r in rows]
+    assert sides.count("missed") == sides.count("wrong") and sides.count("hit") + sides.count("missed") == 100
