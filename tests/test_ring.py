@@ -398,3 +398,17 @@ def test_result_sets_are_disjoint(spark):
     assert len({(r["qid"], r["obj_id"]) for r in rows}) == len(rows)
     sides = [r["side"] for r in rows]
     assert sides.count("missed") == sides.count("wrong") and sides.count("hit") + sides.count("missed") == 100
+
+
+def test_shards_without_the_query_send_no_extra_candidate(spark):
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((90, 4))
+    data = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)] + [(5, x[5].tolist())], "obj_id long, vec array<double>")
+    family = families.RandomProjection(4, 6, 2.0, seed=1)
+    codes, ids = family.codes(np.concatenate([x, x[5:6]])), np.array([*range(90), 5])
+    got = search.ring_search(search.build_index(data, family, shard=F.col("obj_id") % 3), family, data.where("obj_id = 5").limit(1).withColumnRenamed("obj_id", "qid"), 4, 2, verify="shard", exclude_self=True)
+    lens, cands = runs.run_lengths(codes, codes[5]), []
+    for part in range(3):
+        cands += sorted((r for r in range(91) if ids[r] % 3 == part and ids[r] != 5), key=lambda r: (-lens[r], ids[r]))[:5]
+    want = sorted(cands, key=lambda r: np.linalg.norm(x[r] - x[5]))[:2]
+    assert [r["obj_id"] for r in got.orderBy("rnk").collect()] == want
