@@ -412,3 +412,21 @@ def test_shards_without_the_query_send_no_extra_candidate(spark):
         cands += sorted((r for r in range(91) if ids[r] % 3 == part and ids[r] != 5), key=lambda r: (-lens[r], ids[r]))[:5]
     want = sorted(cands, key=lambda r: np.linalg.norm(x[r] - x[5]))[:2]
     assert [r["obj_id"] for r in got.orderBy("rnk").collect()] == want
+
+
+def test_blocks_are_halved_at_exact_medians_as_often_as_asked(spark):
+    from ringann.operators import baselines
+
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.standard_normal((301, 2)), np.full((50, 2), 0.25), np.zeros((50, 2))])
+    data = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "obj_id long, vec array<double>")
+    block = np.zeros(len(x), int)
+    for level in range(2):
+        cuts = {b: np.sort(x[block == b, level])[(np.count_nonzero(block == b) + 1) // 2 - 1] for b in set(block)}
+        block = np.array([2 * b + (v > cuts[b]) for b, v in zip(block, x[:, level])])
+    assert {r["obj_id"]: r["block"] for r in baselines.median_blocks(data, 2, 2).collect()} == dict(enumerate(block))
+    # All objects lie near enough; with two halvings and all four blocks asked the search is the exact one, whatever the leaf.
+    q = data.where("obj_id < 3").withColumnRenamed("obj_id", "qid")
+    cols = ["qid", "rnk", "obj_id"]
+    got = baselines.query_aware_blocked(data, q, 2, 2, 1e9, 1, 4, 10, 2, 2, 4, exclude_self=True, halvings=2)
+    assert sorted(got.select(cols).collect()) == sorted(search.exact_knn(data, q, 4, exclude_self=True).select(cols).collect())
