@@ -430,3 +430,18 @@ def test_blocks_are_halved_at_exact_medians_as_often_as_asked(spark):
     cols = ["qid", "rnk", "obj_id"]
     got = baselines.query_aware_blocked(data, q, 2, 2, 1e9, 1, 4, 10, 2, 2, 4, exclude_self=True, halvings=2)
     assert sorted(got.select(cols).collect()) == sorted(search.exact_knn(data, q, 4, exclude_self=True).select(cols).collect())
+
+
+def test_standardized_values_are_exact_to_the_last_bits(spark):
+    from ringann.sources import workloads
+
+    # 0.1 has no exact double and a plain sum of many drifts; the far values make the deviation small beside the mean.
+    df = spark.range(0, 400_000, 1, 1).select(F.col("id").alias("obj_id"), (F.lit(1e6) + F.pmod("id", F.lit(10)) * 0.1).alias("a"), F.lit(3.7).alias("b"))
+    got = {round(r["k"]): r["v"] for r in workloads.standardize(df, ["a", "b"]).groupBy((F.col("obj_id") % 10).alias("k")).agg(F.first(F.col("vec")[0]).alias("v")).collect()}
+    from fractions import Fraction
+
+    x = [Fraction(1e6 + i * 0.1) for i in range(10)]
+    mean = sum(x) / 10
+    sd = float(sum((v - mean) ** 2 for v in x) / 10) ** 0.5
+    assert all(abs(got[i] - float(x[i] - mean) / sd) < 1e-9 for i in range(10))
+    assert workloads.standardize(df, ["b"]).where("vec[0] <> 0").count() == 0
