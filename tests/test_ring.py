@@ -445,3 +445,36 @@ def test_standardized_values_are_exact_to_the_last_bits(spark):
     sd = float(sum((v - mean) ** 2 for v in x) / 10) ** 0.5
     assert all(abs(got[i] - float(x[i] - mean) / sd) < 1e-9 for i in range(10))
     assert workloads.standardize(df, ["b"]).where("vec[0] <> 0").count() == 0
+
+
+def test_scans_of_probes_and_of_joined_shards_give_what_the_search_gives():
+    rng = np.random.default_rng(8)
+    for m in (5, 8, 12):
+        codes, q = rng.integers(-2, 2, (400, m)).astype(np.int32), rng.integers(-2, 2, m).astype(np.int32)
+        ids = np.arange(400) // 2
+        alts = np.stack([q + 1, q - 1], axis=1).astype(np.int32)
+        scores = np.sort(rng.random((m, 2)), axis=1)
+        whole = rotation.Shard(ids, codes)
+        rows, lens, _ = probe.search_rows(whole, q, alts, scores, 30, m + 1, ties=True)
+        want = [(ids[r], n) for r, n in zip(*rotation.cut_rows(rows, lens, ids, 30))]  # equal ids in any order
+        halves = [(rotation.Shard(ids[at], codes[at]), codes[at]) for at in (np.arange(400) % 4 < 2, np.arange(400) % 4 >= 2)]
+        one, vecs = search._as_one(halves)
+        assert (vecs == one.codes).all() and (one.ids == ids).all() and one.least == 200
+        for s in (whole, one):
+            assert [(ids[r], n) for r, n in zip(*s.scan(probe.strings(q, alts, scores, m + 1), 30))] == want
+
+
+def test_sql_functions_take_whole_columns():
+    import pandas as pd
+
+    from ringann.functions import sqlfn
+
+    rng = np.random.default_rng(2)
+    for m in (3, 8, 20, 70):
+        a, b = rng.integers(0, 2, (40, m)), rng.integers(0, 2, (40, m))
+        left, right = pd.Series([*a, None, np.zeros(0, int), a[0]], dtype=object), pd.Series([*b, b[0], np.zeros(0, int), None], dtype=object)
+        assert sqlfn.run_len(left, right).tolist()[:41] == [int(runs.run_lengths(x[None], y)[0]) for x, y in zip(a, b)] + [pd.NA]
+        assert sqlfn.equal_positions(left, right).tolist() == [*(a == b).sum(axis=1), pd.NA, 0, pd.NA]
+    calls = []
+    sqlfn._pairs(pd.Series([*a]), pd.Series([*b]), lambda x, y: calls.append(len(x)) or np.zeros(len(x)))
+    assert calls == [40]
