@@ -465,16 +465,16 @@ def test_scans_of_probes_and_of_joined_shards_give_what_the_search_gives():
 
 
 def test_sql_functions_take_whole_columns():
-    import pandas as pd
+    import pyarrow as pa
 
     from ringann.functions import sqlfn
 
     rng = np.random.default_rng(2)
     for m in (3, 8, 20, 70):
         a, b = rng.integers(0, 2, (40, m)), rng.integers(0, 2, (40, m))
-        left, right = pd.Series([*a, None, np.zeros(0, int), a[0]], dtype=object), pd.Series([*b, b[0], np.zeros(0, int), None], dtype=object)
-        assert sqlfn.run_len(left, right).tolist()[:41] == [int(runs.run_lengths(x[None], y)[0]) for x, y in zip(a, b)] + [pd.NA]
-        assert sqlfn.equal_positions(left, right).tolist() == [*(a == b).sum(axis=1), pd.NA, 0, pd.NA]
+        left, right = pa.array([*a.tolist(), None, [], a[0].tolist()]), pa.array([*b.tolist(), b[0].tolist(), [], None])
+        assert sqlfn.run_len(left, right).to_pylist() == [*(int(runs.run_lengths(x[None], y)[0]) for x, y in zip(a, b)), None, 0, None]
+        assert sqlfn.equal_positions(left, right).to_pylist() == [*(a == b).sum(axis=1).tolist(), None, 0, None]
     calls = []
-    sqlfn._pairs(pd.Series([*a]), pd.Series([*b]), lambda x, y: calls.append(len(x)) or np.zeros(len(x)))
+    sqlfn._pairs(pa.array(a.tolist()), pa.array(b.tolist()), lambda x, y: calls.append(len(x)) or np.zeros(len(x)))
     assert calls == [40]
