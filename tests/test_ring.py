@@ -478,3 +478,16 @@ def test_sql_functions_take_whole_columns():
     calls = []
     sqlfn._pairs(pa.array(a.tolist()), pa.array(b.tolist()), lambda x, y: calls.append(len(x)) or np.zeros(len(x)))
     assert calls == [40]
+
+
+def test_jaccard_of_a_block_is_that_of_each_query():
+    import pyarrow as pa
+
+    rng = np.random.default_rng(4)
+    lists = [rng.integers(0, 30, rng.integers(0, 25)).tolist() for _ in range(60)]
+    sets = families.Sets.of(pa.array([[9, 9], *lists], pa.list_(pa.int64())).slice(1))
+    assert [sets[i].tolist() for i in range(60)] == [sorted(set(v)) for v in lists]
+    q = sets[np.array([0, 5, 5, 59])]
+    got = search.jaccard_distances(sets, q)
+    assert got.shape == (4, 60) and all((got[j] == search.distances("jaccard", sets, q[j])).all() for j in range(4))
+    assert search.jaccard_distances(sets, sets[np.zeros(0, np.int64)]).shape == (0, 60)
