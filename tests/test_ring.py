@@ -491,3 +491,31 @@ def test_jaccard_of_a_block_is_that_of_each_query():
     got = search.jaccard_distances(sets, q)
     assert got.shape == (4, 60) and all((got[j] == search.distances("jaccard", sets, q[j])).all() for j in range(4))
     assert search.jaccard_distances(sets, sets[np.zeros(0, np.int64)]).shape == (0, 60)
+
+
+@pytest.mark.parametrize("metric, m, part", [("euclidean", 12, 0.3), ("angular", 7, 0.5), ("euclidean", 70, 0.15)])
+def test_nearest_candidates_of_a_block_are_those_of_each_query(metric, m, part):
+    rng = np.random.default_rng(m)
+    x = rng.standard_normal((400, 5))
+    x[::7], x[300:340] = x[0], x[20]  # copies, more of some than are asked for
+    codes = np.where(rng.random((400, m)) < 0.6, np.floor(x @ rng.standard_normal((5, m))), 0).astype(np.int32)
+    codes[::7], codes[300:340] = codes[0], codes[20]
+    ids, best = np.arange(400) * 3, 4
+    asked = np.array([0, 3, 7, 20, 310, 399, 150, 42])
+    shards = [np.flatnonzero(np.arange(400) % 3 == i) for i in range(3)]
+    near, got = np.full((len(asked), best), np.inf), [[] for _ in asked]
+    for at in shards:
+        s = rotation.Shard(ids[at], codes[at])
+        least = round(part * len(at))
+        lo, hi = np.searchsorted(s.ids, ids[asked]), np.searchsorted(s.ids, ids[asked], "right")
+        qs, rows, lens, dist = search._Near(s, x[at], metric, best).ask(x[asked], codes[asked], lo, hi, least, near[:, -1])
+        assert not hasattr(s, "kinds")  # no query was compared with all strings
+        for j, q in enumerate(asked):
+            run = runs.run_lengths(s.codes, codes[q])
+            want = sorted((r for r in range(s.n) if at[r] != q), key=lambda r: (-run[r], s.ids[r]))[:least]
+            far = dict(zip(want, search.distances(metric, x[at][want], x[q]).round(7)))
+            want = [r for r in sorted(want, key=lambda r: (far[r], s.ids[r]))[:best] if far[r] <= near[j, -1] + 1e-7]
+            mine = qs == j
+            assert rows[mine].tolist() == want and lens[mine].tolist() == run[want].tolist()
+            assert dist[mine] == pytest.approx([far[r] for r in want], abs=1e-6)
+            near[j] = np.sort(np.concatenate([near[j], dist[mine]]))[:best]
