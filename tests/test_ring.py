@@ -519,3 +519,30 @@ def test_nearest_candidates_of_a_block_are_those_of_each_query(metric, m, part):
             assert rows[mine].tolist() == want and lens[mine].tolist() == run[want].tolist()
             assert dist[mine] == pytest.approx([far[r] for r in want], abs=1e-6)
             near[j] = np.sort(np.concatenate([near[j], dist[mine]]))[:best]
+
+
+def _against_sql(spark, name, sf="/root/testdata/sf0.001", **tables):
+    """Rows of a query and of its SQL, over the tables of sf with some put in their place."""
+    import duckdb
+
+    from ringann.plans import queries
+
+    con = duckdb.connect()
+    for table in ("lineitem", "embeddings"):
+        con.execute(f"CREATE VIEW {table} AS SELECT * FROM '{tables.get(table, f'{sf}/{table}.parquet')}'")
+    want = con.execute(queries.ORACLES[name]).to_arrow_table()
+    got = queries.QUERIES[name](spark, sf)
+    assert got.columns == want.column_names
+    plain = lambda row: tuple(round(x, 9) if isinstance(x, float) else x for x in row)
+    rows = sorted((plain(r) for r in got.collect()), key=repr)
+    assert rows == sorted((plain(r.values()) for r in want.to_pylist()), key=repr) and rows
+    return got, rows
+
+
+def _reads(df, table):
+    return any(f.endswith(f"/{table}.parquet") for f in df.inputFiles())
+
+
+def test_lambda_table_reads_line_items(spark):
+    got, rows = _against_sql(spark, "lambda_table")
+    assert _reads(got, "lineitem") and len(rows) == 5 * len({r[0] for r in rows})
