@@ -546,3 +546,8 @@ def _reads(df, table):
 def test_lambda_table_reads_line_items(spark):
     got, rows = _against_sql(spark, "lambda_table")
     assert _reads(got, "lineitem") and len(rows) == 5 * len({r[0] for r in rows})
+
+
+def test_alpha_table_reads_line_items(spark):
+    got, rows = _against_sql(spark, "alpha_table")
+    assert _reads(got, "lineitem") and len(rows) == 3 * len({r[0] for r in rows})
