@@ -557,3 +557,8 @@ def test_complexity_table_reads_line_items(spark):
     got, rows = _against_sql(spark, "complexity_table")
     assert _reads(got, "lineitem") and len(rows) == 5 * len({r[0] for r in rows})
     assert theory.complexity_rows(10000.0, 64.0, 0.5, 64.0)[2][1:4] == (0.0, 1.0, 10000.0)
+
+
+def test_concatenation_reads_line_items(spark):
+    got, rows = _against_sql(spark, "concatenation")
+    assert _reads(got, "lineitem") and len(rows) == 12 * len({r[0] for r in rows})
