@@ -562,3 +562,8 @@ def test_complexity_table_reads_line_items(spark):
 def test_concatenation_reads_line_items(spark):
     got, rows = _against_sql(spark, "concatenation")
     assert _reads(got, "lineitem") and len(rows) == 12 * len({r[0] for r in rows})
+
+
+def test_cp_quality_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "cp_quality")
+    assert _reads(got, "embeddings") and all(0 < r[2] < 1 for r in rows)
