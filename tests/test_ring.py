@@ -567,3 +567,8 @@ def test_concatenation_reads_line_items(spark):
 def test_cp_quality_reads_embeddings(spark):
     got, rows = _against_sql(spark, "cp_quality")
     assert _reads(got, "embeddings") and all(0 < r[2] < 1 for r in rows)
+
+
+def test_hash_cost_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "hash_cost")
+    assert _reads(got, "embeddings") and {r[:2] for r in rows} == {(f, 64) for f in ("random_projection", "cross_polytope", "bit_sampling")}
