@@ -572,3 +572,8 @@ def test_cp_quality_reads_embeddings(spark):
 def test_hash_cost_reads_embeddings(spark):
     got, rows = _against_sql(spark, "hash_cost")
     assert _reads(got, "embeddings") and {r[:2] for r in rows} == {(f, 64) for f in ("random_projection", "cross_polytope", "bit_sampling")}
+
+
+def test_run_distribution_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "run_distribution")
+    assert _reads(got, "embeddings") and all(r[3] == r[4] == 1 for r in rows if r[1] == 8) and len(rows) == 90
