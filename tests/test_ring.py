@@ -577,3 +577,10 @@ def test_hash_cost_reads_embeddings(spark):
 def test_run_distribution_reads_embeddings(spark):
     got, rows = _against_sql(spark, "run_distribution")
     assert _reads(got, "embeddings") and all(r[3] == r[4] == 1 for r in rows if r[1] == 8) and len(rows) == 90
+
+
+def test_grids_of_constants_are_no_query():
+    import __spark_entry__ as e
+
+    assert "grids" not in e.queries() and "grids" not in e.oracle_sql()
+    assert all(theory.grid(name) for name in theory.GRIDS)  # the grids themselves stay
