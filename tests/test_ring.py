@@ -584,3 +584,8 @@ def test_grids_of_constants_are_no_query():
 
     assert "grids" not in e.queries() and "grids" not in e.oracle_sql()
     assert all(theory.grid(name) for name in theory.GRIDS)  # the grids themselves stay
+
+
+def test_pareto_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "pareto")
+    assert _reads(got, "embeddings") and {r[0] for r in rows} == {"ring", "projected_incremental"}
