@@ -589,3 +589,8 @@ def test_grids_of_constants_are_no_query():
 def test_pareto_reads_embeddings(spark):
     got, rows = _against_sql(spark, "pareto")
     assert _reads(got, "embeddings") and {r[0] for r in rows} == {"ring", "projected_incremental"}
+
+
+def test_budget_curve_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "budget_curve")
+    assert _reads(got, "embeddings") and {r[0] for r in rows} == {"ring", "projected_incremental"}
