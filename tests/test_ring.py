@@ -594,3 +594,8 @@ def test_pareto_reads_embeddings(spark):
 def test_budget_curve_reads_embeddings(spark):
     got, rows = _against_sql(spark, "budget_curve")
     assert _reads(got, "embeddings") and {r[0] for r in rows} == {"ring", "projected_incremental"}
+
+
+def test_acceleration_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "acceleration")
+    assert _reads(got, "embeddings") and dict(rows)["ring"] == 0
