@@ -599,3 +599,8 @@ def test_budget_curve_reads_embeddings(spark):
 def test_acceleration_reads_embeddings(spark):
     got, rows = _against_sql(spark, "acceleration")
     assert _reads(got, "embeddings") and dict(rows)["ring"] == 0
+
+
+def test_rollup_report_reads_embeddings(spark):
+    got, rows = _against_sql(spark, "rollup_report")
+    assert _reads(got, "embeddings") and sorted(r[4] for r in rows) == [0] * 5 + [1, 1, 3]
