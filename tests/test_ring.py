@@ -604,3 +604,9 @@ def test_acceleration_reads_embeddings(spark):
 def test_rollup_report_reads_embeddings(spark):
     got, rows = _against_sql(spark, "rollup_report")
     assert _reads(got, "embeddings") and sorted(r[4] for r in rows) == [0] * 5 + [1, 1, 3]
+
+
+@pytest.mark.parametrize("n", [1, 25, 140])
+def test_every_cell_has_a_partition_of_its_own(spark, n):
+    keys = spark.createDataFrame([(k,) for k in search._cell_keys(spark, n)], "cell int").repartition(n, "cell")
+    assert keys.groupBy(F.spark_partition_id()).count().where("count = 1").count() == n
