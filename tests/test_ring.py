@@ -521,6 +521,45 @@ def test_nearest_candidates_of_a_block_are_those_of_each_query(metric, m, part):
             near[j] = np.sort(np.concatenate([near[j], dist[mine]]))[:best]
 
 
+@pytest.mark.parametrize("metric", ["euclidean", "angular"])
+def test_tiles_give_the_nearest_rows(metric):
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.standard_normal((700, 20)) * 0.1 + c for c in np.eye(20)[:3] * 4])
+    x[::9], x[900:960] = x[0], x[20]  # copies, more of some than are asked for
+    ids = np.arange(len(x)) * 3
+    ids[1501] = ids[1500]  # two rows of one id
+    asked, best = np.array([0, 9, 25, 901, 1500, 2099]), 8
+    tiles = search._Tiles(ids, x, metric, best)
+    assert len(tiles.rows) > 1 and max(map(len, tiles.rows)) <= tiles.TILE
+    for own in (True, False):
+        at, rows, dist = tiles.nearest(ids[asked], x[asked], own)
+        for j, q in enumerate(asked):
+            far = search.distances(metric, x, x[q])
+            want = [r for r in np.lexsort((ids, far.round(7))) if not own or ids[r] != ids[q]][:best]
+            assert dist[at == j] == pytest.approx(far[want], abs=1e-6)
+            assert metric == "angular" or rows[at == j].tolist() == want
+
+
+def test_nearest_first_is_the_whole_search(spark):
+    """Also for queries that have fewer candidates among the listed rows than asked."""
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.standard_normal((150, 6)), rng.standard_normal((150, 6)) * 0.05 + 2])
+    x[200:240] = x[200]  # copies
+    data = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "obj_id long, vec array<double>").persist()
+    family = families.RandomProjection(6, 12, 0.5, seed=2)
+    index = search.build_index(data, family, 80, rows=300).persist()
+    queries = data.withColumnRenamed("obj_id", "qid")
+    rows = lambda **how: sorted(map(tuple, search.ring_search(index, family, queries, 12, 4, verify="shard", **how).collect()))
+    for own in (True, False):
+        whole = rows(exclude_self=own, listed=0)
+        assert rows(exclude_self=own, listed=1) == whole == rows(exclude_self=own, listed=3) and len(whole) == 1200
+    blocks = search.query_blocks(queries, family.points, False, family, hint=False)
+    _, left = search._nearest_first(index, family, blocks, 15, 4, 4, "euclidean", True)
+    assert left is not None and 0 < left.count() < 300
+    twice = search.query_blocks(queries.union(queries), family.points, False, family, hint=False)
+    assert search._nearest_first(index, family, twice, 15, 4, 4, "euclidean", True) is None
+
+
 def _against_sql(spark, name, sf="/root/testdata/sf0.001", **tables):
     """Rows of a query and of its SQL, over the tables of sf with some put in their place."""
     import duckdb
