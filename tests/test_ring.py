@@ -635,6 +635,34 @@ def test_budget_curve_reads_embeddings(spark):
     assert _reads(got, "embeddings") and {r[0] for r in rows} == {"ring", "projected_incremental"}
 
 
+def test_budget_curve_asks_every_embedding(spark, tmp_path):
+    some = spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").where("vec_id % 50 <> 0")
+    some.write.parquet(f"{tmp_path}/embeddings.parquet")
+    _, rows = _against_sql(spark, "budget_curve", str(tmp_path), embeddings=f"{tmp_path}/embeddings.parquet/*.parquet", lineitem="/root/testdata/sf0.001/lineitem.parquet")
+    assert {r[0] for r in rows} == {"ring", "projected_incremental"}
+
+
+@pytest.mark.parametrize("part", [search.CELL_BYTES, 4000])
+def test_many_queries_meet_data_in_cells(spark, monkeypatch, part):
+    from ringann.operators import baselines
+
+    rng = np.random.default_rng(5)
+    vecs = np.concatenate([rng.standard_normal((150, 6)), np.ones((40, 6)), rng.integers(0, 2, (60, 6))])
+    vecs[3, 0], vecs[160, 1] = 1e100, 1e-30
+    data = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(rng.permutation(250), vecs)], "obj_id long, vec array<double>").persist()
+    queries = data.select(F.col("obj_id").alias("qid"), "vec")
+    asks = [
+        lambda q: search.exact_knn(data, q, 5, exclude_self=True), lambda q: search.exact_knn(data, q, 300),
+        lambda q: baselines.projected_incremental(data, q, 6, 2, 30, 4, exclude_self=True), lambda q: baselines.projected_incremental(data, q, 6, 2, 30, 4, 1.5, 0.8),
+        lambda q: baselines.projected_incremental(data, q.union(q), 6, 2, 30, 4),
+    ]
+    for ask in asks:
+        plain = sorted(map(tuple, ask(queries).collect()))
+        with monkeypatch.context() as m:
+            m.setattr(search, "CELL_QUERIES_FROM", 0), m.setattr(search, "CELL_BYTES", part), m.setattr(search, "CELL_PIECE", 40), m.setattr(search, "CELL_FOUND", 2000)
+            assert sorted(map(tuple, ask(queries).collect())) == plain
+
+
 def test_acceleration_reads_embeddings(spark):
     got, rows = _against_sql(spark, "acceleration")
     assert _reads(got, "embeddings") and dict(rows)["ring"] == 0
